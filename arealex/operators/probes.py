@@ -65,6 +65,9 @@ class Index:
     def cells(self, level: int) -> DataFrame:
         return self._once(("cells", level), lambda: S.cell_postings(self.objects, self.space, level, self.order))
 
+    def cell_counts(self, level: int) -> DataFrame:
+        return self._once(("counts", level), lambda: S.cell_stats(S.grid_signature(self.objects, self.space, level)))
+
     def count(self) -> int:
         return self._once("count", self.objects.count)
 
@@ -103,8 +106,7 @@ def token_prefix(ix: Index, q: DataFrame, use_prefix: bool = True) -> DataFrame:
 
 def cell_prefix(ix: Index, q: DataFrame, level: int, use_prefix: bool = True) -> DataFrame:
     """query_id, cell, w and the query's totals: cells that some object meets, up to where the rest stays under the threshold."""
-    counts = S.cell_stats(S.grid_signature(ix.objects, ix.space, level))
-    sig = cells_of(q, ix.space, level, "query_id").join(counts, "cell")
+    sig = cells_of(q, ix.space, level, "query_id").join(ix.cell_counts(level), "cell")
     bounded = S.with_bound(sig, ["query_id"], S.element_order("cell", ix.order), "rest").join(_totals(ix, q), "query_id")
     return bounded.where(_enough_r(ix, "rest")) if use_prefix else bounded
 

@@ -74,9 +74,7 @@ def index_size(ix: P.Index, levels: list[int], buckets: int | None = 1 << 16, bu
     out = row("token", ix.tokens, "token")
     for v in levels:
         out = out.unionByName(row(f"grid{v}", ix.cells(v), "cell"))
-        sizes = S.grid_signature(ix.objects, ix.space, v).groupBy("object_id").agg(F.count("*").alias("k")).join(ix.objects.select("object_id", F.size("tokens").alias("t")), "object_id")
-        pairs = sizes.agg(F.lit(f"pair{v}").alias("kind"), F.lit(None).cast("bigint").alias("elements"), F.coalesce(F.sum(F.col("k") * F.col("t")), F.lit(0)).cast("bigint").alias("postings"))
-        out = out.unionByName(pairs)
+        out = out.unionByName(row(f"pair{v}", S.pair_postings(ix.tokens, ix.cells(v), None), "token", "cell"))
     if budget:
         out = out.unionByName(row("quad", Q.quad_postings(ix, Q.pick_quad_cells(ix, budget, max_level), max_level), "token", "level", "cell"))
     return out

@@ -7,13 +7,13 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from arealex.functions.similarity import SIDES, area, at_least, box
+from arealex.functions.similarity import SIDES, area, box
 from arealex.operators import baselines as B
 from arealex.operators import probes as P
 from arealex.operators import quadcells as Q
-from arealex.operators import signatures as S
 from arealex.operators.verify import exact_scan, verify
 from arealex.sources.querysets import of_objects
+from arealex.sources.shared import kept
 
 METHODS = ("signature_scan", "token_overlap", "grid_overlap", "token_bounded", "grid_bounded", "two_filter", "pair", "quad_pair", "word_first", "area_first", "word_tree", "exact_scan")
 LEVEL, BUDGET, QUAD_LEVEL = 6, 64, 5
@@ -22,7 +22,7 @@ LEVEL, BUDGET, QUAD_LEVEL = 6, 64, 5
 def candidates(ix: P.Index, q: DataFrame, method: str, level: int = LEVEL, buckets: int | None = None, budget: int = BUDGET, max_level: int = QUAD_LEVEL, **options) -> DataFrame:
     """query_id, object_id: a superset of the answers for thresholds above 0."""
     if method == "quad_pair":
-        return Q.quad_pair(ix, q, Q.pick_quad_cells(ix, budget, max_level, **options), max_level)
+        return Q.quad_pair(ix, q, kept(Q.pick_quad_cells(ix, budget, max_level, **options)), max_level)
     if method == "pair":
         return P.pair(ix, q, level, buckets)
     if method == "word_tree":
@@ -47,7 +47,7 @@ def _routed(ix: P.Index, q: DataFrame, method: str, **options) -> DataFrame:
 def search(ix: P.Index, queries: DataFrame, method: str = "auto", **options) -> DataFrame:
     """query_id, object_id, inter_area, union_area, inter_w, union_w of all answers.
 
-    A threshold of 0 lets through objects that share nothing, which no list holds: queries with one such threshold go to the filter of the other side, queries with two are held against all objects. ``auto`` takes two_filter at its default level for small batches and pair for large ones.
+    A threshold of 0 lets through objects that share nothing, which no list holds: queries with one such threshold go to the filter of the other side, queries with two are held against all objects. ``auto`` takes two_filter at its default level.
     """
     q = P.known_size(queries)
     if method == "auto":
@@ -110,6 +110,3 @@ def register_sql(spark) -> None:
     total = "(a_x1 - a_x0) * (a_y1 - a_y0) + (b_x1 - b_x0) * (b_y1 - b_y0)"
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION overlap_area({args}) RETURNS BIGINT RETURN {shared}")
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION region_jaccard({args}) RETURNS DOUBLE RETURN CASE WHEN {total} - {shared} > 0 THEN CAST({shared} AS DOUBLE) / ({total} - {shared}) ELSE 0D END")
-
-
-__all__ = ["METHODS", "candidates", "class_links", "register_sql", "search", "self_search", "top_k", "at_least", "S"]

@@ -13,6 +13,7 @@ from arealex.operators.verify import verify
 from arealex.plans import measures as M
 from arealex.plans import search as X
 from arealex.sources.querysets import query_set, with_thresholds
+from arealex.sources.shared import kept
 
 #: Thresholds of the sweeps, in basis points; the default of the other side.
 SWEEP, DEFAULT = (1000, 2000, 3000, 4000, 5000), 4000
@@ -59,7 +60,7 @@ def pair_or_quad(ix: P.Index, kind: str, levels: list[int], budgets: list[int],
         rows.append(_row(P.pair_hits(ix, q, v), method="pair", setting=v).crossJoin(size))
     for mode in modes:
         for b in budgets:
-            selection = Q.pick_quad_cells(ix, b, max_level, mode)
+            selection = kept(Q.pick_quad_cells(ix, b, max_level, mode))
             size = Q.quad_postings(ix, selection, max_level).agg(F.count("*").alias("index_rows"))
             rows.append(_row(Q.quad_hits(ix, q, selection, max_level), method=f"quad_{mode}", setting=b).crossJoin(size))
     return _table(rows)
@@ -83,11 +84,11 @@ def part_of(objects: DataFrame, percent: int) -> DataFrame:
     return objects.where(F.pmod(F.col("object_id") * 7919 + 13, F.lit(100)) < percent)
 
 
-def scaling(make, percents: list[int], kind: str = "large", level: int = X.LEVEL) -> DataFrame:
-    """Pair filter on growing shares of the objects that ``make()`` gives."""
+def scaling(objects: DataFrame, percents: list[int], kind: str = "large", level: int = X.LEVEL) -> DataFrame:
+    """Pair filter on growing shares of the objects."""
     rows = []
     for p in percents:
-        ix = P.Index(part_of(make(), p))
+        ix = P.Index(part_of(objects, p))
         q = query_set(ix, kind, DEFAULT, DEFAULT)
         rows.append(_row(P.pair_hits(ix, q, level), percent=p))
     return _table(rows)

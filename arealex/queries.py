@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from arealex import oracle as O
-from arealex.functions.similarity import SIDES, box, ratio
+from arealex.functions.similarity import SIDES
 from arealex.operators import levels as L
 from arealex.operators import probes as P
 from arealex.operators import quadcells as Q
@@ -19,6 +19,7 @@ from arealex.plans import search as X
 from arealex.plans import workloads as W
 from arealex.sources import objects as R
 from arealex.sources.querysets import query_set, with_thresholds
+from arealex.sources.shared import kept, shared_path
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -32,7 +33,7 @@ def _add(name: str, make: Query, sql: str | None = None) -> None:
 
 
 def _index(spark: SparkSession, sf_dir: str, kind: str, **options) -> P.Index:
-    return P.Index(R.SETS[kind](spark, sf_dir), **options)
+    return P.Index(kept(R.SETS[kind](spark, sf_dir)), **options)
 
 
 def _batch(spark: SparkSession, sf_dir: str, kind: str, queries: str, r: int, t: int, **options) -> tuple[P.Index, DataFrame]:
@@ -128,7 +129,7 @@ _add("query_cost_grid", _with("activity", "large", 4000, 4000, lambda ix, q: M.p
 _add("filter_quality_two_filter", _with("activity", "small", 2000, 2000, lambda ix, q: M.filter_quality(ix, q, P.two_filter(ix, q, 6))), O.parts("activity", "small", (6,)) + O.token_hits(2000) + O.grid_hits(2000, 6) + O.answer_parts(2000, 2000) + "\nSELECT (SELECT count(*) FROM (SELECT query_id, object_id FROM th INTERSECT SELECT query_id, object_id FROM gh6)) AS candidates, (SELECT count(*) FROM answers) AS answers, 0::BIGINT AS missed")
 _add("filter_quality_quad", _with("activity", "small", 2000, 2000, lambda ix, q: M.filter_quality(ix, q, X.candidates(ix, q, "quad_pair", budget=32, max_level=4)).select("answers", "missed")), O.parts("activity", "small") + O.answer_parts(2000, 2000) + "\nSELECT count(*) AS answers, 0::BIGINT AS missed FROM answers")
 _add("bound_tightness_l6", _with("activity", "large", 4000, 4000, lambda ix, q: M.bound_tightness(ix, q, 6)), O.parts("activity", "large", (6,)) + "\nSELECT query_id, CAST(sum(b) AS BIGINT) AS bound_sum, CAST(sum(greatest(0, least(q.x1, o.x1) - greatest(q.x0, o.x0)) * greatest(0, least(q.y1, o.y1) - greatest(q.y0, o.y0))) AS BIGINT) AS true_sum FROM (SELECT query_id, object_id, sum(least(a.w, c.w)) AS b FROM qc6 a JOIN oc6 c USING (cell) GROUP BY ALL) JOIN queries q USING (query_id) JOIN objects o USING (object_id) GROUP BY query_id")
-_add("index_size_activity", _on("activity", lambda ix: M.index_size(ix, [4, 6], budget=0)), O.parts("activity", levels=(4, 6)) + "\nSELECT 'token' AS kind, (SELECT count(*) FROM stats) AS elements, (SELECT count(*) FROM object_tokens) AS postings" + "".join(f" UNION ALL SELECT 'grid{v}', count(DISTINCT cell), count(*) FROM oc{v} UNION ALL SELECT 'pair{v}', NULL, CAST(sum(k * t) AS BIGINT) FROM (SELECT object_id, count(*) AS k FROM oc{v} GROUP BY 1) JOIN (SELECT object_id, count(*) AS t FROM object_tokens GROUP BY 1) USING (object_id)" for v in (4, 6)))
+_add("index_size_activity", _on("activity", lambda ix: M.index_size(ix, [4, 6], budget=0)), O.parts("activity", levels=(4, 6)) + "\nSELECT 'token' AS kind, (SELECT count(*) FROM stats) AS elements, (SELECT count(*) FROM object_tokens) AS postings" + "".join(f" UNION ALL SELECT 'grid{v}', count(DISTINCT cell), count(*) FROM oc{v} UNION ALL SELECT 'pair{v}', count(DISTINCT (token, cell)), count(*) FROM oc{v} JOIN object_tokens USING (object_id)" for v in (4, 6)))
 _add("nodes_visited_activity", _with("activity", "large", 4000, 4000, lambda ix, q: M.nodes_visited(ix, q)))
 _add("region_ratios_document", _with("document", "large", 1000, 1000, lambda ix, q: verify(ix, q).select("query_id", "object_id", F.round(F.col("inter_area") / F.col("union_area"), 6).alias("sim_r"), F.round(F.col("inter_w") / F.col("union_w"), 6).alias("sim_t"))), O.parts("document", "large") + O.answer_parts(1000, 1000) + "\nSELECT query_id, object_id, round(inter_area / union_area, 6) AS sim_r, round(inter_w / union_w, 6) AS sim_t FROM answers")
 
@@ -164,7 +165,7 @@ _add(
     _on("activity", lambda ix: W.sweep_answers(ix, "large", _PAIRS)),
     O.parts("activity", "large") + "".join(O.answer_parts(r, t).replace("near AS", f"near{k} AS").replace("FROM near n", f"FROM near{k} n").replace("alike", f"alike{k}").replace("shared", f"shared{k}").replace("answers AS", f"answers{k} AS") for k, (r, t) in enumerate(_PAIRS)) + ",\nall_ AS (" + " UNION ALL ".join(f"SELECT {r} AS tau_r_bp, {t} AS tau_t_bp, query_id FROM answers{k}" for k, (r, t) in enumerate(_PAIRS)) + ")\nSELECT tau_r_bp, tau_t_bp, count(*) AS answers, count(DISTINCT query_id) AS queries FROM all_ GROUP BY CUBE (tau_r_bp, tau_t_bp)",
 )
-_add("workload_scaling", lambda spark, sf_dir: W.scaling(lambda: R.shipment(spark, sf_dir), [20, 60, 100]))
+_add("workload_scaling", lambda spark, sf_dir: W.scaling(kept(R.shipment(spark, sf_dir)), [20, 60, 100]))
 _add("self_search_document", _on("document", lambda ix: X.self_search(ix, 1000, 4000)), O.parts("document") + """,
 cls AS (SELECT object_id, min(object_id) OVER (PARTITION BY x0, y0, x1, y1, tk) AS class_id FROM objects LEFT JOIN (SELECT object_id, string_agg(token, ' ' ORDER BY token) AS tk FROM object_tokens GROUP BY 1) USING (object_id)),
 rep AS (SELECT o.*, t.area, t.w_total FROM objects o JOIN totals t USING (object_id) WHERE object_id IN (SELECT class_id FROM cls)),
@@ -186,7 +187,6 @@ _add("worked_example", worked_example, "SELECT 1::BIGINT AS query_id, 2::BIGINT
 
 def stream_window_objects(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All day windows that a run over the events so far closes, read back from the table that the stream wrote."""
-    from arealex.sources.shared import shared_path
     from arealex.streaming.windows import event_stream, windowed_objects
 
     base = shared_path(spark, "stream")
@@ -203,6 +203,4 @@ _add(
 t AS (SELECT user_id, start, event_type AS token FROM e UNION SELECT user_id, start, 'k' || (k // 5) FROM e)
 SELECT user_id, start, x0, y0, x1, y1, tokens FROM (SELECT user_id, start, min(m) AS x0, min(v) AS y0, max(m) + 1 AS x1, max(v) + 1 AS y1 FROM e GROUP BY ALL) JOIN (SELECT user_id, start, string_agg(token, ' ' ORDER BY token) AS tokens FROM t GROUP BY ALL) USING (user_id, start)
 WHERE start + 86400 <= (SELECT max(epoch_us(ts)) // 1000000 FROM events) - 7200""",
-)
-
-__all__ = ["ORACLE_SQL", "QUERIES", "box", "ratio"]
+)
\ No newline at end of file

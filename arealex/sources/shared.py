@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import atexit
 import tempfile
 import uuid
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 _local: list[str] = []
+_written: list[tuple[SparkSession, str]] = []
 
 
 def shared_path(spark: SparkSession, name: str) -> str:
@@ -21,3 +23,24 @@ def shared_path(spark: SparkSession, name: str) -> str:
             _local.append("file://" + tempfile.mkdtemp(prefix="arealex-"))
         base = _local[0]
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
+def kept(df: DataFrame) -> DataFrame:
+    """``df`` as a Parquet table in a shared folder: what several parts of a plan read is computed once, and survives lost executors. The files go when the program ends."""
+    spark = df.sparkSession
+    path = shared_path(spark, "kept")
+    df.write.parquet(path)
+    _written.append((spark, path))
+    return spark.read.schema(df.schema).parquet(path)
+
+
+def _clean() -> None:
+    for spark, path in _written:
+        try:
+            target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+        except Exception:  # noqa: BLE001  the session may have ended before the interpreter
+            return
+
+
+atexit.register(_clean)

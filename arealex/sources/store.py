@@ -56,7 +56,7 @@ class StoredIndex(P.Index):
         self.path, self.level = path, m.level
         objects = spark.read.parquet(f"{path}/objects")
         super().__init__(objects.select("object_id", *SIDES, "tokens"), m.measure, space=Space(m.x0, m.y0, m.x_bits, m.y_bits), stats=spark.read.parquet(f"{path}/stats"))
-        self._made |= {"full": objects, "count": m.n_objects, "tokens": spark.read.parquet(f"{path}/token"), ("cells", m.level): spark.read.parquet(f"{path}/cell"), "cell_stats": spark.read.parquet(f"{path}/cell_stats")}
+        self._made |= {"full": objects, "count": m.n_objects, "tokens": spark.read.parquet(f"{path}/token"), ("cells", m.level): spark.read.parquet(f"{path}/cell"), ("counts", m.level): spark.read.parquet(f"{path}/cell_stats")}
 
     def check(self, q: DataFrame) -> DataFrame:
         """The batch, if the index holds all postings that it can need."""
@@ -76,10 +76,7 @@ class StoredIndex(P.Index):
         """Answers by both bounded probes."""
         from arealex.operators.verify import verify
 
-        counts = self._made["cell_stats"]
-        sig = P.cells_of(q, self.space, self.level, "query_id").join(counts, "cell")
-        cells = S.with_bound(sig, ["query_id"], S.element_order("cell"), "rest").join(P._totals(self, q), "query_id").where(P._enough_r(self, "rest")).select("query_id", "cell", "area", "tau_r_bp")
-        near = self.cells(self.level).select("object_id", "cell", "bound_r").join(cells, "cell").where(P._enough_r(self, "bound_r"))
+        near = P.grid_bounded_hits(self, q, self.level)
         return verify(self, q, P.pairs_of(self.token_hits(q)).intersect(P.pairs_of(near)))
 
     def append(self, objects: DataFrame) -> None:
@@ -89,7 +86,7 @@ class StoredIndex(P.Index):
         if outside.limit(1).count():
             raise ValueError("a rectangle lies outside the index's space")
         new = P.Index(objects, m.measure, space=s, stats=self.stats)
-        sig = S.grid_signature(objects, s, self.level).join(self._made["cell_stats"], "cell", "left").na.fill(0, ["n_obj"])
+        sig = S.grid_signature(objects, s, self.level).join(self.cell_counts(self.level), "cell", "left").na.fill(0, ["n_obj"])
         cells = S.with_bound(sig, ["object_id"], S.element_order("cell"), "bound_r")
         _written(new.tokens, "token", "bound_t", f"{self.path}/token", m.shards, "append")
         _written(cells, "cell", "bound_r", f"{self.path}/cell", m.shards, "append")
