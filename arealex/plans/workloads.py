@@ -73,10 +73,11 @@ def comparison(ix: P.Index, kind: str, tau_r_bp: int, tau_t_bp: int, methods: tu
 
 
 def sweep_answers(ix: P.Index, kind: str, thresholds: list[tuple[int, int]]) -> DataFrame:
-    """Answers for pairs of thresholds, rolled up as a cube."""
+    """Answers for pairs of thresholds, rolled up as a cube; -1 stands for all thresholds of a side."""
     q = query_set(ix, kind, *thresholds[0])
     rows = _table([verify(ix, own, P.two_filter(ix, own, X.LEVEL)).select(F.lit(r).alias("tau_r_bp"), F.lit(t).alias("tau_t_bp"), "query_id") for r, t in thresholds for own in [with_thresholds(q, r, t)]])
-    return rows.cube("tau_r_bp", "tau_t_bp").agg(F.count("*").alias("answers"), F.count_distinct("query_id").alias("queries"))
+    sums = rows.cube("tau_r_bp", "tau_t_bp").agg(F.count("*").alias("answers"), F.count_distinct("query_id").alias("queries"))
+    return sums.na.fill(-1, ["tau_r_bp", "tau_t_bp"])
 
 
 def part_of(objects: DataFrame, percent: int) -> DataFrame:

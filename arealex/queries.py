@@ -163,7 +163,7 @@ _PAIRS = [(1000, 1000), (1000, 4000), (4000, 1000), (4000, 4000)]
 _add(
     "threshold_cube",
     _on("activity", lambda ix: W.sweep_answers(ix, "large", _PAIRS)),
-    O.parts("activity", "large") + "".join(O.answer_parts(r, t).replace("near AS", f"near{k} AS").replace("FROM near n", f"FROM near{k} n").replace("alike", f"alike{k}").replace("shared", f"shared{k}").replace("answers AS", f"answers{k} AS") for k, (r, t) in enumerate(_PAIRS)) + ",\nall_ AS (" + " UNION ALL ".join(f"SELECT {r} AS tau_r_bp, {t} AS tau_t_bp, query_id FROM answers{k}" for k, (r, t) in enumerate(_PAIRS)) + ")\nSELECT tau_r_bp, tau_t_bp, count(*) AS answers, count(DISTINCT query_id) AS queries FROM all_ GROUP BY CUBE (tau_r_bp, tau_t_bp)",
+    O.parts("activity", "large") + "".join(O.answer_parts(r, t).replace("near AS", f"near{k} AS").replace("FROM near n", f"FROM near{k} n").replace("alike", f"alike{k}").replace("shared", f"shared{k}").replace("answers AS", f"answers{k} AS") for k, (r, t) in enumerate(_PAIRS)) + ",\nall_ AS (" + " UNION ALL ".join(f"SELECT {r} AS tau_r_bp, {t} AS tau_t_bp, query_id FROM answers{k}" for k, (r, t) in enumerate(_PAIRS)) + ")\nSELECT coalesce(tau_r_bp, -1) AS tau_r_bp, coalesce(tau_t_bp, -1) AS tau_t_bp, answers, queries FROM (SELECT tau_r_bp, tau_t_bp, count(*) AS answers, count(DISTINCT query_id) AS queries FROM all_ GROUP BY CUBE (tau_r_bp, tau_t_bp))",
 )
 _add("workload_scaling", lambda spark, sf_dir: W.scaling(kept(R.shipment(spark, sf_dir)), [20, 60, 100]))
 _add("self_search_document", _on("document", lambda ix: X.self_search(ix, 1000, 4000)), O.parts("document") + """,
