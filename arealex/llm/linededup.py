@@ -256,7 +256,8 @@ def classes(docs: DataFrame, tau: int = 2, least_chars: int = 20) -> DataFrame:
     lines = _lines(docs, least_chars)
     found = stored(lines.select("doc_id", "line_no", "id"))
     clusters = stored(connected(_ties(_posts(lines, tau), tau)).select("id", F.col("component").alias("cluster")))
-    members = stored(lines.select("id", "line").join(clusters, "id").groupBy("id", "cluster").agg(F.first("line").alias("line")))
+    # The clusters grow with the lines, so they aren't broadcast at any size.
+    members = stored(lines.select("id", "line").join(clusters.hint("shuffle_hash"), "id").groupBy("id", "cluster").agg(F.first("line").alias("line")))
     linked = connected(stored(_verified(members, tau)))
     each = found.groupBy("id").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "line_no")).alias("first"))
     each = stored(each.join(linked, "id", "left").withColumn("class", F.coalesce("component", "id")).drop("component"))
