@@ -197,7 +197,7 @@ def near_classes(docs: DataFrame, max_edits_percent: int = 10, least_likeness: f
     """
     from arealex.llm.components import connected
     from arealex.llm.linededup import within
-    from arealex.llm.neardup import BLOCK, _across, _stars, by_group, dealt
+    from arealex.llm.neardup import BLOCK, _across, _joined, _stars, by_group, dealt
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
 
@@ -217,7 +217,7 @@ def near_classes(docs: DataFrame, max_edits_percent: int = 10, least_likeness: f
 
     def meet(g: dict) -> Iterator[tuple[int, int]]:
         p = np.frombuffer(b"".join(g["print"]), np.uint8).reshape(-1, FUNCTIONS)
-        yield from _stars(g["id"], (likeness(p[:, None, :], p[None, :, :]) >= least_likeness) & _across(g["side"], len(p)))
+        yield from _joined(g["id"], likeness(p[:, None, :], p[None, :, :]) >= least_likeness, g["side"])
 
     ties = stored(lists.select("list", "bi", "bj", "id", "side", "print").mapInArrow(by_group(["list", "bi", "bj"], meet, ["id", "side", "print"]), "u long, v long"))
     clusters = stored(connected(ties).select("id", F.col("component").alias("cluster")))

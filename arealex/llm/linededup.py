@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from arealex.llm.common import mix64, span_hashes, stored
 from arealex.llm.components import connected
-from arealex.llm.neardup import _across, _stars, by_group, dealt
+from arealex.llm.neardup import _across, _joined, _stars, by_group, dealt
 
 LONG_LIST, BLOCK = 256, 128
 
@@ -222,7 +222,7 @@ def _ties(posts: DataFrame, tau: int) -> DataFrame:
     rows = dealt(long, "list", sizes, BLOCK).repartition("list", "bi", "bj").sortWithinPartitions("list", "bi", "bj")
 
     def work(g: dict) -> Iterator[tuple[int, int]]:
-        yield from _stars(g["id"], _close(g["sketch"].view(np.uint64), tau) & _across(g["side"], len(g["id"])))
+        yield from _joined(g["id"], _close(g["sketch"].view(np.uint64), tau), g["side"])
 
     more = rows.select("list", "bi", "bj", "id", "side", "sketch").mapInArrow(by_group(["list", "bi", "bj"], work, ["id", "side", "sketch"]), "u long, v long")
     return edges.unionByName(more)

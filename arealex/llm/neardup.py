@@ -142,6 +142,16 @@ def _across(side: np.ndarray, n: int) -> np.ndarray:
     return np.ones((n, n), bool) if (side == side[0]).all() else side[:, None] != side[None, :]
 
 
+def _joined(ids: np.ndarray, adjacent: np.ndarray, side: np.ndarray) -> Iterator[tuple[int, int]]:
+    """The spanning edges that a pair of blocks adds: in a single block all, else those that join components of the two, which the blocks' own tasks span."""
+    if (side == side[0]).all():
+        yield from _stars(ids, adjacent)
+        return
+    own, label = spanning(adjacent & (side[:, None] == side[None, :])), spanning(adjacent)
+    for k in np.flatnonzero((own == np.arange(len(own))) & (label != own)):
+        yield int(ids[k]), int(ids[label[k]])
+
+
 def tied(classes: DataFrame, percent: int) -> DataFrame:
     """Edges (u, v) that tie classes (id, posts, sig) with enough equal coordinates; a spanning set for each list."""
     m = least_matches(POSTED, percent)
@@ -167,7 +177,7 @@ def tied(classes: DataFrame, percent: int) -> DataFrame:
         equal = np.zeros((len(ids), len(ids)), np.uint8)
         for k in range(COORDS):
             equal += sig[:, k, None] == sig[None, :, k]
-        yield from _stars(ids, (equal >= need) & _across(g["side"], len(ids)))
+        yield from _joined(ids, equal >= need, g["side"])
 
     return parted.select("value", "bi", "bj", "id", "side", "sig").mapInArrow(by_group(["value", "bi", "bj"], work, ["id", "side", "sig"]), "u long, v long")
 
@@ -208,7 +218,7 @@ def confirmed(members: DataFrame, percent: int, words: int) -> DataFrame:
         both = shared_counts(sets)
         n = np.array([len(s) for s in sets])
         adjacent = 100 * both >= percent * (n[:, None] + n[None, :] - both)
-        yield from _stars(g["id"], adjacent & _across(g["side"], len(n)))
+        yield from _joined(g["id"], adjacent, g["side"])
 
     return parted.select("cluster", "bi", "bj", "id", "side", "text").mapInArrow(by_group(["cluster", "bi", "bj"], work, ["id", "side", "text"]), "u long, v long")
 
