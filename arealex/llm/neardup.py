@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from arealex.llm.common import mix64, span_hashes, stored, word_spans
 from arealex.llm.components import connected, spanning
 
-COORDS, POSTED, BLOCK, LOSS = 64, 20, 128, 1e-6
+COORDS, POSTED, BLOCK, LIST_BLOCK, LOSS = 64, 20, 128, 512, 1e-6
 
 _rng = np.random.default_rng(20240229)
 _FACTORS = _rng.integers(1, 1 << 63, COORDS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -164,7 +164,7 @@ def tied(classes: DataFrame, percent: int) -> DataFrame:
     used = ranked.where(F.col("rank") <= F.col("lists") - (m - 1)).select("id", "value")
     used = stored(used.join(classes.select("id", "sig"), "id"))
     sizes = used.groupBy("value").agg(F.count("*").alias("n")).where("n > 1")
-    rows = dealt(used, "value", sizes, BLOCK)
+    rows = dealt(used, "value", sizes, LIST_BLOCK)
     parted = rows.repartition("value", "bi", "bj").sortWithinPartitions("value", "bi", "bj")
 
     def work(g: dict) -> Iterator[tuple[int, int]]:
