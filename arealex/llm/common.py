@@ -104,17 +104,29 @@ def _power_table(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers["up"], _powers["down"]
 
 
-def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """64-bit hashes of data[start:end] for many spans at once (polynomial in a fixed odd base, then mixed)."""
-    if not len(starts):
-        return np.zeros(0, np.uint64)
-    up, down = _power_table(len(data) + 1)
+def prefix_sums(data: np.ndarray) -> np.ndarray:
+    """Running sums from which spans_of gets the hash of any span of data."""
+    up, _ = _power_table(len(data) + 1)
+    total = np.zeros(len(data) + 1, np.uint64)
     with np.errstate(over="ignore"):
-        total = np.zeros(len(data) + 1, np.uint64)
         np.cumsum((data.astype(np.uint64) + np.uint64(1)) * up[: len(data)], out=total[1:])
+    return total
+
+
+def spans_of(total: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """64-bit hashes of spans of the data that ``total`` was summed over (polynomial in a fixed odd base, then mixed)."""
+    _, down = _power_table(len(total))
+    with np.errstate(over="ignore"):
         return mix64((total[ends] - total[starts]) * down[starts] + (ends - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
 
 
+def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """64-bit hashes of data[start:end] for many spans at once."""
+    if not len(starts):
+        return np.zeros(0, np.uint64)
+    return spans_of(prefix_sums(data), starts, ends)
+
+
 _SPACE_BYTES = np.zeros(256, bool)
 _SPACE_BYTES[[9, 10, 11, 12, 13, 32]] = True
 

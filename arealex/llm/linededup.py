@@ -14,11 +14,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from arealex.llm.common import mix64, span_hashes, stored
+from arealex.llm.common import mix64, prefix_sums, spans_of, stored
 from arealex.llm.components import connected
 from arealex.llm.neardup import _across, _joined, _stars, by_group, dealt
 
-LONG_LIST, BLOCK = 256, 128
+LONG_LIST, BLOCK, NEAR = 256, 128, 16
 
 
 def segments(n: int, tau: int) -> list[tuple[int, int]]:
@@ -39,6 +39,7 @@ def probe_starts(n: int, m: int, k: int, start: int, size: int, tau: int) -> ran
 def line_keys(lengths: np.ndarray, chars: np.ndarray, begin: np.ndarray, tau: int) -> tuple[np.ndarray, np.ndarray]:
     """(key, line) of all segments posted and probed, for lines laid end to end in ``chars``."""
     keys, owner = [], []
+    total = prefix_sums(chars)
     for d in range(tau + 1):
         m = lengths - d
         short, longer = np.divmod(m, tau + 1)
@@ -56,7 +57,7 @@ def line_keys(lengths: np.ndarray, chars: np.ndarray, begin: np.ndarray, tau: in
                 s = begin[ok] + at[ok]
                 with np.errstate(over="ignore"):
                     label = mix64(m[ok].astype(np.uint64) * np.uint64(64) + np.uint64(k))
-                    keys.append(mix64(span_hashes(chars, s, s + size[ok]) ^ label))
+                    keys.append(mix64(spans_of(total, s, s + size[ok]) ^ label))
                 owner.append(ok)
     if not keys:
         return np.zeros(0, np.uint64), np.zeros(0, np.int64)
@@ -176,29 +177,40 @@ def _ties(posts: DataFrame, tau: int) -> DataFrame:
 
         def deal(cols: list[np.ndarray], last: bool) -> pa.RecordBatch:
             nonlocal rest, long_key
-            key = cols[0]
+            key, who, sk, mark = cols[0], cols[1], cols[2].view(np.uint64), cols[3]
             cuts = np.concatenate(([0], np.flatnonzero(key[1:] != key[:-1]) + 1, [len(key)])) if len(key) else np.zeros(1, np.int64)
-            edges, passed = [], []
             size = np.diff(cuts)
             done = len(size) if last or not len(size) else len(size) - 1
             if done < len(size) and (size[-1] > LONG_LIST or long_key == int(key[-1])):
                 done, long_key = len(size), int(key[-1])
-            for k in range(done) if long_key is not None or (cols[3] == 1).any() else np.flatnonzero(size[:done] > 1):
-                a, b = cuts[k], cuts[k + 1]
-                who, sk, mark = cols[1][a:b], cols[2][a:b].view(np.uint64), cols[3][a:b]
-                if b - a > LONG_LIST or mark.any() or key[a] == long_key:
-                    own = mark != 2
-                    passed.append((key[a:b][own], who[own], cols[2][a:b][own]))
-                elif b - a == 2:
-                    if who[0] != who[1] and int(sk[0] ^ sk[1]).bit_count() <= 4 * tau:
-                        edges.append((int(who[0]), int(who[1])))
-                elif b - a > 2:
-                    edges += _stars(who, _close(sk, tau))
+            edges: list[tuple[int, int]] = []
+            u = v = pk = pi = ps = np.zeros(0, np.int64)
+            if done:
+                long = size[:done] > LONG_LIST
+                long |= np.logical_or.reduceat(mark[: cuts[done]] != 0, cuts[:done])
+                if long_key is not None:
+                    long |= key[cuts[:done]] == long_key
+                spot = np.repeat(np.arange(done), size[:done])
+                pass_on = np.flatnonzero(long[spot] & (mark[: len(spot)] != 2))
+                pk, pi, ps = key[pass_on], who[pass_on], cols[2][pass_on]
+                # Lists of up to NEAR rows are looked into further only if some pair of them is close.
+                look = ~long & (size[:done] > NEAR)
+                for step in range(1, min(NEAR, int(size[:done].max()))):
+                    at = np.flatnonzero((spot[step:] == spot[:-step]) & ~long[spot[step:]])
+                    at = at[(np.bitwise_count(sk[at] ^ sk[at + step]) <= 4 * tau) & (who[at] != who[at + step])]
+                    if step == 1:
+                        two = at[size[spot[at]] == 2]
+                        u, v = who[two], who[two + 1]
+                        at = at[size[spot[at]] > 2]
+                    look[spot[at]] = True
+                for k in np.flatnonzero(look):
+                    edges += _stars(who[cuts[k] : cuts[k + 1]], _close(sk[cuts[k] : cuts[k + 1]], tau))
             if long_key is not None and (not len(key) or int(key[-1]) != long_key or last):
                 long_key = None
+            if edges:
+                more = np.array(edges, np.int64)
+                u, v = np.concatenate((u, more[:, 0])), np.concatenate((v, more[:, 1]))
             rest = [c[cuts[done] :] for c in cols]
-            u, v = (np.array(x, np.int64) for x in (zip(*edges, strict=True) if edges else ((), ())))
-            pk, pi, ps = (np.concatenate(x) for x in zip(*passed, strict=True)) if passed else (np.zeros(0, np.int64),) * 3
             kind = np.concatenate((np.zeros(len(u), np.int8), np.ones(len(pk), np.int8)))
             return pa.RecordBatch.from_arrays([pa.array(kind), pa.array(np.concatenate((u, pk))), pa.array(np.concatenate((v, pi))), pa.array(np.concatenate((np.zeros(len(u), np.int64), ps)))], names=["kind", "a", "b", "c"])
 

@@ -132,6 +132,8 @@ def by_group(keys: list[str], work: Callable[[dict[str, np.ndarray | list]], Ite
 
 
 def _stars(ids: np.ndarray, adjacent: np.ndarray) -> Iterator[tuple[int, int]]:
+    if adjacent.sum() == np.trace(adjacent):
+        return
     label = spanning(adjacent)
     for k in np.flatnonzero(label != np.arange(len(label))):
         yield int(ids[k]), int(ids[label[k]])
