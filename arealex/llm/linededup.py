@@ -268,8 +268,12 @@ def classes(docs: DataFrame, tau: int = 2, least_chars: int = 20) -> DataFrame:
     lines = _lines(docs, least_chars)
     found = stored(lines.select("doc_id", "line_no", "id"))
     clusters = stored(connected(_ties(_posts(lines, tau), tau)).select("id", F.col("component").alias("cluster")))
-    # The clusters grow with the lines, so they aren't broadcast at any size.
-    members = stored(lines.select("id", "line").join(clusters.hint("shuffle_hash"), "id").groupBy("id", "cluster").agg(F.first("line").alias("line")))
+    # A line's text comes from its first place, so a very common line is looked up once and not sent to one task.
+    places = found.groupBy("id").agg(F.min(F.struct("doc_id", "line_no")).alias("first")).join(clusters, "id")
+    places = stored(places.select("id", "cluster", F.col("first.doc_id").alias("_d"), F.col("first.line_no").alias("_n")))
+    same = (lines["id"] == places["id"]) & lines["doc_id"].eqNullSafe(places["_d"]) & (lines["line_no"] == places["_n"])
+    members = lines.join(places.hint("shuffle_hash"), same).select(places["id"], "cluster", "line")
+    members = stored(members.groupBy("id", "cluster").agg(F.first("line").alias("line")))
     linked = connected(stored(_verified(members, tau)))
     each = found.groupBy("id").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "line_no")).alias("first"))
     each = stored(each.join(linked, "id", "left").withColumn("class", F.coalesce("component", "id")).drop("component"))
