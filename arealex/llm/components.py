@@ -20,12 +20,14 @@ def connected(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
         if not seen[0]:
             break
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("low")).select("u", F.least("u", "low").alias("low"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("low").alias("v")).distinct()
-        floor = large.groupBy("u").agg(F.min("v").alias("low"))
+        # Minima are written, as the planner splits a hub's rows only in joins straight on shuffled tables.
+        low = stored(both.groupBy("u").agg(F.min("v").alias("low")).select("u", F.least("u", "low").alias("low")))
+        large = stored(both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("low").alias("v")).distinct())
+        floor = stored(large.groupBy("u").agg(F.min("v").alias("low")))
         small = large.join(floor, "u").select(F.when(F.col("v") == F.col("low"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("low").alias("v"))
         new = stored(small.distinct())
-        forget(now)
+        for old in (now, low, large, floor):
+            forget(old)
         now, before = new, seen
         seen = now.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if seen == before:

@@ -89,7 +89,8 @@ def sign(docs: DataFrame, words: int = 5) -> DataFrame:
 
 def dealt(rows: DataFrame, key: str, sizes: DataFrame, block: int) -> DataFrame:
     """Rows with a group key as pairs of blocks: a group of at most ``block`` rows is one pair (0, 0); a longer one has each pair of its blocks once. Adds bi, bj and side (the row's own block). ``sizes`` has (key, n) of the groups that count."""
-    out = rows.join(sizes.select(key, F.ceil(F.col("n") / block).cast("int").alias("blocks")), key)
+    # Written, as the planner splits a long group's rows only in a join straight on shuffled tables.
+    out = rows.join(stored(sizes.select(key, F.ceil(F.col("n") / block).cast("int").alias("blocks"))), key)
     out = out.withColumn("side", F.pmod(F.xxhash64("id", F.lit(5)), F.col("blocks")).cast("int"))
     out = out.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     return out.select("*", F.least("side", "other").alias("bi"), F.greatest("side", "other").alias("bj")).drop("other", "blocks")
@@ -159,7 +160,7 @@ def tied(classes: DataFrame, percent: int) -> DataFrame:
     m = least_matches(POSTED, percent)
     need = least_matches(COORDS, percent)
     posts = classes.select("id", F.explode("posts").alias("value"))
-    lists = posts.groupBy("value").agg(F.count("*").alias("n")).where("n > 1")
+    lists = stored(posts.groupBy("value").agg(F.count("*").alias("n")).where("n > 1"))
     own = Window.partitionBy("id")
     ranked = posts.join(lists, "value").select("id", "value", F.row_number().over(own.orderBy("n", "value")).alias("rank"), F.count("*").over(own).alias("lists"))
     # The lists of one come first in the order, so of the others all but the m - 1 longest are used.
