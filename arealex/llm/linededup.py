@@ -79,6 +79,14 @@ def sketches(lengths: np.ndarray, chars: np.ndarray, begin: np.ndarray) -> np.nd
     return out
 
 
+def sketch_parts(tau: int) -> list[tuple[int, int]]:
+    """First bit and width of 4 * tau + 1 disjoint parts that make up the 64 bits of a sketch: of any 4 * tau bits, one part has none."""
+    parts = min(4 * tau + 1, 64)
+    cuts = [64 * k // parts for k in range(parts + 1)]
+    # More flips than there are bits leave nothing to split by: one empty part holds all.
+    return [(0, 0)] if 4 * tau >= 64 else [(a, b - a) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+
+
 def within(a: str, b: str, tau: int) -> bool:
     """Whether the edit distance is at most tau: shared ends are cut off, then a band of 2 * tau + 1 diagonals is kept as bits."""
     if a == b:
@@ -223,12 +231,10 @@ def _ties(posts: DataFrame, tau: int) -> DataFrame:
     listed = posts.repartition(F.when(F.col("hot") == 1, F.col("id")).otherwise(F.col("key"))).sortWithinPartitions("key")
     found = stored(listed.mapInArrow(short, "kind byte, a long, b long, c long"))
     edges = found.where("kind = 0").select(F.col("a").alias("u"), F.col("b").alias("v"))
-    # Close sketches agree in at least one of 4 * tau + 1 parts.
-    parts = 4 * tau + 1
-    wide = -(-64 // parts)
     long = found.where("kind = 1").select(F.col("a").alias("key"), F.col("b").alias("id"), F.col("c").alias("sketch"))
     long = long.distinct()
-    cut = [F.struct(F.lit(k).alias("part"), F.shiftrightunsigned("sketch", k * wide).bitwiseAND(F.lit((1 << wide) - 1)).alias("bits")) for k in range(parts)]
+    # Close sketches agree in at least one of the parts.
+    cut = [F.struct(F.lit(k).alias("part"), F.shiftrightunsigned("sketch", start).bitwiseAND(F.lit((1 << size) - 1 if size < 64 else -1)).alias("bits")) for k, (start, size) in enumerate(sketch_parts(tau))]
     long = stored(long.select("id", "sketch", "key", F.explode(F.array(*cut)).alias("p")).select("id", "sketch", F.xxhash64("key", "p.part", "p.bits").alias("list")))
     sizes = long.groupBy("list").agg(F.count("*").alias("n")).where("n > 1")
     rows = dealt(long, "list", sizes, BLOCK).repartition("list", "bi", "bj").sortWithinPartitions("list", "bi", "bj")

@@ -304,6 +304,29 @@ def test_linededup(spark, docs, odd, empty, texts, monkeypatch):
     assert linededup.classes(empty).count() == 0 and linededup.without_repeats(empty).count() == 0
 
 
+def test_sketch_parts_are_disjoint_and_whole():
+    for tau in range(16):
+        bits = [b for start, size in linededup.sketch_parts(tau) for b in range(start, start + size)]
+        assert bits == list(range(64)) and len(linededup.sketch_parts(tau)) == 4 * tau + 1
+        assert all(size for _, size in linededup.sketch_parts(tau))
+
+
+def test_long_list_finds_a_flip_in_each_byte(spark):
+    rng = random.Random(12)
+    signed = lambda x: x - (1 << 64) if x >> 63 else x
+    rows, pairs = [], set()
+    for k in range(40):
+        s = rng.getrandbits(64)
+        t = s
+        for byte in range(8):
+            t ^= 1 << 8 * byte + rng.randrange(8)
+        rows += [(7, 2 * k, signed(s), 1), (7, 2 * k + 1, signed(t), 1)]
+        pairs.add((2 * k, 2 * k + 1))
+    posts = spark.createDataFrame(rows, "key long, id long, sketch long, hot byte")
+    got = {tuple(sorted((r.u, r.v))) for r in linededup._ties(posts, 2).collect()}
+    assert pairs <= got
+
+
 def test_fingerprints(spark, docs, odd, empty, texts):
     order = sorted(texts, reverse=True)
     got = {r.doc_id: r for r in fingerprints.compare_neighbours(docs).collect()}
