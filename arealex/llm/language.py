@@ -80,14 +80,15 @@ def fit(samples: dict[str, list[str]], per_language: int = 4, size: int = 8192,
     if not samples:
         return Centroids(np.ones(size, np.float32), np.zeros((0, size), np.float32), [], np.zeros(0))
     held = np.zeros(size)
-    counts = {k: np.stack([gram_counts(t, size) for t in v]).astype(np.float16) for k, v in samples.items()}
     n = sum(map(len, samples.values()))
-    for m in counts.values():
-        held += (m > 0).sum(0)
+    for v in samples.values():
+        for t in v:
+            held += gram_counts(t, size) > 0
     idf = (np.log((1 + n) / (1 + held)) + 1).astype(np.float32)
     rows, langs, floor = [], [], []
-    for lang, m in counts.items():
-        x = _unit(np.log1p(m.astype(np.float32)) * idf)
+    # Texts are counted again, so that only one language's counts are held at a time.
+    for lang, v in samples.items():
+        x = _unit(np.log1p(np.stack([gram_counts(t, size) for t in v])) * idf)
         k = min(per_language, len(x))
         # Far-apart starts: each next one is the text least like those taken.
         starts = [int((x @ x.mean(0)).argmax())]
@@ -107,24 +108,36 @@ def fit(samples: dict[str, list[str]], per_language: int = 4, size: int = 8192,
     return Centroids(idf, np.stack(rows).astype(np.float32), langs, np.array(floor))
 
 
-def sample(docs: DataFrame, per_language: int, most_languages: int = 64) -> dict[str, list[str]]:
-    """At most ``per_language`` texts for each of the ``most_languages`` most frequent values of lang: those with the smallest hash of the id, the same ones in every run."""
-    known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull())
-    sizes = known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(most_languages).collect()
-    out: dict[str, list[str]] = {}
-    for lang, _ in sizes:
-        ids = [r[0] for r in known.where(F.col("lang") == lang).select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(per_language).collect()]
-        out[lang] = ids
-    flat = [(i, lang) for lang, ids in out.items() for i in ids]
+def sample(docs: DataFrame, per_language: int) -> dict[str, list[str]]:
+    """At most ``per_language`` texts for each value of lang: those with the smallest hash of the id, the same ones in every run. Rows without doc_id are not learned from; equal rows count once."""
+    known = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & F.col("text").isNotNull())
+    sizes = dict(known.groupBy("lang").count().collect())
+    spark = docs.sparkSession
+    flat: list[tuple[int, str]] = []
+    # Hashes are even, so a share of them holds about that share of the ids; a language whose ids repeat gets a larger share until it has enough.
+    share = {lang: 2.0 * (per_language + 20) / n for lang, n in sizes.items()}
+    while share:
+        limits = [(lang, min((1 << 63) - 1, int(x * 2.0**64) - (1 << 63))) for lang, x in share.items()]
+        limit = spark.createDataFrame(limits, "lang string, most long")
+        low = known.select("lang", "doc_id", F.xxhash64("doc_id").alias("hash")).join(F.broadcast(limit), "lang").where("hash <= most")
+        found: dict[str, list[tuple[int, int]]] = {lang: [] for lang in share}
+        for lang, doc_id, h in low.select("lang", "doc_id", "hash").distinct().collect():
+            found[lang].append((h, doc_id))
+        for lang, ids in found.items():
+            if len(ids) >= per_language or share[lang] >= 1:
+                flat += [(i, lang) for _, i in sorted(ids)[:per_language]]
+                del share[lang]
+            else:
+                share[lang] *= 8
     if not flat:
         return {}
-    wanted = docs.sparkSession.createDataFrame(flat, "doc_id long, want string")
-    # The list has at most per_language * most_languages ids.
-    rows = known.join(F.broadcast(wanted), "doc_id").where(F.col("lang") == F.col("want")).select("lang", "doc_id", "text").collect()
-    found: dict[str, list[str]] = {}
+    wanted = spark.createDataFrame(flat, "doc_id long, want string")
+    # The list has at most per_language ids for each language.
+    rows = known.join(F.broadcast(wanted), "doc_id").where(F.col("lang") == F.col("want")).select("lang", "doc_id", "text").distinct().collect()
+    texts: dict[str, list[str]] = {}
     for lang, _, text in sorted(rows):
-        found.setdefault(lang, []).append(text)
-    return {k: v[:per_language] for k, v in found.items()}
+        texts.setdefault(lang, []).append(text)
+    return {k: v[:per_language] for k, v in texts.items()}
 
 
 def train(docs: DataFrame, per_language_texts: int = 400, **options) -> Centroids:

@@ -122,6 +122,25 @@ def test_language(docs, odd, empty):
     assert language.train(empty).predict(["some text"])[0][0] == "und"
 
 
+def test_language_learns_very_long_texts():
+    texts = {"xa": ["alpha beta gamma delta " * 25_000, "alpha beta gamma"], "xb": ["omicron sigma upsilon " * 30, "sigma omicron"]}
+    model = language.fit(texts)
+    assert np.isfinite(model.matrix).all() and np.isfinite(model.floor).all()
+    got = model.predict(["beta gamma delta alpha", "upsilon sigma omicron", texts["xa"][0]])
+    assert [x[0] for x in got] == ["xa", "xb", "xa"] and all(np.isfinite(x[1:3]).all() for x in got)
+
+
+def test_language_learns_every_value(spark):
+    # 70 languages of their own letters; ids repeat in one of them.
+    word = lambda k: "".join(chr(0x4E00 + 40 * k + j) for j in range(20))
+    rows = [(10 * k + j, word(k)[j:] + f" {j}", f"l{k:02}") for k in range(70) for j in range(3)] + [(5, word(0), "l00")] * 30
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    found = language.sample(docs, 2)
+    assert sorted(found) == sorted({r[2] for r in rows}) and all(len(v) == 2 for v in found.values())
+    model = language.train(docs)
+    assert [x[0] for x in model.predict([word(k) for k in range(70)])] == [f"l{k:02}" for k in range(70)]
+
+
 def plain_components(n, link):
     label = list(range(n))
 
