@@ -1,6 +1,6 @@
 """Mixing sources to target weights by entropy balancing, with built-in functions only.
 
-Every token of a source counts alike, so the balanced rates minimise the token-weighted entropy relative to one copy each, under one token constraint a source. The dual is convex with one multiplier for each source; Newton's steps on it run over the pre-aggregated sums, source by source, and a document's rate is the exponential tilt of its source's multiplier. Rates are rounded into whole copies: the whole part for all, one more for documents in a fixed random order until the source's tokens are met, then single documents that fit what is left.
+Every token of a source counts alike, so the balanced rates minimise the token-weighted entropy relative to one copy each, under one token constraint a source. The dual is convex with one multiplier for each source; Newton's steps on it run over the pre-aggregated sums, source by source, and a document's rate is the exponential tilt of its source's multiplier. Rates are rounded into whole copies: the whole part for all, one more for documents in a fixed random order until the source's tokens are met. A document that is too long for what is left is passed over, and the order is gone through again, as often as any document still fits. What is left then is shorter than any document without that copy; it is made up, as far as that brings the source nearer, by the next longer document in exchange for taken ones.
 """
 
 from __future__ import annotations
@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from arealex.llm.common import SPACES, stored
+from arealex.llm.common import SPACES, forget, stored
 
 #: Sources are broadcast only up to this many rows (about 100 bytes each); beyond it, joins shuffle.
 BROADCAST_ROWS = 20_000
@@ -51,7 +51,64 @@ def _join(left: DataFrame, sources: DataFrame, n_sources: int, names: list[str])
     return left.join(right, F.col("source").eqNullSafe(F.col("_s")), "left").drop("_s")
 
 
-def mix(docs: DataFrame, fills: int = 6, weights: tuple[int, ...] = (5, 2, 1), share_percent: int = 150, most: int = 2) -> DataFrame:
+def _upto(rows: DataFrame) -> DataFrame:
+    """Adds ``upto``, the running sum of size in a source by the random place. No task gets a whole source: sums of 4096 ranges of the place, then within a range."""
+    ranged = rows.withColumn("range", F.substring("place", 1, 3))
+    sums = ranged.groupBy("source", "range").agg(F.sum("size").alias("range_size"))
+    before = Window.partitionBy("source").orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
+    sums = sums.withColumn("before", F.coalesce(F.sum("range_size").over(before), F.lit(0))).select(F.col("source").alias("_s"), F.col("range").alias("_r"), "before")
+    inside = Window.partitionBy("source", "range").orderBy("place", "doc_id", "size", "row")
+    placed = ranged.withColumn("inside", F.sum("size").over(inside.rowsBetween(Window.unboundedPreceding, Window.currentRow)))
+    return placed.join(sums, F.col("source").eqNullSafe(F.col("_s")) & (F.col("range") == F.col("_r"))).withColumn("upto", F.col("before") + F.col("inside")).drop("_s", "_r", "range", "before", "inside")
+
+
+def _can(left: Column, most: int) -> Column:
+    """Whether a document can have one copy more where words are missing, or one less where there are too many; copies stay the rate's whole part or one above."""
+    more = (left > 0) & (F.col("copies") == F.col("whole")) & (F.col("copies") < most)
+    return F.coalesce((F.col("size") > 0) & (more | (left < 0) & (F.col("copies") > F.col("whole"))), F.lit(False))
+
+
+def _balanced(picked: DataFrame, n: int, most: int) -> tuple[DataFrame, DataFrame]:
+    """Running sums over the documents that fit what a source lacks or has too much, until none fits; the result and (source, left). Each round settles a document at least, and a random order leaves about half of the words for the next."""
+    while True:
+        lack = F.round(F.first("target")).cast("long") - F.sum(F.col("copies") * F.col("size"))
+        least = [F.min(F.when(_can(F.lit(x), most), F.col("size"))).alias(c) for x, c in ((1, "least_free"), (-1, "least_taken"))]
+        left = stored(picked.groupBy("source").agg(lack.alias("left"), *least))
+        fitting = left.where("(left > 0 and least_free <= left) or (left < 0 and least_taken <= -left)")
+        if fitting.isEmpty():
+            return picked, left.select("source", "left")
+        state = _join(picked, fitting, n, ["left"])
+        fits = _can(F.col("left"), most) & (F.col("size") <= F.abs("left"))
+        step = F.when(F.col("upto") <= F.abs("left"), F.signum("left").cast("long")).otherwise(F.lit(0))
+        moved = _upto(state.where(fits)).withColumn("copies", F.col("copies") + step)
+        old, picked = picked, stored(state.where(~F.coalesce(fits, F.lit(False))).select(*picked.columns).unionByName(moved.select(*picked.columns)))
+        forget(old)
+
+
+def _exchanged(picked: DataFrame, left: DataFrame, n: int, most: int) -> DataFrame:
+    """For sources that miss their target though nothing fits: the shortest document above the rest changes its copy, and what this is too much goes back by running sums. A source keeps the change if it is nearer then; ends when none is."""
+    names = picked.columns
+    while True:
+        over = _can(F.col("left"), most) & (F.col("size") > F.abs("left"))
+        best = _join(picked, left.where("left <> 0"), n, ["left"]).where(over)
+        best = best.groupBy("source").agg(F.min(F.struct("size", "place", "doc_id", "row", F.signum("left").cast("long").alias("step"))).alias("b"))
+        best = stored(best.select(F.col("b.row").alias("row"), F.col("b.step").alias("step")))
+        if best.isEmpty():
+            return picked
+        turned = picked.withColumn("was", F.col("copies")).join(F.broadcast(best) if n <= BROADCAST_ROWS else best, "row", "left")
+        tried, after = _balanced(stored(turned.withColumn("copies", F.col("copies") + F.coalesce("step", F.lit(0))).select(*names, "was")), n, most)
+        after = after.withColumnRenamed("left", "new")
+        both = _join(left, after, n, ["new"]).withColumn("nearer", F.abs("new") < F.abs("left"))
+        both = stored(both.select("source", "nearer", F.when(F.col("nearer"), F.col("new")).otherwise(F.col("left")).alias("left")))
+        if both.where("nearer").isEmpty():
+            forget(tried)
+            return picked
+        old, picked = picked, stored(_join(tried, both, n, ["nearer"]).withColumn("copies", F.when(F.col("nearer"), F.col("copies")).otherwise(F.col("was"))).select(*names))
+        forget(old), forget(tried)
+        left = both.select("source", "left")
+
+
+def mix(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share_percent: int = 150, most: int = 2) -> DataFrame:
     """doc_id, source, size, source_size, target, rate, copies and taken for each row of ``docs`` (doc_id, source, text).
 
     Null texts have size 0; null is a source like others. Repeated rows are decided one by one, and which of several equal rows gets a copy doesn't matter. An empty table gives an empty result. Other columns are ignored. Copies are whole documents, 0 to the limit of ``targets``.
@@ -60,39 +117,11 @@ def mix(docs: DataFrame, fills: int = 6, weights: tuple[int, ...] = (5, 2, 1), s
     d = stored(sized.withColumn("row", F.monotonically_increasing_id()).withColumn("place", F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary"))))
     s = targets(d.groupBy("source").agg(F.sum("size").alias("source_size")), weights, share_percent, most)
     rate = F.coalesce(F.exp(multiplier(F.col("source_size").cast("double"), F.col("target"))), F.lit(0.0))
-    s = s.withColumn("rate", rate).withColumn("whole", F.floor(F.col("rate") + 1e-9).cast("long"))
-    s = stored(s.withColumn("more", F.greatest(F.round("target").cast("long") - F.col("whole") * F.col("source_size"), F.lit(0))))
+    s = stored(s.withColumn("rate", rate).withColumn("whole", F.floor(F.col("rate") + 1e-9).cast("long")))
     n = s.count()
-    # Running sums without one task for each source: sums of 4096 ranges of the random place, then within a range.
-    ranged = d.withColumn("range", F.substring("place", 1, 3))
-    sums = ranged.groupBy("source", "range").agg(F.sum("size").alias("range_size"))
-    before = Window.partitionBy("source").orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
-    sums = sums.withColumn("before", F.coalesce(F.sum("range_size").over(before), F.lit(0))).select(F.col("source").alias("_s"), F.col("range").alias("_r"), "before")
-    inside = Window.partitionBy("source", "range").orderBy("place", "doc_id", "size", "row")
-    placed = ranged.withColumn("inside", F.sum("size").over(inside.rowsBetween(Window.unboundedPreceding, Window.currentRow)))
-    placed = placed.join(sums, F.col("source").eqNullSafe(F.col("_s")) & (F.col("range") == F.col("_r"))).withColumn("upto", F.col("before") + F.col("inside")).drop("_s", "_r", "range", "before", "inside")
-    placed = _join(placed, s, n, ["source_size", "target", "rate", "whole", "more"])
-    picked = stored(placed.withColumn("extra", (F.col("upto") <= F.col("more")) & (F.col("size") > 0)).drop("upto"))
-    # Single documents, one copy more or less, that bring a source nearest to its target; one for each source and step.
-    picked = picked.withColumn("copies", (F.col("whole") + F.col("extra").cast("int")).cast("long")).drop("extra", "whole", "more")
-    left = picked.groupBy("source").agg((F.round(F.first("target")).cast("long") - F.sum(F.col("copies") * F.col("size"))).alias("left"))
-    chosen = None
-    for _ in range(fills):
-        left = stored(left.where("left <> 0"))
-        free = picked.where("size > 0")
-        if chosen is not None:
-            marks = chosen.select("row")
-            free = free.join(F.broadcast(marks) if n <= BROADCAST_ROWS else marks, "row", "left_anti")
-        free = _join(free, left, n, ["left"]).where(F.col("left").isNotNull())
-        turns = F.array(*[F.when(ok, F.struct(F.abs(F.col("left") - k * F.col("size")).alias("off"), F.col("place"), F.col("doc_id"), F.col("row"), F.lit(k).cast("long").alias("step"), (F.col("left") - k * F.col("size")).alias("left"))) for k, ok in ((1, F.col("copies") < most), (-1, F.col("copies") > 0))])
-        better = F.filter(turns, lambda x: x.isNotNull() & (x["off"] < F.abs(F.col("left"))))
-        best = free.select("source", F.explode(better).alias("b")).groupBy("source").agg(F.min("b").alias("b"))
-        best = stored(best.select("source", F.col("b.row").alias("row"), F.col("b.step").alias("step"), F.col("b.left").alias("left")))
-        chosen = best.select("row", "step") if chosen is None else chosen.unionByName(best.select("row", "step"))
-        left = best.select("source", "left")
-    out = picked.join(F.broadcast(chosen) if n <= BROADCAST_ROWS else chosen, "row", "left")
-    copies = F.col("copies") + F.coalesce(F.col("step"), F.lit(0))
-    return out.select("doc_id", "source", "size", "source_size", "target", "rate", copies.alias("copies")).withColumn("taken", F.col("copies") * F.col("size"))
+    start = _join(d, s, n, ["source_size", "target", "rate", "whole"]).withColumn("copies", F.col("whole"))
+    picked = _exchanged(*_balanced(stored(start), n, most), n, most)
+    return picked.select("doc_id", "source", "size", "source_size", "target", "rate", "copies").withColumn("taken", F.col("copies") * F.col("size"))
 
 
 def mixed(docs: DataFrame, **options) -> DataFrame:

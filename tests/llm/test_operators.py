@@ -216,6 +216,21 @@ def test_mixing(docs, odd, empty):
     assert mixing.mixed(odd).columns == odd.columns and mixing.mixed(empty).count() == 0
 
 
+def test_mixing_passes_over_long_texts(spark):
+    from pyspark.sql import functions as F
+
+    def place(k):
+        return hashlib.md5(str(k).encode()).hexdigest()
+
+    order = sorted(range(3000), key=place)
+    for wanted, at in ((25, 40), (25, 2900), (75, 2900), (75, 40)):
+        # One text as long as all others, early or late in the order; one source, so it gets the whole share.
+        rows = [(k, "w " * (30_000 if k == order[at] else 10), "a") for k in range(3000)]
+        docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+        got = mixing.mix(docs, share_percent=wanted).agg(F.first("target").alias("t"), F.sum("taken").alias("n"), F.max("copies").alias("c")).first()
+        assert abs(got.t - got.n) <= 10 and got.c == 1
+
+
 def test_secrets(docs, odd, empty, texts):
     for r in secrets.scan(docs.unionByName(odd.select(docs.columns))).collect():
         t = texts.get(r.doc_id)
