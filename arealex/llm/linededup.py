@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from arealex.llm.common import mix64, prefix_sums, spans_of, stored
+from arealex.llm.common import WORD, mix64, prefix_sums, spans_of, stored
 from arealex.llm.components import connected
 from arealex.llm.neardup import _across, _joined, _stars, by_group, dealt
 
@@ -130,10 +130,10 @@ def within(a: str, b: str, tau: int) -> bool:
     return cost <= tau
 
 
-def _lines(docs: DataFrame, least: int) -> DataFrame:
-    """doc_id, line_no (from 0), id (hash of the line) and line, of lines with at least ``least`` characters."""
+def _lines(docs: DataFrame) -> DataFrame:
+    """doc_id, line_no (from 0), id (hash of the line) and line, of all lines."""
     exploded = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
-    return exploded.where(F.length("line") >= least).select("doc_id", "line_no", F.xxhash64("line").alias("id"), "line")
+    return exploded.select("doc_id", "line_no", F.xxhash64("line").alias("id"), "line")
 
 
 def _posts(lines: DataFrame, tau: int) -> DataFrame:
@@ -266,13 +266,15 @@ def _verified(members: DataFrame, tau: int) -> DataFrame:
     return rows.select("cluster", "bi", "bj", "id", "side", "line").mapInArrow(by_group(["cluster", "bi", "bj"], work, ["id", "side", "line"]), "u long, v long")
 
 
-def classes(docs: DataFrame, tau: int = 2, least_chars: int = 20) -> DataFrame:
-    """One row for each line with at least ``least_chars`` characters: doc_id, line_no, class_doc_id and class_line_no (the first line of its class, by doc_id and place), class_lines (how many lines the class has) and kept (it is that first line).
+def classes(docs: DataFrame, tau: int = 2, least_chars: int = 20, shorter: bool = False) -> DataFrame:
+    """One row for each line with at least ``least_chars`` characters, and with ``shorter`` for each other line that isn't blank, too: doc_id, line_no, class_doc_id and class_line_no (the first line of its class, by doc_id and place), class_lines (how many lines the class has) and kept (it is that first line).
 
-    A class is what can be reached over pairs of lines within ``tau`` edits; equal lines are one. Null and empty texts have no line, shorter lines aren't looked at. Repeated rows are one document, so a line and its repetition are kept or not alike. A row without doc_id counts as coming first. An empty table gives an empty result. Other columns are ignored. Lines are told apart by a 64-bit hash.
+    A class is what can be reached over pairs of lines within ``tau`` edits; equal lines are one. Lines under ``least_chars`` characters, for which so many edits are too many, are of one class only if equal. Null and empty texts have no line. Repeated rows are one document, so a line and its repetition are kept or not alike. A row without doc_id counts as coming first. An empty table gives an empty result. Other columns are ignored. Lines are told apart by a 64-bit hash.
     """
-    lines = _lines(docs, least_chars)
-    found = stored(lines.select("doc_id", "line_no", "id"))
+    every = _lines(docs)
+    lines = every.where(F.length("line") >= least_chars)
+    found = every.where((F.length("line") >= least_chars) | F.col("line").rlike(WORD)) if shorter else lines
+    found = stored(found.select("doc_id", "line_no", "id"))
     clusters = stored(connected(_ties(_posts(lines, tau), tau)).select("id", F.col("component").alias("cluster")))
     # A line's text comes from its first place, so a very common line is looked up once and not sent to one task.
     places = found.groupBy("id").agg(F.min(F.struct("doc_id", "line_no")).alias("first")).join(clusters, "id")

@@ -47,7 +47,7 @@ def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return linededup.classes(table(spark, sf_dir, "documents"))
+    return linededup.classes(table(spark, sf_dir, "documents"), shorter=True)
 
 
 def op9_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:

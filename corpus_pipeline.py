@@ -18,8 +18,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of lines that repeat across or within documents, but for two edits, the first one stays; a document without any line left goes."""
-    return linededup.without_repeats(docs)
+    """Of lines that repeat across or within documents, but for two edits, the first one stays; a document without any line left goes. Lines under 20 characters stay, repeated or not: they are headings, list items and parts of verse or code, which a text needs though others have them."""
+    return linededup.without_repeats(docs, least_chars=20, shorter=False)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -338,6 +338,21 @@ def test_linededup(spark, docs, odd, empty, texts, monkeypatch):
     assert linededup.classes(empty).count() == 0 and linededup.without_repeats(empty).count() == 0
 
 
+def test_linededup_short_lines_by_equality(spark):
+    from arealex.llm import queries
+
+    long = "a line that is long enough to be looked at"
+    rows = [(1, f"And ornd.\n\n{long}\nAnd ornd."), (2, f" \t\nAnd ornd.\nAnd orne.\n{long}!"), (3, "x"), (4, "x\n" + " " * 30), (5, None)]
+    got = {(r.doc_id, r.line_no): (r.class_doc_id, r.class_line_no, r.class_lines, r.kept) for r in linededup.classes(spark.createDataFrame(rows, "doc_id long, text string"), shorter=True).collect()}
+    assert got == {
+        (1, 0): (1, 0, 3, True), (1, 3): (1, 0, 3, False), (2, 1): (1, 0, 3, False), (2, 2): (2, 2, 1, True),
+        (1, 2): (1, 2, 2, True), (2, 3): (1, 2, 2, False), (3, 0): (3, 0, 2, True), (4, 0): (3, 0, 2, False), (4, 1): (4, 1, 1, True),
+    }
+    texts = {r.doc_id: r.text for r in spark.read.parquet(f"{SF}/documents.parquet").collect()}
+    want = {(d, k) for d, t in texts.items() for k, x in enumerate((t or "").split("\n")) if len(x) >= 20 or WORD.search(x)}
+    assert {(r.doc_id, r.line_no) for r in queries.op8_line_dedup(spark, SF).collect()} == want
+
+
 def test_sketch_parts_are_disjoint_and_whole():
     for tau in range(16):
         bits = [b for start, size in linededup.sketch_parts(tau) for b in range(start, start + size)]
