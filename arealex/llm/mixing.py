@@ -69,7 +69,7 @@ def _can(left: Column, most: int) -> Column:
 
 
 def _balanced(picked: DataFrame, n: int, most: int) -> tuple[DataFrame, DataFrame]:
-    """Running sums over the documents that fit what a source lacks or has too much, until none fits; the result and (source, left). Each round settles a document at least, and a random order leaves about half of the words for the next."""
+    """Running sums over the documents that fit what a source lacks or has too much, until none fits; the result and (source, left). Each round settles a document at least, so it ends."""
     while True:
         lack = F.round(F.first("target")).cast("long") - F.sum(F.col("copies") * F.col("size"))
         least = [F.min(F.when(_can(F.lit(x), most), F.col("size"))).alias(c) for x, c in ((1, "least_free"), (-1, "least_taken"))]
