@@ -2,7 +2,7 @@
 
 Two lines within ``tau`` edits share at least one of the tau + 1 even segments of either, at nearly the same place. So each distinct line is posted under its own segments and probes, for each length down to its own less tau, the places where a segment of such a line can lie. Lines that meet under a key are compared by a sketch that edits can change in a few bits only (parities of hashed letter pairs); those that pass form small clusters, whose texts are then verified with a banded bit-parallel edit distance. The classes are the components of the verified pairs, and the first line of a class stays.
 
-Keys of lines that a task sees more than once are combined before the shuffle. Long lists are split by equal parts of the sketch, and what is still long is dealt out as pairs of blocks.
+Keys of lines that a task sees more than once are combined before the shuffle. Long lists are split by equal parts of the sketch, and what is still long is cut into pieces that share representatives.
 """
 
 from __future__ import annotations
@@ -11,12 +11,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from arealex.llm.common import WORD, mix64, prefix_sums, spans_of, stored
+from arealex.llm.common import WORD, let, mix64, prefix_sums, spans_of, stored
 from arealex.llm.components import connected
-from arealex.llm.neardup import _across, _joined, _stars, by_group, dealt
+from arealex.llm.neardup import _stars, linked
 
 LONG_LIST, BLOCK, NEAR = 256, 128, 16
 
@@ -131,9 +131,9 @@ def within(a: str, b: str, tau: int) -> bool:
 
 
 def _lines(docs: DataFrame) -> DataFrame:
-    """doc_id, line_no (from 0), id (hash of the line) and line, of all lines."""
-    exploded = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
-    return exploded.select("doc_id", "line_no", F.xxhash64("line").alias("id"), "line")
+    """doc_id, text_key (hash of the whole text), line_no (from 0), id (hash of the line) and line, of all lines."""
+    exploded = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_key"), F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
+    return exploded.select("doc_id", "text_key", "line_no", F.xxhash64("line").alias("id"), "line")
 
 
 def _posts(lines: DataFrame, tau: int) -> DataFrame:
@@ -236,67 +236,81 @@ def _ties(posts: DataFrame, tau: int) -> DataFrame:
     # Close sketches agree in at least one of the parts.
     cut = [F.struct(F.lit(k).alias("part"), F.shiftrightunsigned("sketch", start).bitwiseAND(F.lit((1 << size) - 1 if size < 64 else -1)).alias("bits")) for k, (start, size) in enumerate(sketch_parts(tau))]
     long = stored(long.select("id", "sketch", "key", F.explode(F.array(*cut)).alias("p")).select("id", "sketch", F.xxhash64("key", "p.part", "p.bits").alias("list")))
-    sizes = long.groupBy("list").agg(F.count("*").alias("n")).where("n > 1")
-    rows = dealt(long, "list", sizes, BLOCK).repartition("list", "bi", "bj").sortWithinPartitions("list", "bi", "bj")
-
-    def work(g: dict) -> Iterator[tuple[int, int]]:
-        yield from _joined(g["id"], _close(g["sketch"].view(np.uint64), tau), g["side"])
-
-    more = rows.select("list", "bi", "bj", "id", "side", "sketch").mapInArrow(by_group(["list", "bi", "bj"], work, ["id", "side", "sketch"]), "u long, v long")
+    more = linked(long, "list", ["sketch"], lambda g, wanted: _close(g["sketch"].view(np.uint64), tau), BLOCK)
     return edges.unionByName(more)
 
 
 def _verified(members: DataFrame, tau: int) -> DataFrame:
     """Edges (u, v) between members (id, cluster, line) within tau edits; a spanning set for each task."""
-    sizes = members.groupBy("cluster").agg(F.count("*").alias("n"))
-    rows = dealt(members, "cluster", sizes, BLOCK).repartition("cluster", "bi", "bj").sortWithinPartitions("cluster", "bi", "bj")
 
-    def work(g: dict) -> Iterator[tuple[int, int]]:
-        texts, ids, side = g["line"], g["id"], g["side"]
+    def compare(g: dict, wanted: np.ndarray) -> np.ndarray:
+        texts = g["line"]
         n = len(texts)
         lengths = np.array([len(t) for t in texts], np.int64)
         chars = np.frombuffer("".join(texts).encode("utf-32-le", "surrogatepass"), np.uint32)
         sk = sketches(lengths, chars, np.concatenate(([0], np.cumsum(lengths)))[:-1].astype(np.int64))
-        try_ = np.triu(_close(sk, tau) & (np.abs(lengths[:, None] - lengths[None, :]) <= tau) & _across(side, n), 1)
         adjacent = np.zeros((n, n), bool)
-        for a, b in np.argwhere(try_):
-            adjacent[a, b] = adjacent[b, a] = within(texts[a], texts[b], tau)
-        yield from _stars(ids, adjacent)
+        own = list(range(n))  # pairs that are connected already aren't looked into
 
-    return rows.select("cluster", "bi", "bj", "id", "side", "line").mapInArrow(by_group(["cluster", "bi", "bj"], work, ["id", "side", "line"]), "u long, v long")
+        def root(k: int) -> int:
+            while own[k] != k:
+                k = own[k] = own[own[k]]
+            return k
 
+        for a, b in np.argwhere(np.triu(_close(sk, tau) & (np.abs(lengths[:, None] - lengths[None, :]) <= tau) & wanted, 1)).tolist():
+            x, y = root(a), root(b)
+            if x != y and within(texts[a], texts[b], tau):
+                adjacent[a, b] = adjacent[b, a] = True
+                own[max(x, y)] = min(x, y)
+        return adjacent
 
-def classes(docs: DataFrame, tau: int = 2, least_chars: int = 20, shorter: bool = False) -> DataFrame:
-    """One row for each line with at least ``least_chars`` characters, and with ``shorter`` for each other line that isn't blank, too: doc_id, line_no, class_doc_id and class_line_no (the first line of its class, by doc_id and place), class_lines (how many lines the class has) and kept (it is that first line).
+    return linked(members, "cluster", ["line"], compare, BLOCK)
 
-    A class is what can be reached over pairs of lines within ``tau`` edits; equal lines are one. Lines under ``least_chars`` characters, for which so many edits are too many, are of one class only if equal. Null and empty texts have no line. Repeated rows are one document, so a line and its repetition are kept or not alike. A row without doc_id counts as coming first. An empty table gives an empty result. Other columns are ignored. Lines are told apart by a 64-bit hash.
-    """
+
+def _classed(docs: DataFrame, tau: int, least_chars: int, shorter: bool) -> DataFrame:
+    """Every line that counts, with its place (doc_id, text_key, line_no), the first place of its class and how many lines the class has."""
     every = _lines(docs)
     lines = every.where(F.length("line") >= least_chars)
     found = every.where((F.length("line") >= least_chars) | F.col("line").rlike(WORD)) if shorter else lines
-    found = stored(found.select("doc_id", "line_no", "id"))
+    place = ["doc_id", "text_key", "line_no"]
+    found = stored(found.select(*place, "id"))
     clusters = stored(connected(_ties(_posts(lines, tau), tau)).select("id", F.col("component").alias("cluster")))
     # A line's text comes from its first place, so a very common line is looked up once and not sent to one task.
-    places = found.groupBy("id").agg(F.min(F.struct("doc_id", "line_no")).alias("first")).join(clusters, "id")
-    places = stored(places.select("id", "cluster", F.col("first.doc_id").alias("_d"), F.col("first.line_no").alias("_n")))
-    same = (lines["id"] == places["id"]) & lines["doc_id"].eqNullSafe(places["_d"]) & (lines["line_no"] == places["_n"])
+    places = found.groupBy("id").agg(F.min(F.struct(*place)).alias("first")).join(clusters, "id")
+    places = stored(places.select("id", "cluster", F.col("first.doc_id").alias("_d"), F.col("first.text_key").alias("_k"), F.col("first.line_no").alias("_n")))
+    same = (lines["id"] == places["id"]) & lines["doc_id"].eqNullSafe(places["_d"]) & (lines["text_key"] == places["_k"]) & (lines["line_no"] == places["_n"])
     members = lines.join(places.hint("shuffle_hash"), same).select(places["id"], "cluster", "line")
     members = stored(members.groupBy("id", "cluster").agg(F.first("line").alias("line")))
-    linked = connected(stored(_verified(members, tau)))
-    each = found.groupBy("id").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "line_no")).alias("first"))
-    each = stored(each.join(linked, "id", "left").withColumn("class", F.coalesce("component", "id")).drop("component"))
+    joined = connected(_verified(members, tau))
+    each = found.groupBy("id").agg(F.count("*").alias("n"), F.min(F.struct(*place)).alias("first"))
+    each = stored(each.join(joined, "id", "left").withColumn("class", F.coalesce("component", "id")).drop("component"))
     whole = each.groupBy("class").agg(F.sum("n").alias("class_lines"), F.min("first").alias("first"))
     owner = each.select("id", "class").join(whole, "class").select("id", "class_lines", "first")
-    out = found.join(owner, "id").select("doc_id", "line_no", F.col("first.doc_id").alias("class_doc_id"), F.col("first.line_no").alias("class_line_no"), "class_lines")
-    return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("class_doc_id")) & (F.col("line_no") == F.col("class_line_no")))
+    out = found.join(owner, "id").select(*place, "first", "class_lines")
+    return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("first.doc_id")) & (F.col("text_key") == F.col("first.text_key")) & (F.col("line_no") == F.col("first.line_no")))
+
 
+def classes(docs: DataFrame, tau: int = 2, least_chars: int = 20, shorter: bool = False) -> DataFrame:
+    """One row for each line with at least ``least_chars`` characters, and with ``shorter`` for each other line that isn't blank, too: doc_id, line_no, class_doc_id and class_line_no (the first line of its class, by doc_id, then hash of the text, then place), class_lines (how many lines the class has) and kept (it is that first line).
+
+    A class is what can be reached over pairs of lines within ``tau`` edits; equal lines are one. Lines under ``least_chars`` characters, for which so many edits are too many, are of one class only if equal. Null and empty texts have no line. Rows with the same doc_id and text are one document, so a line and its repetition are kept or not alike; rows with the same doc_id, or none, and different texts are told apart. A row without doc_id counts as coming first. An empty table gives an empty result. Other columns are ignored. Lines are told apart by a 64-bit hash.
+    """
+    return _classed(docs, tau, least_chars, shorter).select("doc_id", "line_no", F.col("first.doc_id").alias("class_doc_id"), F.col("first.line_no").alias("class_line_no"), "class_lines", "kept")
 
-def without_repeats(docs: DataFrame, **options) -> DataFrame:
+
+def without_repeats(docs: DataFrame, tau: int = 2, least_chars: int = 20, shorter: bool = False) -> DataFrame:
     """``docs`` with the columns it had and every line dropped from text that isn't kept; documents of which no line is left go, those that had no line stay as they are."""
-    gone = classes(docs, **options).where(~F.col("kept")).groupBy("doc_id").agg(F.collect_set("line_no").alias("_gone")).select(F.col("doc_id").alias("_d"), "_gone")
+    gone = _classed(docs, tau, least_chars, shorter).where(~F.col("kept")).groupBy("doc_id", "text_key").agg(F.collect_set("line_no").alias("_gone"))
+    gone = gone.select(F.col("doc_id").alias("_d"), F.col("text_key").alias("_k"), "_gone")
     names = docs.columns
-    rows = docs.join(gone, F.col("doc_id").cast("long").eqNullSafe(F.col("_d")), "left")
-    left = F.filter(F.split("text", "\n"), lambda x, k: ~F.array_contains("_gone", k))
-    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.array_join(left, "\n"))
-    some = F.col("_gone").isNull() | (F.size(left) > 0)
+    same = F.col("doc_id").cast("long").eqNullSafe(F.col("_d")) & (F.xxhash64("text") == F.col("_k"))
+    rows = docs.join(gone, same, "left")
+    some = F.col("_gone").isNull() | (F.size("_gone") < F.size(F.split("text", "\n")))
+    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(let(F.split("text", "\n"), _left_of))
     return rows.where(some).select(*[text.alias(c) if c == "text" else F.col(f"`{c}`") for c in names])
+
+
+def _left_of(lines: Column) -> Column:
+    """``lines`` without the places in _gone: what lies between one of them and the next, so each line is copied once."""
+    gone = F.array_sort(F.concat(F.array(F.lit(-1)), F.col("_gone"), F.array(F.size(lines))))
+    return let(gone, lambda g: F.array_join(F.flatten(F.transform(F.sequence(F.lit(1), F.size(g) - 1), lambda k: F.slice(lines, F.get(g, k - 1) + 2, F.get(g, k) - F.get(g, k - 1) - 1))), "\n"))

@@ -2,8 +2,8 @@
 
 1. Each text becomes its set of hashed word shingles, a signature of ``COORDS`` MinHash coordinates, and a 128-bit key of the set. Equal sets are one class from here on.
 2. A class is posted under the values of its first ``POSTED`` coordinates. Lists of one are dropped. Two classes that are similar enough agree in at least ``m`` posted coordinates (but for a chance of ``LOSS``), so of each class's lists the m - 1 longest can be skipped: in an order by list length that all share, any such pair meets in one of the others. Very frequent shingles only lengthen lists that are skipped.
-3. In a list, collisions over the whole signature are counted, and pairs at or above the match threshold tie classes together. Only a spanning set of ties leaves a task. Lists longer than a block are dealt out as pairs of blocks, so no task gets a whole one.
-4. The texts of each tied cluster meet once (again as pairs of blocks if there are many), where shared shingles are counted exactly for all pairs; the components of the links that hold are the result.
+3. In a list, collisions over the whole signature are counted, and pairs at or above the match threshold tie classes together. Only a spanning set of ties leaves a task. A list longer than a block is cut into pieces that all get its representatives; only what these leave apart is compared further, so no task gets a whole list and near copies cost a pass over them.
+4. The texts of each tied cluster meet in the same way, where shared shingles are counted exactly; the components of the links that hold are the result.
 """
 
 from __future__ import annotations
@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from arealex.llm.common import mix64, span_hashes, stored, word_spans
 from arealex.llm.components import connected, spanning
 
-COORDS, POSTED, BLOCK, LIST_BLOCK, LOSS = 64, 20, 128, 512, 1e-6
+COORDS, POSTED, BLOCK, LIST_BLOCK, REPRESENTATIVES, LOSS = 64, 20, 128, 512, 8, 1e-6
 
 _rng = np.random.default_rng(20240229)
 _FACTORS = _rng.integers(1, 1 << 63, COORDS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -87,15 +87,6 @@ def sign(docs: DataFrame, words: int = 5) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(work, "doc_id long, n_shingles long, k1 long, k2 long, posts array<long>, sig binary")
 
 
-def dealt(rows: DataFrame, key: str, sizes: DataFrame, block: int) -> DataFrame:
-    """Rows with a group key as pairs of blocks: a group of at most ``block`` rows is one pair (0, 0); a longer one has each pair of its blocks once. Adds bi, bj and side (the row's own block). ``sizes`` has (key, n) of the groups that count."""
-    # Written, as the planner splits a long group's rows only in a join straight on shuffled tables.
-    out = rows.join(stored(sizes.select(key, F.ceil(F.col("n") / block).cast("int").alias("blocks"))), key)
-    out = out.withColumn("side", F.pmod(F.xxhash64("id", F.lit(5)), F.col("blocks")).cast("int"))
-    out = out.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    return out.select("*", F.least("side", "other").alias("bi"), F.greatest("side", "other").alias("bj")).drop("other", "blocks")
-
-
 def by_group(keys: list[str], work: Callable[[dict[str, np.ndarray | list]], Iterator[tuple[int, int]]], names: list[str]):
     """A mapInArrow function over partitions in which the rows of a group follow each other: ``work`` gets the columns of one group and yields edges."""
 
@@ -140,19 +131,55 @@ def _stars(ids: np.ndarray, adjacent: np.ndarray) -> Iterator[tuple[int, int]]:
         yield int(ids[k]), int(ids[label[k]])
 
 
-def _across(side: np.ndarray, n: int) -> np.ndarray:
-    """Which pairs a pair of blocks is for: those across it, or all in a single block."""
-    return np.ones((n, n), bool) if (side == side[0]).all() else side[:, None] != side[None, :]
+def _cross(side: np.ndarray) -> np.ndarray:
+    """Which pairs a piece is for: those across its two sides, or all if it has one."""
+    return np.ones((len(side), len(side)), bool) if (side == side[0]).all() else side[:, None] != side[None, :]
 
 
-def _joined(ids: np.ndarray, adjacent: np.ndarray, side: np.ndarray) -> Iterator[tuple[int, int]]:
-    """The spanning edges that a pair of blocks adds: in a single block all, else those that join components of the two, which the blocks' own tasks span."""
-    if (side == side[0]).all():
-        yield from _stars(ids, adjacent)
-        return
-    own, label = spanning(adjacent & (side[:, None] == side[None, :])), spanning(adjacent)
-    for k in np.flatnonzero((own == np.arange(len(own))) & (label != own)):
-        yield int(ids[k]), int(ids[label[k]])
+def linked(rows: DataFrame, key: str, names: list[str], compare: Callable[[dict, np.ndarray], np.ndarray], block: int) -> DataFrame:
+    """Edges (u, v) that span what ``compare`` links in the groups of ``key``; rows are (key, id, names). ``compare(columns, wanted)`` returns the links among the rows of a piece, of which only ``wanted`` pairs matter.
+
+    A group of at most ``block`` rows is one piece. A longer one is cut into pieces of that size by a hash, and each piece also gets the group's few representatives, so rows that are near one of them are in one component after a pass that is linear in the group. Only rows outside the group's largest component are compared further: with all rows in it, and with each other. So no pair of different components is left out, and no copy of a row is made for pairs that are known to be linked.
+    """
+    rows = rows.select(key, "id", *names)
+    # Written, as the planner splits a long group's rows only in a join straight on shuffled tables.
+    sizes = stored(rows.groupBy(key).agg(F.count("*").alias("n")).where("n > 1").select(key, F.ceil(F.col("n") / block).cast("int").alias("blocks")))
+    whole = rows.join(sizes, key)
+
+    def found(pieces: DataFrame) -> DataFrame:
+        cols = [key, "a", "b"]
+
+        def work(g: dict) -> Iterator[tuple[int, int]]:
+            wanted = _cross(g["side"])
+            yield from _stars(g["id"], compare(g, wanted) & wanted)
+
+        parted = pieces.select(*cols, "id", "side", *names).repartition(*cols).sortWithinPartitions(*cols)
+        return parted.mapInArrow(by_group(cols, work, ["id", "side", *names]), "u long, v long")
+
+    zero = F.lit(0)
+    first = whole.select(key, "id", *names, F.pmod(F.xxhash64("id", F.lit(5)), F.col("blocks")).cast("int").alias("a"), zero.alias("b"), zero.alias("side"))
+    if sizes.where("blocks > 1").isEmpty():
+        return found(first)
+    large = stored(whole.where("blocks > 1"))
+    slot = F.pmod(F.xxhash64("id", F.lit(9)), F.lit(REPRESENTATIVES))
+    chosen = large.groupBy(key, slot).agg(F.min(F.struct(F.xxhash64("id", F.lit(11)).alias("h"), "id"))["id"].alias("id")).select(key, "id")
+    shown = large.join(stored(chosen), [key, "id"], "left_semi").select(key, "id", *names, F.explode(F.sequence(zero, F.col("blocks") - 1)).alias("a"), zero.alias("b"), zero.alias("side"))
+    edges = stored(found(first.unionByName(shown)))
+    owner = stored(large.select(key, "id").distinct().join(connected(edges), "id", "left").select(key, "id", F.coalesce("component", "id").alias("component")))
+    most = owner.groupBy(key, "component").agg(F.count("*").alias("n")).groupBy(key).agg(F.max(F.struct("n", "component"))["component"].alias("main"), F.sum("n").alias("n"), F.max("n").alias("inside"))
+    most = stored(most.where("inside < n").select(key, "main", F.ceil(F.col("inside") / block).cast("int").alias("inner"), F.ceil((F.col("n") - F.col("inside")) / block).cast("int").alias("outer")))
+    if most.isEmpty():
+        return edges
+    placed = stored(owner.join(most, key).select(key, "id", (F.col("component") != F.col("main")).alias("out"), "inner", "outer"))
+    left = large.join(placed, [key, "id"])
+    mine = lambda n: F.pmod(F.xxhash64("id", F.lit(5)), F.col(n)).cast("int")
+    upto = lambda n: F.explode(F.sequence(zero, F.col(n) - 1))
+    outside = left.where("out").select(key, "id", *names, mine("outer").alias("a"), upto("inner").alias("b"), F.lit(1).alias("side"))
+    inside = left.where("not out").select(key, "id", *names, upto("outer").alias("a"), mine("inner").alias("b"), zero.alias("side"))
+    # Pairs of blocks of the rows outside, told apart from the pieces above by negative numbers.
+    among = left.where("out").select(key, "id", *names, mine("outer").alias("side"), upto("outer").alias("other"))
+    among = among.select(key, "id", *names, (-1 - F.least("side", "other")).alias("a"), (-1 - F.greatest("side", "other")).alias("b"), "side")
+    return edges.unionByName(found(outside.unionByName(inside).unionByName(among)))
 
 
 def tied(classes: DataFrame, percent: int) -> DataFrame:
@@ -166,23 +193,17 @@ def tied(classes: DataFrame, percent: int) -> DataFrame:
     # The lists of one come first in the order, so of the others all but the m - 1 longest are used.
     used = ranked.where(F.col("rank") <= F.col("lists") - (m - 1)).select("id", "value")
     used = stored(used.join(classes.select("id", "sig"), "id"))
-    sizes = used.groupBy("value").agg(F.count("*").alias("n")).where("n > 1")
-    rows = dealt(used, "value", sizes, LIST_BLOCK)
-    parted = rows.repartition("value", "bi", "bj").sortWithinPartitions("value", "bi", "bj")
-
-    def work(g: dict) -> Iterator[tuple[int, int]]:
-        ids = g["id"]
-        sig = np.frombuffer(b"".join(g["sig"]), "<u2").reshape(len(ids), COORDS)
-        if len(ids) == 2:
-            if (sig[0] == sig[1]).sum() >= need:
-                yield int(ids[0]), int(ids[1])
-            return
-        equal = np.zeros((len(ids), len(ids)), np.uint8)
+
+    def compare(g: dict, wanted: np.ndarray) -> np.ndarray:
+        sig = np.frombuffer(b"".join(g["sig"]), "<u2").reshape(-1, COORDS)
+        if len(sig) == 2:
+            return np.full((2, 2), (sig[0] == sig[1]).sum() >= need)
+        equal = np.zeros((len(sig), len(sig)), np.uint8)
         for k in range(COORDS):
             equal += sig[:, k, None] == sig[None, :, k]
-        yield from _joined(ids, equal >= need, g["side"])
+        return equal >= need
 
-    return parted.select("value", "bi", "bj", "id", "side", "sig").mapInArrow(by_group(["value", "bi", "bj"], work, ["id", "side", "sig"]), "u long, v long")
+    return linked(used, "value", ["sig"], compare, LIST_BLOCK)
 
 
 def shared_counts(sets: list[np.ndarray]) -> np.ndarray:
@@ -212,21 +233,17 @@ def shared_counts(sets: list[np.ndarray]) -> np.ndarray:
 
 def confirmed(members: DataFrame, percent: int, words: int) -> DataFrame:
     """Edges (u, v) between members (id, cluster, text) of a cluster whose full sets are similar; a spanning set for each task."""
-    sizes = members.groupBy("cluster").agg(F.count("*").alias("n"))
-    rows = dealt(members, "cluster", sizes, BLOCK)
-    parted = rows.repartition("cluster", "bi", "bj").sortWithinPartitions("cluster", "bi", "bj")
 
-    def work(g: dict) -> Iterator[tuple[int, int]]:
+    def compare(g: dict, wanted: np.ndarray) -> np.ndarray:
         sets = [shingles(t, words) for t in g["text"]]
         both = shared_counts(sets)
         n = np.array([len(s) for s in sets])
-        adjacent = 100 * both >= percent * (n[:, None] + n[None, :] - both)
-        yield from _joined(g["id"], adjacent, g["side"])
+        return 100 * both >= percent * (n[:, None] + n[None, :] - both)
 
-    return parted.select("cluster", "bi", "bj", "id", "side", "text").mapInArrow(by_group(["cluster", "bi", "bj"], work, ["id", "side", "text"]), "u long, v long")
+    return linked(members, "cluster", ["text"], compare, BLOCK)
 
 
-def near_duplicates(docs: DataFrame, percent: int = 85, words: int = 5) -> DataFrame:
+def near_duplicates(docs: DataFrame, percent: int = 80, words: int = 5) -> DataFrame:
     """doc_id, n_shingles, component_id (the smallest id that can be reached over links) and kept (doc_id is its component's), one row for each row of ``docs`` (doc_id, text).
 
     Null, empty and wordless texts have an empty set and no link. Repeated rows are one document: each row is kept or not as the others. A row without doc_id has no component and null in kept. An empty table gives an empty result. Other columns are ignored. Sets are of 64-bit hashes.
@@ -236,7 +253,7 @@ def near_duplicates(docs: DataFrame, percent: int = 85, words: int = 5) -> DataF
     clusters = stored(connected(tied(classes.select("id", "posts", "sig"), percent)))
     texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text")
     members = stored(texts.join(clusters.select("id", F.col("component").alias("cluster")), "id").select("id", "cluster", "text"))
-    linked = stored(connected(stored(confirmed(members, percent, words))))
-    owner = classes.select("k1", "k2", "id").join(linked, "id", "left").select(F.col("k1").alias("_a"), F.col("k2").alias("_b"), F.coalesce("component", "id").alias("component_id"))
+    joined = stored(connected(confirmed(members, percent, words)))
+    owner = classes.select("k1", "k2", "id").join(joined, "id", "left").select(F.col("k1").alias("_a"), F.col("k2").alias("_b"), F.coalesce("component", "id").alias("component_id"))
     out = signed.select("doc_id", "n_shingles", "k1", "k2").join(owner, (F.col("k1") == F.col("_a")) & (F.col("k2") == F.col("_b")), "left")
     return out.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id")).withColumn("kept", F.col("doc_id") == F.col("component_id"))
