@@ -303,11 +303,12 @@ def without_repeats(docs: DataFrame, tau: int = 2, least_chars: int = 20, shorte
     gone = _classed(docs, tau, least_chars, shorter).where(~F.col("kept")).groupBy("doc_id", "text_key").agg(F.collect_set("line_no").alias("_gone"))
     gone = gone.select(F.col("doc_id").alias("_d"), F.col("text_key").alias("_k"), "_gone")
     names = docs.columns
-    same = F.col("doc_id").cast("long").eqNullSafe(F.col("_d")) & (F.xxhash64("text") == F.col("_k"))
-    rows = docs.join(gone, same, "left")
-    some = F.col("_gone").isNull() | (F.size("_gone") < F.size(F.split("text", "\n")))
-    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(let(F.split("text", "\n"), _left_of))
-    return rows.where(some).select(*[text.alias(c) if c == "text" else F.col(f"`{c}`") for c in names])
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"), F.col("doc_id").cast("long").alias("d"), F.xxhash64("text").alias("k"))
+    rows = rows.join(gone, F.col("d").eqNullSafe(F.col("_d")) & (F.col("k") == F.col("_k")), "left")
+    own = F.col("row")["text"]
+    some = F.col("_gone").isNull() | (F.size("_gone") < F.size(F.split(own, "\n")))
+    text = F.when(F.col("_gone").isNull(), own).otherwise(let(F.split(own, "\n"), _left_of))
+    return rows.where(some).select(*[(text if c == "text" else F.col("row").getField(c)).alias(c) for c in names])
 
 
 def _left_of(lines: Column) -> Column:

@@ -64,7 +64,7 @@ def signature(s: np.ndarray) -> np.ndarray:
 
 
 def sign(docs: DataFrame, words: int = 5) -> DataFrame:
-    """doc_id, n_shingles, k1 and k2 (the set's key; null for an empty set), posts (values of the posted coordinates) and sig (16 bits of each coordinate)."""
+    """doc_id, text_key (hash of the whole text), n_shingles, k1 and k2 (the set's key; null for an empty set), posts (values of the posted coordinates) and sig (16 bits of each coordinate)."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         salt = np.arange(1, COORDS + 1, dtype=np.uint64) * np.uint64(0xD1342543DE82EF95)
@@ -82,9 +82,10 @@ def sign(docs: DataFrame, words: int = 5) -> DataFrame:
                     value = mix64(signature(s) + salt)
                 posts.append(value[:POSTED].view(np.int64))
                 sigs.append((value >> np.uint64(48)).astype("<u2").tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(k1, pa.int64()), pa.array(k2, pa.int64()), pa.array(posts, pa.list_(pa.int64())), pa.array(sigs, pa.binary())], names=["doc_id", "n_shingles", "k1", "k2", "posts", "sig"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(n, pa.int64()), pa.array(k1, pa.int64()), pa.array(k2, pa.int64()), pa.array(posts, pa.list_(pa.int64())), pa.array(sigs, pa.binary())], names=["doc_id", "text_key", "n_shingles", "k1", "k2", "posts", "sig"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(work, "doc_id long, n_shingles long, k1 long, k2 long, posts array<long>, sig binary")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("text_key"))
+    return rows.mapInArrow(work, "doc_id long, text_key long, n_shingles long, k1 long, k2 long, posts array<long>, sig binary")
 
 
 def by_group(keys: list[str], work: Callable[[dict[str, np.ndarray | list]], Iterator[tuple[int, int]]], names: list[str]):
@@ -243,17 +244,40 @@ def confirmed(members: DataFrame, percent: int, words: int) -> DataFrame:
     return linked(members, "cluster", ["text"], compare, BLOCK)
 
 
+def _labelled(docs: DataFrame, percent: int, words: int) -> DataFrame:
+    """doc_id, text_key, n_shingles and component_id of each row. What is linked are classes of equal sets, by a hash of the set's key, so rows that share a doc_id don't share links."""
+    signed = stored(sign(docs, words))
+    at = F.min(F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "text_key"))).alias("at")
+    classes = signed.where("n_shingles > 0").groupBy("k1", "k2").agg(at, F.first("posts").alias("posts"), F.first("sig").alias("sig")).where("at is not null")
+    classes = stored(classes.withColumn("id", F.xxhash64("k1", "k2")))
+    clusters = stored(connected(tied(classes.select("id", "posts", "sig"), percent)))
+    first = classes.select("id", "at").join(clusters, "id").select("id", F.col("component").alias("cluster"), F.col("at.doc_id").alias("_d"), F.col("at.text_key").alias("_k"))
+    texts = docs.select(F.col("doc_id").cast("long").alias("_d"), F.xxhash64("text").alias("_k"), "text")
+    members = texts.join(first, ["_d", "_k"]).select("id", "cluster", "text")
+    joined = stored(connected(confirmed(stored(members), percent, words)))
+    owner = stored(classes.select("k1", "k2", F.col("at.doc_id").alias("doc"), "id").join(joined, "id", "left").withColumn("root", F.coalesce("component", "id")).drop("component", "id"))
+    least = owner.groupBy("root").agg(F.min("doc").alias("component_id"))
+    owner = owner.join(least, "root").select(F.col("k1").alias("_a"), F.col("k2").alias("_b"), "component_id")
+    out = signed.select("doc_id", "text_key", "n_shingles", "k1", "k2").join(owner, (F.col("k1") == F.col("_a")) & (F.col("k2") == F.col("_b")), "left")
+    return out.select("doc_id", "text_key", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+
+
 def near_duplicates(docs: DataFrame, percent: int = 80, words: int = 5) -> DataFrame:
     """doc_id, n_shingles, component_id (the smallest id that can be reached over links) and kept (doc_id is its component's), one row for each row of ``docs`` (doc_id, text).
 
-    Null, empty and wordless texts have an empty set and no link. Repeated rows are one document: each row is kept or not as the others. A row without doc_id has no component and null in kept. An empty table gives an empty result. Other columns are ignored. Sets are of 64-bit hashes.
+    Null, empty and wordless texts have an empty set and no link. Repeated rows are one document: each row is kept or not as the others; rows with one doc_id and different texts are linked each on its own. A row without doc_id has null in kept, and a component only if its set is another document's. An empty table gives an empty result. Other columns are ignored. Sets are of 64-bit hashes.
     """
-    signed = stored(sign(docs, words))
-    classes = stored(signed.where("n_shingles > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("id"), F.first("posts").alias("posts"), F.first("sig").alias("sig")).where("id is not null"))
-    clusters = stored(connected(tied(classes.select("id", "posts", "sig"), percent)))
-    texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text")
-    members = stored(texts.join(clusters.select("id", F.col("component").alias("cluster")), "id").select("id", "cluster", "text"))
-    joined = stored(connected(confirmed(members, percent, words)))
-    owner = classes.select("k1", "k2", "id").join(joined, "id", "left").select(F.col("k1").alias("_a"), F.col("k2").alias("_b"), F.coalesce("component", "id").alias("component_id"))
-    out = signed.select("doc_id", "n_shingles", "k1", "k2").join(owner, (F.col("k1") == F.col("_a")) & (F.col("k2") == F.col("_b")), "left")
-    return out.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id")).withColumn("kept", F.col("doc_id") == F.col("component_id"))
+    return _labelled(docs, percent, words).drop("text_key").withColumn("kept", F.col("doc_id") == F.col("component_id"))
+
+
+def without_near_duplicates(docs: DataFrame, percent: int = 80, words: int = 5) -> DataFrame:
+    """``docs`` with the columns it had and one document of each group of near-duplicates: the one with the smallest id, and of its repeated rows the smallest one. Rows without doc_id stay."""
+    names, same = docs.columns, ["_d", "_k"]
+    own = (F.col("doc_id").cast("long").alias("_d"), F.xxhash64("text").alias("_k"))
+    labelled = _labelled(docs, percent, words).where("doc_id <> component_id")
+    gone = labelled.select(F.col("doc_id").alias("_d"), F.col("text_key").alias("_k")).distinct()
+    left = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("_row"), *own).join(gone, same, "left_anti")
+    # Ids are counted first, so only rows that repeat are shuffled whole.
+    twice = docs.where("doc_id is not null").groupBy(*own).agg(F.count("*").alias("_n")).where("_n > 1").drop("_n")
+    once = left.join(twice, same, "left_semi").groupBy(*same).agg(F.min("_row").alias("_row"))
+    return left.join(twice, same, "left_anti").select("_row").unionByName(once.select("_row")).select("_row.*")

@@ -65,11 +65,31 @@ def test_near_stage(steps):
     kept = {r.doc_id for r in after.collect()}
     assert kept <= set(sets)
     for d, s in sets.items():
-        near = [e for e, o in sets.items() if e != d and s and 100 * len(s & o) >= 85 * len(s | o)]
+        near = [e for e, o in sets.items() if e != d and s and 100 * len(s & o) >= 80 * len(s | o)]
         assert near or d in kept
         assert d in kept or any(e < d for e in near)
 
 
+def test_stages_on_odd_rows(spark):
+    """Nulls in any column, repeated ids, very long texts, clashing extra columns; and no rows at all."""
+    from pyspark.sql import functions as F
+
+    prose = " ".join(f"the word{k} of a document and that it is" for k in range(12))
+    rows = [(1, None, "en", "a", 0), (None, prose, None, None, None), (2, prose, "en", "a", 5), (2, prose, "en", "a", 5), (3, prose + " and", "en", None, 5), (3, "of " + prose.replace("word", "other").replace("document", "text").replace("and that", "or else"), None, "b", 5), (4, "", "en", "a", 0), (5, ("the and of " * 20 + "\n") * 3000, "en", "b", 1)]
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    clashing = {c: F.lit(1) for c in ("id", "size", "k1", "key", "component", "cluster", "value", "row", "kept", "copies", "line", "line_no", "first", "_gone")}
+    for docs in (spark.createDataFrame(rows, schema).withColumns(clashing), spark.createDataFrame([], schema)):
+        for name, stage in corpus_pipeline.STAGES:
+            got = stage(spark, docs, SF)
+            n = got.count()
+            assert name == "packing" or got.columns == docs.columns
+            assert n == 0 or docs.count() > 0
+            assert n > 0 or docs.count() == 0 or name == "quality rules"
+            if name == "MinHash near-dedup" and n:
+                ids = sorted(str(r.doc_id) for r in got.collect())
+                assert ids == ["1", "2", "3", "4", "5", "None"]  # one of the two rows 2, and of the texts of 3 the one that isn't near that of 2
+
+
 def test_mixing_and_packing_stages(steps):
     _, before, mixed = steps[3]
     size = {r.doc_id: len(r.text.split()) for r in before.collect()}
