@@ -6,7 +6,6 @@ Each stage works on all that the one before it kept, written as Parquet and read
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from arealex.llm import linededup, mixing, neardup, packing, quality
 from arealex.llm.common import stored
@@ -23,9 +22,8 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates stays: the one with the smallest id."""
-    gone = neardup.near_duplicates(docs).where(~F.col("kept")).select(F.col("doc_id").alias("_d")).distinct()
-    return docs.join(gone, F.col("doc_id").cast("long") == F.col("_d"), "left_anti").select(*docs.columns)
+    """One document of each group of near-duplicates (similarity of 0.8 or more) stays: the one with the smallest id, once if its row repeats. Rows without doc_id stay."""
+    return neardup.without_near_duplicates(docs, percent=80)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
