@@ -73,22 +73,39 @@ class Centroids:
         return out
 
 
-def fit(samples: dict[str, list[str]], per_language: int = 4, size: int = 8192, reject: float = 0.005, rounds: int = 8) -> Centroids:
-    """IDF over all sampled texts, then ``per_language`` centroids for each language. A centroid's floor is the cosine that a share of ``reject`` of its own texts stays under, less a margin."""
-    samples = {k: [t for t in v if has_letter(t)] for k, v in sorted(samples.items())}
-    samples = {k: v for k, v in samples.items() if v}
+def packed(counts: np.ndarray) -> bytes:
+    """The buckets that are not 0, and their counts."""
+    at = np.flatnonzero(counts)
+    return at.astype("<u4").tobytes() + counts[at].astype("<f4").tobytes()
+
+
+def unpacked(data: bytes, size: int) -> np.ndarray:
+    n, out = len(data) // 8, np.zeros(size, np.float32)
+    out[np.frombuffer(data, "<u4", n)] = np.frombuffer(data, "<f4", n, 4 * n)
+    return out
+
+
+def fit(samples: dict[str, list[str]], per_language: int = 4, size: int = 8192, **options) -> Centroids:
+    """fit_counts on texts."""
+    counts = {k: [packed(gram_counts(t, size)) for t in v if has_letter(t)] for k, v in samples.items()}
+    return fit_counts(counts, per_language, size, **options)
+
+
+def fit_counts(samples: dict[str, list[bytes]], per_language: int = 4, size: int = 8192, reject: float = 0.005, rounds: int = 8) -> Centroids:
+    """IDF over all sampled texts (packed counts), then ``per_language`` centroids for each language. A centroid's floor is the cosine that a share of ``reject`` of its own texts stays under, less a margin."""
+    samples = {k: v for k, v in sorted(samples.items()) if v}
     if not samples:
         return Centroids(np.ones(size, np.float32), np.zeros((0, size), np.float32), [], np.zeros(0))
     held = np.zeros(size)
     n = sum(map(len, samples.values()))
     for v in samples.values():
         for t in v:
-            held += gram_counts(t, size) > 0
+            held += unpacked(t, size) > 0
     idf = (np.log((1 + n) / (1 + held)) + 1).astype(np.float32)
     rows, langs, floor = [], [], []
-    # Texts are counted again, so that only one language's counts are held at a time.
+    # One language's counts are unpacked at a time.
     for lang, v in samples.items():
-        x = _unit(np.log1p(np.stack([gram_counts(t, size) for t in v])) * idf)
+        x = _unit(np.log1p(np.stack([unpacked(t, size) for t in v])) * idf)
         k = min(per_language, len(x))
         # Far-apart starts: each next one is the text least like those taken.
         starts = [int((x @ x.mean(0)).argmax())]
@@ -108,8 +125,8 @@ def fit(samples: dict[str, list[str]], per_language: int = 4, size: int = 8192,
     return Centroids(idf, np.stack(rows).astype(np.float32), langs, np.array(floor))
 
 
-def sample(docs: DataFrame, per_language: int) -> dict[str, list[str]]:
-    """At most ``per_language`` texts for each value of lang: those with the smallest hash of the id, the same ones in every run. Rows without doc_id are not learned from; equal rows count once."""
+def sample(docs: DataFrame, per_language: int, size: int = 8192) -> dict[str, list[bytes]]:
+    """The gram counts of at most ``per_language`` whole texts for each value of lang, made by tasks (at most 8 * size bytes each, however long the texts are): those with the smallest hash of the id, the same ones in every run. Rows without doc_id are not learned from; equal rows count once."""
     known = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & F.col("text").isNotNull())
     sizes = dict(known.groupBy("lang").count().collect())
     spark = docs.sparkSession
@@ -132,17 +149,23 @@ def sample(docs: DataFrame, per_language: int) -> dict[str, list[str]]:
     if not flat:
         return {}
     wanted = spark.createDataFrame(flat, "doc_id long, want string")
+
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            grams = [packed(gram_counts(t, size)) if has_letter(t) else None for t in batch.column(2).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(grams, pa.binary())], names=["lang", "doc_id", "grams"])
+
     # The list has at most per_language ids for each language.
-    rows = known.join(F.broadcast(wanted), "doc_id").where(F.col("lang") == F.col("want")).select("lang", "doc_id", "text").distinct().collect()
-    texts: dict[str, list[str]] = {}
-    for lang, _, text in sorted(rows):
-        texts.setdefault(lang, []).append(text)
+    rows = known.join(F.broadcast(wanted), "doc_id").where(F.col("lang") == F.col("want")).select("lang", "doc_id", "text").distinct()
+    texts: dict[str, list[bytes]] = {}
+    for lang, _, grams in sorted((r[0], r[1], bytes(r[2])) for r in rows.mapInArrow(counted, "lang string, doc_id long, grams binary").where("grams is not null").collect()):
+        texts.setdefault(lang, []).append(grams)
     return {k: v[:per_language] for k, v in texts.items()}
 
 
-def train(docs: DataFrame, per_language_texts: int = 400, **options) -> Centroids:
+def train(docs: DataFrame, per_language_texts: int = 400, size: int = 8192, **options) -> Centroids:
     """Centroids from at most ``per_language_texts`` labelled texts a language (the documented bound of the fit)."""
-    return fit(sample(docs, per_language_texts), **options)
+    return fit_counts(sample(docs, per_language_texts, size), size=size, **options)
 
 
 def identify(docs: DataFrame, model: Centroids) -> DataFrame:

@@ -38,7 +38,7 @@ def byte_alphabet() -> dict[str, int]:
 def load_encoder(path: str):
     """A function from text to token ids for a byte-level BPE file of the tokenizers library.
 
-    Its merges are run by tiktoken, several times faster than the library itself with the same ids (tests hold them against each other); this needs a vocabulary whose ids follow the order of its merges, else the library is used.
+    Its merges are run by tiktoken, several times faster than the library itself with the same ids (tests hold them against each other); this needs a vocabulary whose ids follow the order of its merges, else the library is used. The library also takes the texts that tiktoken's pattern engine refuses, such as runs of a million spaces.
     """
     with open(path, encoding="utf-8") as f:
         spec = json.load(f)
@@ -46,18 +46,31 @@ def load_encoder(path: str):
     special = {x["content"]: x["id"] for x in spec.get("added_tokens", ())}
     merges = [m.split(" ") if isinstance(m, str) else m for m in spec["model"]["merges"]]
     in_order = all(vocab.get(a + b, -1) == 256 + k for k, (a, b) in enumerate(merges))
-    if not in_order or spec.get("normalizer") is not None:
-        from tokenizers import Tokenizer
+    own: list = []
+
+    def library(text: str) -> list[int]:
+        if not own:
+            from tokenizers import Tokenizer
+
+            os.environ["TOKENIZERS_PARALLELISM"] = "false"
+            own.append(Tokenizer.from_file(path))
+        return own[0].encode(text, add_special_tokens=False).ids
 
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        tok = Tokenizer.from_file(path)
-        return lambda text: tok.encode(text, add_special_tokens=False).ids
+    if not in_order or spec.get("normalizer") is not None:
+        return library
     import tiktoken
 
     pattern = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""  # fixed value: how byte-level BPE splits text
     ranks = {bytes(letters[c] for c in token): k for token, k in vocab.items() if token not in special}
     enc = tiktoken.Encoding("bytes", pat_str=pattern, mergeable_ranks=ranks, special_tokens=special)
-    return lambda text: enc.encode(text, allowed_special="all")
+
+    def encode(text: str) -> list[int]:
+        try:
+            return enc.encode(text, allowed_special="all")
+        except ValueError:  # the pattern engine's stack is limited
+            return library(text)
+
+    return encode
 
 
 class OpenWindows:

@@ -70,11 +70,21 @@ def labelled_random(n: int = 4000, seed: int = 7) -> list[str]:
     return ["".join(rng.choice(list(a), rng.integers(16, 65))) for a in ALPHABETS.values() for _ in range(n // len(ALPHABETS))]
 
 
+def without_spans(text: str, spans: list[tuple[int, int, int]], mask: str = " ") -> str:
+    """The text with each stretch that sorted spans cover replaced by ``mask``."""
+    cuts, at = [], 0
+    for start, _, end in spans:
+        if end > at:
+            cuts += [text[at : max(at, start)], mask] if start >= at else []
+            at = end
+    return "".join(cuts) + text[at:]
+
+
 def labelled_ordinary(texts: Iterable[str | None], most: int = 60_000) -> list[str]:
-    """Words of the texts and identifiers made of them: joined by ``_``, ``-``, ``/`` or capitals, some with a number at the end."""
+    """Words of the texts, without the spans of the fixed detectors, and identifiers made of them: joined by ``_``, ``-``, ``/`` or capitals, some with a number at the end."""
     words: list[str] = []
     for t in texts:
-        words += re.findall(r"[A-Za-z]{2,}", re.sub(LONG_HEX, " ", t or ""))
+        words += re.findall(r"[A-Za-z]{2,}", without_spans(t or "", base_spans(t or "")))
         if len(words) > most:
             break
     words = words[:most] or ["value", "name", "item", "index"]
@@ -98,12 +108,15 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
 
 
 def markov_spans(text: str, model: MarkovPair, taken: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
-    """(start, 3, end) of tokens that score as random strings and that no base span touches."""
-    return [
-        (m.start(), 3, m.end())
-        for m in TOKEN.finditer(text)
-        if model.score(m[0]) >= model.threshold and not any(s < m.end() and m.start() < e for s, _, e in taken)
-    ]
+    """(start, 3, end) of tokens that score as random strings and that no base span of ``taken`` (sorted) touches; both lists are walked once."""
+    out, at, reached = [], 0, -1
+    for m in TOKEN.finditer(text):
+        while at < len(taken) and taken[at][0] < m.end():
+            reached = max(reached, taken[at][2])
+            at += 1
+        if reached <= m.start() and model.score(m[0]) >= model.threshold:
+            out.append((m.start(), 3, m.end()))
+    return out
 
 
 def _joined(spans: list[tuple[int, int, int]]) -> str:
@@ -144,18 +157,14 @@ def scan(docs: DataFrame, sample_rows: int = 300, threshold: float = 0.35) -> Da
 
 
 def redact(docs: DataFrame, spans: DataFrame, mask: str = "[SECRET]") -> DataFrame:
-    """``docs`` with the spans that scan() found replaced by ``mask``; one row of ``spans`` per doc_id is expected."""
+    """``docs`` with the spans that scan() found replaced by ``mask``, spans that overlap by one: doc_id and text. One row of ``spans`` per doc_id is expected; a document without one stays as it is, null texts stay null. An empty table gives an empty result."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = []
             for text, found in zip(batch.column("text").to_pylist(), batch.column("spans").to_pylist(), strict=True):
-                cuts, at = [], 0
-                for part in sorted((tuple(map(int, x.split(":")[1:])) for x in (found or "").split(",") if x)):
-                    if part[1] > at:
-                        cuts += [(text or "")[at : max(at, part[0])], mask]
-                        at = part[1]
-                texts.append(None if text is None else "".join(cuts) + text[at:])
+                parts = (x.split(":") for x in (found or "").split(",") if x)
+                texts.append(None if text is None else without_spans(text, sorted((int(a), 0, int(b)) for _, a, b in parts), mask))
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(texts, pa.string())], names=["doc_id", "text"])
 
     both = docs.select("doc_id", "text").join(spans.select("doc_id", "spans"), "doc_id", "left")

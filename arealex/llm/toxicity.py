@@ -59,14 +59,18 @@ class Model:
         return 1 / (1 + np.exp(-np.clip(z, -40, 40)))
 
 
-def fit(texts: list[str | None], labels: list[int], bits: int = 18, alpha: float = 1.0, l2: float = 1e-3, passes: int = 80) -> Model:
+def fit(texts: list[str | None], labels: list[int], bits: int = 18, **options) -> Model:
+    """fit_sets on texts."""
+    sets = GramSets(bits)
+    return fit_sets([sets(t).astype(np.int32) for t in texts], labels, bits, **options)
+
+
+def fit_sets(feats: list[np.ndarray], labels: list[int], bits: int = 18, alpha: float = 1.0, l2: float = 1e-3, passes: int = 80) -> Model:
     """Log-count ratios, then logistic regression by full-batch adaptive gradient steps; classes weigh alike. With one class only, the score is constant."""
     y = np.array(labels, np.float64)
     if not len(y) or y.min() == y.max():
         rate = float(y.mean()) if len(y) else 0.0
         return Model(np.zeros(1 << bits, np.float32), 8.0 if rate else -8.0, bits)
-    sets = GramSets(bits)
-    feats = [sets(t).astype(np.int32) for t in texts]
     size = 1 << bits
     counts = [np.full(size, alpha), np.full(size, alpha)]
     for f, label in zip(feats, labels, strict=True):
@@ -80,6 +84,7 @@ def fit(texts: list[str | None], labels: list[int], bits: int = 18, alpha: float
     row = np.repeat(np.arange(len(feats), dtype=np.int32), [len(f) for f in feats])
     col = np.concatenate(feats)
     used, at = np.unique(col, return_inverse=True)
+    at = at.astype(np.int32)
     value = ratio[col].astype(np.float32)
     weight = np.where(y == 1, 0.5 / n1, 0.5 / n0)
     w, b = np.zeros(len(used)), 0.0
@@ -98,8 +103,22 @@ def fit(texts: list[str | None], labels: list[int], bits: int = 18, alpha: float
     return Model(full, float(b), bits)
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, per_class: int) -> list[tuple[str, int]]:
-    """At most ``per_class`` texts of each label, those with the smallest hash of the id: the same ones in every run. A document with two labels counts as the higher one."""
+def packed(ids: np.ndarray, bits: int) -> bytes:
+    """A set of buckets in at most 2**bits / 8 bytes and one: its ids, or a bitmap if that is shorter."""
+    if 4 * len(ids) <= (1 << bits) // 8:
+        return b"i" + np.sort(ids).astype("<i4").tobytes()
+    marks = np.zeros(1 << bits, np.uint8)
+    marks[ids] = 1
+    return b"m" + np.packbits(marks).tobytes()
+
+
+def unpacked(data: bytes) -> np.ndarray:
+    body = np.frombuffer(data, np.uint8, offset=1)
+    return body.view("<i4") if data[:1] == b"i" else np.flatnonzero(np.unpackbits(body)).astype(np.int32)
+
+
+def labelled_sample(docs: DataFrame, labels: DataFrame, per_class: int, bits: int = 18) -> list[tuple[bytes, int]]:
+    """The whole texts, as packed sets of n-grams, of at most ``per_class`` documents of each label, those with the smallest hash of the id: the same ones in every run. A document with two labels counts as the higher one. Sets are made by tasks, so the driver holds 2 * per_class sets of at most 2**bits / 8 bytes, however long the texts are."""
     marks = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     chosen: list = []
     for label in (0, 1):
@@ -108,9 +127,16 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, per_class: int) -> list[
     if not chosen:
         return []
     known = docs.sparkSession.createDataFrame(chosen, "doc_id long, label int")
+
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        grams = GramSets(bits)
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([packed(grams(t), bits) for t in batch.column(0).to_pylist()], pa.binary()), batch.column(1)], names=["grams", "label"])
+
     # The list of chosen ids has at most 2 * per_class rows.
-    rows = docs.select("doc_id", "text").join(F.broadcast(known), "doc_id").where(F.col("text").isNotNull()).select("text", "label").collect()
-    return [tuple(r) for r in rows]
+    rows = docs.select("doc_id", "text").join(F.broadcast(known), "doc_id").where(F.col("text").isNotNull()).select("doc_id", "text", "label").distinct()
+    found = rows.select("text", "label").mapInArrow(sets, "grams binary, label int").collect()
+    return sorted((bytes(g), int(y)) for g, y in found)
 
 
 def score(docs: DataFrame, model: Model, threshold: float = 0.7) -> DataFrame:
@@ -124,8 +150,7 @@ def score(docs: DataFrame, model: Model, threshold: float = 0.7) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(work, "doc_id long, score double, predicted int")
 
 
-def train(docs: DataFrame, labels: DataFrame, per_class: int = 1000, **options) -> Model:
-    """A model from at most ``per_class`` labelled texts of either class (the documented bound of the fit)."""
-    rows = labelled_sample(docs, labels, per_class)
-    rows.sort()
-    return fit([t for t, _ in rows], [y for _, y in rows], **options)
+def train(docs: DataFrame, labels: DataFrame, per_class: int = 2500, bits: int = 18, **options) -> Model:
+    """A model from at most ``per_class`` labelled documents of either class (the documented bound of the fit)."""
+    rows = labelled_sample(docs, labels, per_class, bits)
+    return fit_sets([unpacked(g) for g, _ in rows], [y for _, y in rows], bits, **options)

@@ -111,6 +111,61 @@ def test_packing_round_trip(docs, odd, empty, texts):
     assert packing.pack(empty).count() == 0
 
 
+def test_packing_of_long_runs():
+    encode = packing.load_encoder(packing.default_vocabulary())
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(packing.default_vocabulary())
+    for t in (" " * 1_200_000, "\n" * 200_000 + "x", "a" * 100_000, "x" + "\t \n" * 400_000 + "y"):
+        assert list(encode(t)) == tok.encode(t, add_special_tokens=False).ids
+
+
+def test_language_by_brute_force(docs):
+    """Vectors, cosines and the nearest centroid by plain loops over dictionaries of grams."""
+    from math import log, sqrt
+
+    rows = docs.where("lang is not null and text is not null").orderBy("doc_id").limit(40).collect()
+    model = language.fit({k: [r.text for r in rows if r.lang == k] for k in {r.lang for r in rows}}, per_language=2)
+    size, m = len(model.idf), (1 << 32) - 1
+
+    def mixed(c):
+        x = (c + 1) * 0x9E3779B1 & m
+        return x ^ x >> 15
+
+    for t in [r.text for r in rows[:12]] + ["Ünder  den 12 Brücken!", "x"]:
+        letters, last = [], None
+        for ch in t.lower():
+            c = 32 if ord(ch) < 170 and not "a" <= ch <= "z" else ord(ch)
+            if not (c == 32 and last == 32):
+                letters.append(c)
+            last = c
+        letters = [32, *letters, 32]
+        counts = Counter()
+        for n in (1, 2, 3):
+            for k in range(len(letters) - n + 1):
+                h = mixed(letters[k])
+                for c in letters[k + 1 : k + n]:
+                    h = h * 0x01000193 & m ^ mixed(c)
+                counts[(h * 0x85EBCA6B & m) >> 7] += 1
+        vector = Counter()
+        for h, n in counts.items():
+            vector[h % size] += n
+        vector = {k: log(1 + n) * float(model.idf[k]) for k, n in vector.items()}
+        norm = sqrt(sum(v * v for v in vector.values()))
+        cos = [sum(v * float(c[k]) for k, v in vector.items()) / norm for c in model.matrix]
+        lang, score, best, rejected = model.predict([t])[0]
+        assert abs(best - max(cos)) < 1e-4 and lang == model.langs[cos.index(max(cos))] and 0 <= score <= 1
+        assert rejected == (best < model.floor[cos.index(max(cos))])
+
+
+def test_language_rejects_what_is_far(docs):
+    model = language.train(docs)
+    own = [r.text for r in docs.where("lang is not null").collect()]
+    far = ["漢字 仮名 交じり 文 の 例" * 5, "zzqx qqzv xxqz vvzq " * 8, "Ωμέγα άλφα βήτα γάμμα"]
+    assert sum(x[3] for x in model.predict(own)) <= 0.03 * len(own)
+    assert all(x[3] for x in model.predict(far))
+
+
 def test_language(docs, odd, empty):
     held = "pmod(crc32(cast(cast(doc_id as string) as binary)), 4) = 2"
     model = language.train(docs.where(f"not ({held})"))
@@ -135,7 +190,7 @@ def test_language_learns_every_value(spark):
     word = lambda k: "".join(chr(0x4E00 + 40 * k + j) for j in range(20))
     rows = [(10 * k + j, word(k)[j:] + f" {j}", f"l{k:02}") for k in range(70) for j in range(3)] + [(5, word(0), "l00")] * 30
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
-    found = language.sample(docs, 2)
+    found = language.sample(docs, 2, 512)
     assert sorted(found) == sorted({r[2] for r in rows}) and all(len(v) == 2 for v in found.values())
     model = language.train(docs)
     assert [x[0] for x in model.predict([word(k) for k in range(70)])] == [f"l{k:02}" for k in range(70)]
@@ -257,6 +312,54 @@ def test_secret_models():
     assert [e for *_, e in secrets.markov_spans(f"see {random_ones[-1]} there", m, [])] == [44]
 
 
+def test_secrets_in_texts_of_many_spans():
+    import time
+
+    m = secrets.train(secrets.labelled_random(), secrets.labelled_ordinary(["values of several customers"] * 40))
+    rng = random.Random(4)
+    text = " ".join(f"password=pw{k}zzz some_ordinary_words_here_{k % 9} {''.join(rng.choice(secrets.ALPHABETS['base62']) for _ in range(20))}" for k in range(6000))
+    base = secrets.base_spans(text)
+    began = time.time()
+    got = secrets.markov_spans(text, m, base)
+    assert time.time() - began < 6
+    # The same by comparing each token with each span, on the first part of the text.
+    part = [x for x in base if x[2] < 20_000]
+    want = [(x.start(), 3, x.end()) for x in secrets.TOKEN.finditer(text[:19_000]) if m.score(x[0]) >= m.threshold and not any(s < x.end() and x.start() < e for s, _, e in part)]
+    assert want and got[: len(want) - 1] == want[:-1]
+
+
+def test_secrets_held_out(spark, docs, texts):
+    """Random strings of other seeds and lengths, planted in texts of the table: precision and recall of the added spans."""
+    rng = np.random.default_rng(99)
+    rows, planted = [], {}
+    for d, t in list(texts.items())[:120]:
+        if not t or secrets.base_spans(t):
+            continue
+        kind = ("base36", "base62", "base64")[d % 3]
+        token = "".join(rng.choice(list(secrets.ALPHABETS[kind]), int(rng.integers(24, 48))))
+        planted[d] = (len(t) + 1, len(t) + 1 + len(token))
+        rows.append((d, f"{t} {token} and then the_configuration_of_several_customers"))
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    found = secrets.scan(frame)
+    hits = marked = 0
+    for r in found.collect():
+        own = [tuple(map(int, x.split(":")[1:])) for x in r.spans.split(",") if x.startswith("markov")]
+        marked += len(own)
+        hits += planted[r.doc_id] in own
+    assert len(rows) > 50 and hits >= 0.95 * len(rows) and hits >= 0.9 * marked
+    clean = {r.doc_id: r.text for r in secrets.redact(frame, found).collect()}
+    for d, t in rows:
+        a, b = planted[d]
+        assert t[a:b] not in clean[d] or clean[d] == t
+    assert sum("[SECRET]" in t for t in clean.values()) >= hits
+
+
+def test_redaction_of_overlapping_spans(spark):
+    docs = spark.createDataFrame([(1, "ab secret xyz end"), (2, None), (3, "left"), (4, "")], "doc_id long, text string")
+    spans = spark.createDataFrame([(1, "assign:3:9,hex:5:13"), (2, ""), (4, None)], "doc_id long, spans string")
+    assert {r.doc_id: r.text for r in secrets.redact(docs, spans).collect()} == {1: "ab [SECRET] end", 2: None, 3: "left", 4: ""}
+
+
 def edits(a, b):
     p = list(range(len(b) + 1))
     for i, x in enumerate(a, 1):
@@ -475,6 +578,55 @@ def test_toxicity(spark, docs, odd, empty):
     assert 0 <= toxicity.train(empty, labels).scores([""])[0] <= 1
 
 
+def test_toxicity_by_brute_force(spark):
+    """Sets of grams, log-count ratios and scores by plain loops."""
+    from math import exp, log
+
+    rng = random.Random(5)
+    words = ["alpha", "beta", "gamma", "delta", "kind", "good"]
+    texts = [" ".join(rng.choice(words) for _ in range(12)) + ("  Awful\nLoser" if k % 2 else "") for k in range(60)]
+    labels = [k % 2 for k in range(60)]
+    bits, m = 12, (1 << 32) - 1
+
+    def grams(t):
+        c = []
+        for ch in " " + " ".join(t.lower().split()) + " ":
+            x = (ord(ch) + 1) * 0x9E3779B1 & m
+            c.append(x ^ x >> 15)
+        out = set()
+        for k in range(len(c)):
+            h = c[k]
+            for n in range(2, 6):
+                if k + n > len(c):
+                    break
+                h = (h * 0x01000193 & m ^ c[k + n - 1]) * 0x85EBCA6B & m
+                if n >= 3:
+                    out.add(((h ^ h >> 13) * 0x9E3779B1 & m) >> 32 - bits)
+        return out
+
+    sets = toxicity.GramSets(bits)
+    for t in [*texts, "", "a"]:
+        assert set(sets(t).tolist()) == grams(t)
+        assert set(toxicity.unpacked(toxicity.packed(sets(t), bits)).tolist()) == grams(t)
+    dense = np.arange(0, 1 << bits, 2)
+    assert toxicity.unpacked(toxicity.packed(dense, bits)).tolist() == dense.tolist()
+    model = toxicity.fit(texts, labels, bits=bits)
+    counts = [Counter(), Counter()]
+    for t, y in zip(texts, labels, strict=True):
+        counts[y].update(grams(t))
+    for g in range(1 << bits):
+        ratio = log((counts[1][g] + 1) / 32) - log((counts[0][g] + 1) / 32)
+        # Weights are of the scaled features, so a bucket without a ratio has none.
+        if abs(ratio) <= 0.25 or counts[0][g] + counts[1][g] < 3:
+            assert model.weights[g] == 0
+    frame = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    marks = spark.createDataFrame([(k, y) for k, y in enumerate(labels)], "doc_id long, toxic int")
+    same = toxicity.train(frame, marks, bits=bits)
+    for r in toxicity.score(frame, same).collect():
+        want = 1 / (1 + exp(-(sum(float(same.weights[g]) for g in grams(texts[r.doc_id])) + same.bias)))
+        assert abs(r.score - want) < 1e-5 and r.predicted == labels[r.doc_id]
+
+
 PAGE = """<!DOCTYPE html><html><body><header>Site</header><div id="menu-main"><a href=x>Home</a></div><div class="wrap"><div class="post-body">
 <h2>Title {k}</h2><p>Some &lt;long&gt; text, number {k}<br>with   words {w}.<div class="share">Share this</div><div class="note">Constant note</div>
 <ul><li>one<li>two {k}</ul></div><aside>side {k}</aside></div><div class="comments"><p>nice {k}</p></div><form>f</form><footer>f {k}</footer><script>var x="</p>";</script></body></html>"""
