@@ -271,6 +271,34 @@ def test_mixing(docs, odd, empty):
     assert mixing.mixed(odd).columns == odd.columns and mixing.mixed(empty).count() == 0
 
 
+def test_mixing_rates_solve_the_dual(docs):
+    """Rates are exp(m * size) up to the limit with one m a source, and meet the targets; m against bisection on all documents."""
+    from math import exp, log
+
+    by = defaultdict(list)
+    for r in mixing.mix(docs).collect():
+        by[r.source].append(r)
+    for rows in by.values():
+        t, rows = rows[0].target, [r for r in rows if r.size]
+        assert abs(sum(r.rate * r.size for r in rows) - t) <= max(1, 1e-4 * t)
+        whole, least = sum(r.size for r in rows), min(r.size for r in rows)
+        low, high = (0.0, log(2) / least) if t > whole else (-log(whole / t) / least, 0.0)
+        for _ in range(200):
+            m = (low + high) / 2
+            low, high = (m, high) if sum(r.size * min(2.0, exp(m * r.size)) for r in rows) < t else (low, m)
+        assert t >= 2 * whole - 0.5 or all(abs(r.rate - min(2.0, exp(m * r.size))) < 1e-3 for r in rows)
+        assert all(0 <= r.copies <= 2 for r in rows) and len({round(r.rate, 6) for r in rows}) > 1 or t >= 2 * whole - 0.5
+
+
+def test_mixing_with_a_giant_document(spark):
+    """19,000 words in short texts and 81,000 in one: the nearest mixes to 40,000 are 38,000 (short ones twice), to 90,000 are 100,000 less a tenth, to 10,000 all in short ones."""
+    rows = [(k, "w " * 100, "a") for k in range(190)] + [(500, "w " * 81_000, "a")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    for percent, nearest in ((40, 38_000), (10, 10_000), (90, 90_000), (119, 119_000)):
+        taken = sum(r.taken for r in mixing.mix(docs, share_percent=percent).collect())
+        assert abs(taken - nearest) <= 0.01 * nearest
+
+
 def test_mixing_passes_over_long_texts(spark):
     from pyspark.sql import functions as F
 
