@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -99,3 +99,21 @@ def spanning(adjacent: np.ndarray) -> np.ndarray:
         if (new == label).all():
             return label
         label = new
+
+
+def spanned(pairs: np.ndarray, linked: Callable[[int, int], bool]) -> np.ndarray:
+    """Of the marked pairs, those that a test links; pairs that are connected already aren't tested, so the result has the components, not every link."""
+    n = len(pairs)
+    out, own = np.zeros((n, n), bool), list(range(n))
+
+    def root(k: int) -> int:
+        while own[k] != k:
+            k = own[k] = own[own[k]]
+        return k
+
+    for a, b in np.argwhere(pairs).tolist():
+        x, y = root(a), root(b)
+        if x != y and linked(a, b):
+            out[a, b] = out[b, a] = True
+            own[max(x, y)] = min(x, y)
+    return out

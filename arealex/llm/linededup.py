@@ -15,7 +15,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from arealex.llm.common import WORD, let, mix64, prefix_sums, spans_of, stored
-from arealex.llm.components import connected
+from arealex.llm.components import connected, spanned
 from arealex.llm.neardup import _stars, linked
 
 LONG_LIST, BLOCK, NEAR = 256, 128, 16
@@ -245,24 +245,11 @@ def _verified(members: DataFrame, tau: int) -> DataFrame:
 
     def compare(g: dict, wanted: np.ndarray) -> np.ndarray:
         texts = g["line"]
-        n = len(texts)
         lengths = np.array([len(t) for t in texts], np.int64)
         chars = np.frombuffer("".join(texts).encode("utf-32-le", "surrogatepass"), np.uint32)
         sk = sketches(lengths, chars, np.concatenate(([0], np.cumsum(lengths)))[:-1].astype(np.int64))
-        adjacent = np.zeros((n, n), bool)
-        own = list(range(n))  # pairs that are connected already aren't looked into
-
-        def root(k: int) -> int:
-            while own[k] != k:
-                k = own[k] = own[own[k]]
-            return k
-
-        for a, b in np.argwhere(np.triu(_close(sk, tau) & (np.abs(lengths[:, None] - lengths[None, :]) <= tau) & wanted, 1)).tolist():
-            x, y = root(a), root(b)
-            if x != y and within(texts[a], texts[b], tau):
-                adjacent[a, b] = adjacent[b, a] = True
-                own[max(x, y)] = min(x, y)
-        return adjacent
+        near = _close(sk, tau) & (np.abs(lengths[:, None] - lengths[None, :]) <= tau) & wanted
+        return spanned(np.triu(near, 1), lambda a, b: within(texts[a], texts[b], tau))
 
     return linked(members, "cluster", ["line"], compare, BLOCK)
 

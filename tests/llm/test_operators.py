@@ -582,13 +582,53 @@ def test_fingerprint_likeness_falls_with_edits():
     assert means[0] == 1.0 and means == sorted(means, reverse=True) and means[1] > 0.7 > means[3]
 
 
-def test_fingerprint_classes(spark):
+def test_fingerprint_classes(spark, odd, empty):
     rng = random.Random(6)
     base = [" ".join("".join(rng.choice("abcdefghij") for _ in range(rng.randrange(2, 9))) for _ in range(120)) for _ in range(6)]
     rows = [(k, mutated(base[k % 6], rng.randrange(12), rng)) for k in range(48)]
-    got = {r.doc_id: r.component_id for r in fingerprints.near_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    got = {r.doc_id: r.component_id for r in fingerprints.near_classes(spark.createDataFrame(rows, "doc_id long, text string"), max_edits_percent=10).collect()}
     want = plain_components(48, lambda a, b: a % 6 == b % 6 and edits(rows[a][1], rows[b][1]) <= max(len(rows[a][1]), len(rows[b][1])) * 10 // 100)
     assert sum(got[k] == want[k] for k in range(48)) >= 46 and all(got[k] % 6 == k % 6 for k in got)
+    found = [(r.doc_id, r.component_id) for r in fingerprints.near_classes(odd).collect()]
+    assert len(found) == len(odd_rows()) and found.count((6, 6)) == 2 and found.count((2, 1)) == 1 and fingerprints.near_classes(empty).count() == 0
+
+
+def test_fingerprint_recall(texts):
+    """Pairs of texts 3 % apart or less meet in a band in at least nine of ten cases; unrelated ones don't."""
+    rng = random.Random(11)
+    rows = [t for t in texts.values() if t and len(t) > 300][:120]
+    prints = fingerprints.fingerprints(rows)
+    own = fingerprints.bands(prints)
+    for percent in (1, 2, 3):
+        copies = [mutated(t, max(1, len(t) * percent // 100), rng) for t in rows]
+        met = (own == fingerprints.bands(fingerprints.fingerprints(copies))).any(1)
+        assert met.mean() >= 0.9
+    assert fingerprints.near_copies(rows[0], mutated(rows[0], len(rows[0]) * 2 // 100, rng), 3) and not fingerprints.near_copies(rows[0], rows[1], 3)
+
+
+def test_walks_by_brute_force():
+    """What is written against a walk of one character at a time; and Hamming distance stays small after an edit at the start."""
+    rng = random.Random(2)
+    text = "".join(rng.choice("abcdefghij ") for _ in range(200))
+    c = np.frombuffer(text.encode("utf-32-le"), np.uint32)
+    symbol = [int(fingerprints.mix64(np.array([ord(x) + 1], np.uint64))[0] >> np.uint64(56)) for x in text]
+    start, length = np.array([0, 50, 120]), np.array([50, 70, 80])
+    wrote = fingerprints._walks(c, start, length)
+    for k in range(3):
+        place, want = 0, []
+        for j in range(2 * length[k]):
+            seen = symbol[start[k] + place] if place < length[k] else 0
+            want.append(seen)
+            place += int(fingerprints._MOVES[j, seen])
+        assert wrote[: 2 * length[k], k].tolist() == want
+    apart = []
+    for _ in range(40):
+        a = "".join(rng.choice("abcdefghij ") for _ in range(240))
+        b = mutated(a, 1, rng)[:240]
+        both = np.frombuffer((a + b).encode("utf-32-le"), np.uint32)
+        w = fingerprints._walks(both, np.array([0, 240]), np.array([240, len(b)]))
+        apart.append((w[:480, 0] != w[:480, 1]).mean())
+    assert np.mean(apart) < 0.15
 
 
 def test_toxicity(spark, docs, odd, empty):
