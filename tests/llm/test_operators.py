@@ -722,8 +722,90 @@ def test_extraction_on_pages(spark):
         assert r.text == "\n\n".join(filter(None, parts))
 
 
-def test_tree_matching():
-    a = ["r", None, 0, False, [["x", "1", 0, False, []], ["y", "2", 0, False, []], ["z", "3", 0, False, []]]]
-    b = ["r", None, 0, False, [["y", "2", 0, False, []], ["w", "9", 0, False, []], ["z", "4", 0, False, []]]]
-    get, kids = (lambda n: n[0]), (lambda n: n[4])
-    assert extraction.match(a, b, get, kids, get, kids, {}) == (3, [(1, 0), (2, 2)])
+def _extracted(spark, rows, schema="page_id long, url string, html string"):
+    return {r.page_id: r.text for r in extraction.extract_pages(spark.createDataFrame(rows, schema)).collect()}
+
+
+def test_extraction_keeps_articles_over_several_parts(spark):
+    words = lambda k, n: " ".join(f"w{k}x{j}" for j in range(n))
+    page = "<html><body><div class='top'>The site</div><div id=a1><p>{a}</p></div><div id=b2><p>{b}</p></div><div>ab <b>much {k} longer text than before</b> end</div><div class='cookie-notice'>Cookies {k}</div></body></html>"
+    rows = [(k, "http://h.example.org/x", page.format(k=k, a=words(k, 130), b=words(k + 50, 60))) for k in range(6)]
+    got = _extracted(spark, rows)
+    for k in range(6):
+        assert got[k] == f"{words(k, 130)}\n\n{words(k + 50, 60)}\n\nab much {k} longer text than before end"
+    # A class name that also says something else doesn't decide; nor do names where the page is the only one of its host.
+    table = "<main><h1>Prices</h1><div class='share-price table'>Eleven up, {k} down</div><p>And {k} on.</p></main>"
+    got = _extracted(spark, [(k, f"http://p{k % 2}.example.org", table.format(k=k)) for k in range(3)])
+    assert got == {k: f"Prices\n\nEleven up, {k} down\n\nAnd {k} on." for k in range(3)}
+
+
+def test_extraction_learns_from_all_pages_of_a_host(spark):
+    """Of 300 pages a few have a notice, whose class says nothing; and one layout is rare. Constant text is template wherever it is, in any split of the table."""
+    rows = []
+    for k in range(300):
+        notice = "<div class=x9>We are moving house in May</div>" if k % 50 == 7 else ""
+        teaser = "<section>See also the other site</section>" if k >= 290 else ""
+        rows.append((k, "https://hot.example.org/a", f"<html><body><div>Masthead</div>{notice}<div><h2>T {k}</h2><p>text of page {k} and more</p></div>{teaser}<div>All rights with us</div></body></html>"))
+    frame = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for parts in (1, 7):
+        got = {r.page_id: r.text for r in extraction.extract_pages(frame.repartition(parts)).collect()}
+        assert got == {k: f"T {k}\n\ntext of page {k} and more" for k in range(300)}
+
+
+def test_extraction_of_copies_and_single_pages(spark):
+    page = "<html><body><div>One text</div><p>that all copies have</p></body></html>"
+    got = _extracted(spark, [(k, "http://c.example.org", page) for k in range(5)] + [(9, "http://one.example.org", page), (10, None, page)])
+    assert set(got.values()) == {"One text\n\nthat all copies have"}
+
+
+def test_extraction_of_deep_long_and_odd_pages(spark):
+    import time
+
+    n = 5000
+    deep = "<div>" * n + "deep text" + "</div>" * n
+    spans = "<p>" + "<span>" * n + "inline text" + "</span>" * n + "</p>"
+    listy = "<ul>" + "<li><a href=x>link</a></li>" * 5 + "</ul><p>kept</p>"
+    long = lambda k: "<html><body><div>Same</div>" + "".join(f"<h2>h {j} {k if j % 3 else 'x'}</h2><p>text {j} {k}</p><div class=c{'abc'[(j + k) % 3]}>d {j} {k}</div>" for j in range(5000)) + "</body></html>"
+    rows = [(1, "http://d.example.org", deep), (2, "http://d.example.org", deep.replace("deep", "other deep")), (3, "http://s.example.org", spans), (4, "http://s.example.org", listy), (5, "x", "<" * 2000), (6, "x", "<p>a &amp; b &lt;c&gt; <br> d</p><p></p>  e"), (7, None, None), (8, "", "")]
+    rows += [(100 + k, "http://long.example.org", long(k)) for k in range(4)]
+    began = time.time()
+    frame = spark.createDataFrame([(*r, 1, 2, 3) for r in rows], "page_id long, url string, html string, host int, text int, wrappers int")
+    got = {r.page_id: r.text for r in extraction.extract_pages(frame).collect()}
+    assert time.time() - began < 90
+    assert got[1] == "deep text" and got[2] == "other deep text" and got[3] == "inline text" and got[4] == "kept" and got[6] == "a & b <c> d\n\ne" and got[7] == got[8] == ""
+    for k in range(4):
+        assert len(rows[-1][2]) > 200_000 and got[100 + k].count("\n\n") >= 3 * 5000 - 2 - 1700 and not got[100 + k].startswith("Same")
+        assert all(f"text {j} {k}" in got[100 + k] for j in range(0, 5000, 499))
+
+
+def test_tree_matching_by_brute_force(monkeypatch):
+    """The size of the best matching against all order-keeping matchings, by plain recursion; and the pairing adds up to it."""
+    rng = random.Random(4)
+
+    def tree(depth):
+        u = extraction.Unit(rng.choice("abc"), rng.choice(["1", "2", None]), 1, [tree(depth - 1) for _ in range(rng.randrange(4))] if depth else [])
+        extraction._shaped(u)
+        return u
+
+    def plain(a, b):
+        if a.sig != b.sig:
+            return 0
+
+        def best(x, y):
+            if not x or not y:
+                return 0
+            return max(best(x[1:], y), best(x, y[1:]), plain(x[0], y[0]) + best(x[1:], y[1:]))
+
+        return 1 + best(a.kids, b.kids)
+
+    for _ in range(300):
+        a, b = tree(3), tree(3)
+        assert extraction.matched(a, b, {}) == plain(a, b)
+        size, pairs = extraction.aligned(a.kids, b.kids, {})
+        assert size == sum(plain(a.kids[i], b.kids[j]) for i, j in pairs) and pairs == sorted(pairs) and len({j for _, j in pairs}) == len(pairs)
+        back = extraction.unflat(extraction.flat(a))
+        assert extraction.flat(back) == extraction.flat(a) and back.shape == a.shape
+        monkeypatch.setattr(extraction, "CELLS", 0)
+        size, pairs = extraction.aligned(a.kids, b.kids, {})
+        assert pairs == sorted(pairs) and len({j for _, j in pairs}) == len(pairs) and all(a.kids[i].sig == b.kids[j].sig for i, j in pairs)
+        monkeypatch.setattr(extraction, "CELLS", 40_000)
