@@ -48,8 +48,9 @@ def at_least(shared: Column, a: Column, b: Column, bp: Column, measure: str = "j
     if measure == "dice":
         return none | ((a + b > 0) & (2 * UNIT * shared >= bp * (a + b)))
     if measure == "cosine":
-        big = "decimal(38,0)"
-        return none | ((a > 0) & (b > 0) & (F.lit(UNIT).cast(big) * UNIT * shared.cast("decimal(12,0)") * shared.cast("decimal(12,0)") >= (bp * bp).cast("decimal(10,0)") * a.cast("decimal(12,0)") * b.cast("decimal(12,0)")))
+        # Squares of totals up to 1e14 (a hundred million nats in millionths) times 1e8 fit into 38 digits.
+        wide = lambda c: c.cast("decimal(14,0)")
+        return none | ((a > 0) & (b > 0) & (F.lit(UNIT * UNIT).cast("decimal(9,0)") * (wide(shared) * wide(shared)) >= (bp * bp).cast("decimal(9,0)") * (wide(a) * wide(b))))
     raise ValueError(measure)
 
 

@@ -10,6 +10,7 @@ from arealex.functions.similarity import SIDES, area, at_least, box, overlap_are
 from arealex.operators import probes as P
 from arealex.operators import signatures as S
 from arealex.operators.verify import verify
+from arealex.sources.shared import kept
 
 
 def word_first(ix: P.Index, q: DataFrame) -> DataFrame:
@@ -72,9 +73,15 @@ def word_tree(ix: P.Index, fanout: int = 32, objects: DataFrame | None = None) -
     return nodes, words, height
 
 
+def kept_tree(ix: P.Index, fanout: int) -> tuple[DataFrame, DataFrame, int]:
+    """The tree, written once, parted by level."""
+    nodes, words, height = word_tree(ix, fanout)
+    return kept(nodes, "level"), kept(words, "level"), height
+
+
 def word_tree_visits(ix: P.Index, q: DataFrame, fanout: int = 32, use_words: bool = True) -> list[tuple[int, DataFrame]]:
     """(level, frontier) from below the root to the objects: nodes whose shared area and shared words both reach the query's thresholds. One join a level, as many as the logarithm of the number of objects."""
-    nodes, words, height = word_tree(ix, fanout)
+    nodes, words, height = ix._once(("tree", fanout), lambda: kept_tree(ix, fanout))
     mine = ix.prepared(q).select("query_id", *[F.col(s).alias(f"q_{s}") for s in SIDES], "area", "w_total", "tau_r_bp", "tau_t_bp")
     tokens = ix.query_tokens(q).select("query_id", "token", "w")
     frontier, out = mine.select("query_id", F.lit(0).cast("bigint").alias("parent_id")), []

@@ -5,6 +5,7 @@ All levels are looked at in one pass: a level's expected cost for a workload is
 
 from __future__ import annotations
 
+import time
 from functools import reduce
 
 from pyspark.sql import DataFrame, Window
@@ -13,6 +14,7 @@ from pyspark.sql import functions as F
 from arealex.functions.cells import cells_of
 from arealex.operators import probes as P
 from arealex.operators import signatures as S
+from arealex.operators.verify import verify
 
 PI1, PI2 = 1.0, 10.0
 
@@ -22,6 +24,18 @@ def query_cost(retrieved, candidates, pi1: float = PI1, pi2: float = PI2):
     return pi1 * retrieved + pi2 * candidates
 
 
+def calibrate_costs(ix: P.Index, workload: DataFrame, level: int) -> tuple[float, float]:
+    """Seconds for a posting retrieved and for a candidate verified, measured on a workload; their ratio is what the choice of a level needs in place of PI1 and PI2."""
+    began = time.perf_counter()
+    hits = P.grid_bounded_hits(ix, workload, level).count()
+    retrieved = time.perf_counter()
+    pairs = P.grid_bounded(ix, workload, level)
+    n = pairs.count()
+    found = time.perf_counter()
+    verify(ix, workload, pairs).count()
+    return (retrieved - began) / max(1, hits), max(0.0, time.perf_counter() - found - (found - retrieved)) / max(1, n)
+
+
 def _every(frames: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, frames)
 

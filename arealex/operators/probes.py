@@ -10,25 +10,33 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from arealex.functions.cells import Space, bounding_space, cells_of
-from arealex.functions.similarity import SIDES, area, box, shared_enough
+from arealex.functions.cells import Space, bounding_space, cell_box, cells_of
+from arealex.functions.similarity import SIDES, area, box, overlap_area, shared_enough
 from arealex.operators import signatures as S
 
-BATCH_ROWS = 20_000
+BATCH_ROWS, BATCH_BYTES = 20_000, 16_000_000
+#: An axis of the space may be this long (as a power of two), so that areas times 10,000 stay within BIGINT.
+LONGEST_BITS = 24
 QUERY_COLUMNS = ("query_id", *SIDES, "tokens", "tau_r_bp", "tau_t_bp")
 
 
+def is_small(queries: DataFrame) -> bool:
+    """Whether a batch has at most BATCH_ROWS rows and BATCH_BYTES of words."""
+    size = F.aggregate("tokens", F.lit(0).cast("bigint"), lambda n, t: n + F.octet_length(t)) + 16 * F.size("tokens") if "tokens" in queries.columns else F.lit(64)
+    n, total = queries.limit(BATCH_ROWS + 1).agg(F.count("*"), F.coalesce(F.sum(size), F.lit(0))).first()
+    return n <= BATCH_ROWS and total <= BATCH_BYTES
+
+
 def known_size(queries: DataFrame) -> DataFrame:
-    """The batch as a local relation if it has at most BATCH_ROWS rows."""
+    """The batch as a local relation if it is small."""
     q = queries.select(*QUERY_COLUMNS)
-    rows = q.limit(BATCH_ROWS + 1).collect()
-    return q if len(rows) > BATCH_ROWS else q.sparkSession.createDataFrame(rows, q.schema)
+    return q.sparkSession.createDataFrame(q.collect(), q.schema) if is_small(q) else q
 
 
 def bounded(queries: DataFrame) -> DataFrame:
     """The batch, if it is small enough to be held against every object."""
-    if queries.limit(BATCH_ROWS + 1).count() > BATCH_ROWS:
-        raise ValueError(f"a scan takes at most {BATCH_ROWS} queries at once")
+    if not is_small(queries):
+        raise ValueError(f"a scan takes at most {BATCH_ROWS} queries and {BATCH_BYTES} bytes of words at once")
     return queries
 
 
@@ -47,6 +55,8 @@ class Index:
 
     def __post_init__(self):
         self.space = self.space or bounding_space(self.objects)
+        if self.space.x_bits + self.space.y_bits > 2 * LONGEST_BITS:
+            raise ValueError("the space is larger than 2**48 units; scale the sides down (sources.objects.scaled takes negative decimals)")
         self.stats = S.token_stats(self.objects, self.weighted) if self.stats is None else self.stats
 
     def _once(self, key, make):
@@ -130,9 +140,15 @@ def grid_overlap_hits(ix: Index, q: DataFrame, level: int) -> DataFrame:
     return own.join(S.grid_signature(ix.objects, ix.space, level), "cell")
 
 
-def grid_overlap(ix: Index, q: DataFrame, level: int) -> DataFrame:
-    """Pairs for which the smaller covered areas of shared cells add up to enough, with that sum (an upper bound of the overlap)."""
-    sums = grid_overlap_hits(ix, q, level).groupBy("query_id", "object_id").agg(F.sum(F.least("w", "w_q")).alias("shared"))
+def grid_overlap(ix: Index, q: DataFrame, level: int, cell_weight: str = "least") -> DataFrame:
+    """Pairs for which the smaller covered areas of shared cells add up to enough, with that sum (an upper bound of the overlap). With cell_weight ``exact``, a cell counts with the area that query and object share in it, so the sum is the overlap: what bounds are measured against, as it needs all sides of all postings."""
+    if cell_weight == "exact":
+        own = cells_of(q, ix.space, level, "query_id", *SIDES).withColumnsRenamed({s: f"q_{s}" for s in SIDES}).drop("w")
+        on = own.join(cells_of(ix.objects, ix.space, level, "object_id", *SIDES), "cell")
+        both = tuple(F.greatest(f"q_{s}", s) if k < 2 else F.least(f"q_{s}", s) for k, s in enumerate(SIDES))
+        sums = on.withColumn("shared", overlap_area(both, cell_box(ix.space, level))).groupBy("query_id", "object_id").agg(F.sum("shared").alias("shared")).where("shared > 0")
+    else:
+        sums = grid_overlap_hits(ix, q, level).groupBy("query_id", "object_id").agg(F.sum(F.least("w", "w_q")).alias("shared"))
     return sums.join(_totals(ix, q), "query_id").where(_enough_r(ix, "shared")).select("query_id", "object_id", "shared")
 
 
@@ -161,8 +177,9 @@ def grid_bounded(ix: Index, q: DataFrame, level: int, use_prefix: bool = True, u
 
 
 def two_filter(ix: Index, q: DataFrame, level: int) -> DataFrame:
-    """Candidates of both bounded probes."""
-    return token_bounded(ix, q).intersect(grid_bounded(ix, q, level))
+    """Candidates of both bounded probes: the grid's pairs, which are fewer, cut the token postings before these are made distinct."""
+    near = grid_bounded(ix, q, level)
+    return pairs_of(token_bounded_hits(ix, q).select("query_id", "object_id").join(near, ["query_id", "object_id"], "left_semi"))
 
 
 def pair_hits(ix: Index, q: DataFrame, level: int, buckets: int | None = None) -> DataFrame:

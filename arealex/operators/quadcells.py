@@ -6,22 +6,24 @@ import heapq
 from functools import reduce
 
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from arealex.functions.cells import cells_of
 from arealex.operators import probes as P
 from arealex.operators import signatures as S
 
-CELL_ROWS = 200_000
+#: A token has at most (4 ** (level + 1) - 1) / 3 cells down to a level, so a task that chooses cells holds at most 1.4 million rows.
+DEEPEST = 10
 SELECTION = "token string, level int, cell bigint, n_obj bigint"
 
 
 def token_cells(ix: P.Index, max_level: int) -> DataFrame:
     """token, level, cell, n_obj and covered (the sum of the areas that its objects cover), for all levels down to ``max_level``. Objects are counted on each level, as one may meet several children of a cell."""
-    tokens = ix.objects.select("object_id", F.explode("tokens").alias("token"))
-    sigs = [S.grid_signature(ix.objects, ix.space, v).withColumn("level", F.lit(v)) for v in range(max_level + 1)]
-    every = tokens.join(reduce(DataFrame.unionByName, sigs), "object_id")
+    if max_level > DEEPEST:
+        raise ValueError(f"cells are chosen down to level {DEEPEST} at most")
+    cells = [cells_of(ix.objects, ix.space, v, "object_id", "tokens").withColumn("level", F.lit(v)) for v in range(max_level + 1)]
+    every = reduce(DataFrame.unionByName, cells).select(F.explode("tokens").alias("token"), "level", "cell", "w")
     return every.groupBy("token", "level", "cell").agg(F.count("*").alias("n_obj"), F.sum("w").alias("covered"))
 
 
@@ -75,13 +77,9 @@ def greedy_cells(cells: pd.DataFrame, budget: int, max_level: int, keep_empty: b
 def pick_quad_cells(ix: P.Index, budget: int, max_level: int, mode: str = "children", keep_empty: bool = False, total: bool = False) -> DataFrame:
     """token, level, cell, n_obj of each token's chosen cells.
 
-    ``budget`` is for each token; with ``total`` it is for all, parted in proportion to the tokens' objects, with at least 4 each. Only aggregated cells of one token, CELL_ROWS at most, meet in a task: of a token with more, the deepest levels are left out.
+    ``budget`` is for each token; with ``total`` it is for all, parted in proportion to the tokens' objects, with at least 4 each. Only aggregated cells of one token meet in a task, whose number the level bounds (DEEPEST).
     """
     cells = cell_error(ix, token_cells(ix, max_level), max_level, mode)
-    deep = cells.groupBy("token", "level").agg(F.count("*").alias("n"))
-    upto = Window.partitionBy("token").orderBy("level").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    deep = deep.withColumn("n", F.sum("n").over(upto)).where(F.col("n") <= CELL_ROWS).groupBy("token").agg(F.max("level").alias("deepest"))
-    cells = cells.join(deep, "token").where("level <= deepest")
     if total:
         all_ = ix.stats.agg(F.sum("n_obj").alias("_all"))
         share = ix.stats.crossJoin(F.broadcast(all_)).select("token", F.greatest(F.lit(4), F.floor(budget * F.col("n_obj") / F.col("_all"))).cast("int").alias("m"))
@@ -90,10 +88,10 @@ def pick_quad_cells(ix: P.Index, budget: int, max_level: int, mode: str = "child
         cells = cells.withColumn("m", F.lit(budget))
 
     def choose(pdf: pd.DataFrame) -> pd.DataFrame:
-        rows = greedy_cells(pdf, int(pdf.m.iloc[0]), int(pdf.deepest.iloc[0]), keep_empty)
+        rows = greedy_cells(pdf, int(pdf.m.iloc[0]), max_level, keep_empty)
         return pd.DataFrame([(pdf.token.iloc[0], *r) for r in rows], columns=["token", "level", "cell", "n_obj"])
 
-    return cells.select("token", "level", "cell", "n_obj", "error", "m", "deepest").groupBy("token").applyInPandas(choose, SELECTION)
+    return cells.select("token", "level", "cell", "n_obj", "error", "m").groupBy("token").applyInPandas(choose, SELECTION)
 
 
 def _tree_cells(frame: DataFrame, ix: P.Index, max_level: int, key: str) -> DataFrame:

@@ -77,9 +77,11 @@ def weighted_objects(objects: DataFrame, stats: DataFrame) -> DataFrame:
 
 
 def pair_bucket(token: Column, cell: Column, buckets: int | None) -> Column:
-    """The element of a token and a cell: a bucket, or with no limit a 64-bit name of the pair."""
-    h = F.xxhash64(token, cell)
-    return h if buckets is None else F.pmod(h, F.lit(buckets).cast("bigint"))
+    """The element of a token and a cell: a bucket (by a hash that other engines have, too), or with no limit a 64-bit name of the pair."""
+    if buckets is None:
+        return F.xxhash64(token, cell)
+    digest = F.md5(F.concat(token, F.lit(":"), cell.cast("string")).cast("binary"))
+    return F.pmod(F.conv(F.substring(digest, 1, 8), 16, 10).cast("bigint"), F.lit(buckets).cast("bigint"))
 
 
 def pair_postings(tokens: DataFrame, cells: DataFrame, buckets: int | None) -> DataFrame:

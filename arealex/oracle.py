@@ -128,3 +128,95 @@ def candidates(kind: str, queries: str, r: int, t: int, method: str, v: int = 6)
 
 def hits_row(labels: str, hits: str) -> str:
     return f"SELECT {labels}, count(*) AS retrieved, count(DISTINCT (query_id, object_id)) AS candidates FROM {hits}"
+
+
+def _settings(settings) -> str:
+    rows = ", ".join(f"({r}, {t})" for r, t in settings)
+    return f""",
+settings AS (SELECT * FROM (VALUES {rows}) AS v(r, t))"""
+
+
+def swept_grid(v: int) -> str:
+    """The postings that the grid filter of a level retrieves under each setting's area threshold: gs (r, query_id, object_id)."""
+    return f""",
+gr{v} AS (SELECT query_id, cell, area, rest FROM (SELECT *, sum(w) OVER (PARTITION BY query_id ORDER BY n_obj, cell {_SUFFIX}) AS rest FROM qc{v} JOIN cs{v} USING (cell)) JOIN query_totals USING (query_id)),
+gb{v} AS (SELECT object_id, cell, sum(w) OVER (PARTITION BY object_id ORDER BY n_obj, cell {_SUFFIX}) AS bound_r FROM oc{v} JOIN cs{v} USING (cell)),
+gs{v} AS (SELECT r, query_id, object_id FROM gr{v} JOIN gb{v} USING (cell), (SELECT DISTINCT r FROM settings) WHERE 10000 * rest >= r * area AND 10000 * bound_r >= r * area)"""
+
+
+_SWEPT_TOKENS = f""",
+tr AS (SELECT query_id, token, w_total, rest FROM (SELECT *, sum(w) OVER (PARTITION BY query_id ORDER BY n_obj, token {_SUFFIX}) AS rest FROM query_tokens) JOIN query_totals USING (query_id)),
+tb AS (SELECT object_id, token, sum(w) OVER (PARTITION BY object_id ORDER BY n_obj, token {_SUFFIX}) AS bound_t FROM signed),
+ts AS (SELECT t, query_id, object_id FROM tr JOIN tb USING (token), (SELECT DISTINCT t FROM settings) WHERE 10000 * rest >= t * w_total AND 10000 * bound_t >= t * w_total)"""
+
+
+def token_or_grid(kind: str, queries: str, levels, settings) -> str:
+    head = parts(kind, queries, tuple(levels)) + _settings(settings) + _SWEPT_TOKENS + "".join(swept_grid(v) for v in levels)
+    count = "CAST(sum(n) AS BIGINT) AS retrieved, count(*) AS candidates"
+    rows = [f"SELECT 'token' AS method, -1 AS level, r AS tau_r_bp, t AS tau_t_bp, {count} FROM (SELECT t, query_id, object_id, count(*) AS n FROM ts GROUP BY ALL) JOIN settings USING (t) GROUP BY r, t"]
+    rows += [f"SELECT 'grid', {v}, r, t, {count} FROM (SELECT r, query_id, object_id, count(*) AS n FROM gs{v} GROUP BY ALL) JOIN settings USING (r) GROUP BY r, t" for v in levels]
+    return head + "\n" + " UNION ALL ".join(rows)
+
+
+def grid_or_pair(kind: str, queries: str, levels, settings) -> str:
+    head = parts(kind, queries, tuple(levels)) + _settings(settings) + _SWEPT_TOKENS + ",\ntc AS (SELECT t, query_id, object_id, count(*) AS n FROM ts GROUP BY ALL)" + "".join(swept_grid(v) + f",\ngc{v} AS (SELECT r, query_id, object_id, count(*) AS n FROM gs{v} GROUP BY ALL)" for v in levels)
+    rows = []
+    for v in levels:
+        rows.append(f"SELECT 'grid' AS method, {v} AS level, r AS tau_r_bp, t AS tau_t_bp, CAST(sum(n) AS BIGINT) AS retrieved, count(*) AS candidates FROM gc{v} JOIN settings USING (r) GROUP BY r, t")
+        rows.append(f"SELECT 'pair', {v}, s.r, s.t, CAST(sum(g.n * c.n) AS BIGINT), count(*) FROM settings s JOIN gc{v} g ON g.r = s.r JOIN tc c ON c.t = s.t AND c.query_id = g.query_id AND c.object_id = g.object_id GROUP BY s.r, s.t")
+    return head + "\n" + " UNION ALL ".join(rows)
+
+
+def comparison(kind: str, queries: str, settings, methods) -> str:
+    names = ", ".join(f"'{m}'" for m in methods)
+    return parts(kind, queries) + _settings(settings) + f""",
+near AS (SELECT q.query_id, o.object_id, (least(q.x1, o.x1) - greatest(q.x0, o.x0)) * (least(q.y1, o.y1) - greatest(q.y0, o.y0)) AS inter FROM queries q JOIN objects o ON q.x0 < o.x1 AND o.x0 < q.x1 AND q.y0 < o.y1 AND o.y0 < q.y1),
+alike AS (SELECT n.query_id, n.object_id, inter, q.area + o.area - inter AS union_area, q.w_total + o.w_total AS ws FROM near n JOIN query_totals q USING (query_id) JOIN totals o USING (object_id) WHERE 10000 * inter >= (SELECT min(r) FROM settings) * (q.area + o.area - inter)),
+shared AS (SELECT a.query_id, a.object_id, any_value(inter) AS inter, any_value(union_area) AS union_area, any_value(ws) AS ws, CAST(sum(qt.w) AS BIGINT) AS iw FROM alike a JOIN object_tokens ot USING (object_id) JOIN query_tokens qt ON qt.query_id = a.query_id AND qt.token = ot.token GROUP BY a.query_id, a.object_id)
+SELECT method, r AS tau_r_bp, t AS tau_t_bp, count(*) AS answers, CAST(sum(inter) AS BIGINT) AS inter_area, CAST(sum(iw) AS BIGINT) AS inter_w FROM shared, settings, (SELECT unnest([{names}]) AS method)
+WHERE 10000 * inter >= r * union_area AND 10000 * iw >= t * (ws - iw) AND ws > iw GROUP BY method, r, t"""
+
+
+def scaling(kind: str, queries: str, percents, t: int, r: int, v: int) -> str:
+    """Each share of the objects has statistics of its own, so each is a query of its own."""
+    one = lambda p: parts(kind, queries, (v,)).replace("object_tokens AS (", f"objects AS (SELECT * FROM all_objects WHERE (object_id * 7919 + 13) % 100 < {p}),\nobject_tokens AS (SELECT * FROM all_tokens WHERE (object_id * 7919 + 13) % 100 < {p}),\nall_tokens_ AS (").replace("\nobjects AS (SELECT object_id, min", "\nall_objects AS (SELECT object_id, min") + token_hits(t) + grid_hits(r, v)
+    return " UNION ALL ".join("SELECT * FROM (" + _moved(one(p)) + "\n" + hits_row(f"{p} AS percent", f"th JOIN gh{v} USING (query_id, object_id)") + ")" for p in percents)
+
+
+def _moved(sql: str) -> str:
+    """The tokens of all objects come before those of a share."""
+    a = sql.index("objects AS (SELECT * FROM all_objects")
+    b = sql.index("all_tokens_ AS (", a)
+    c = sql.index(",\nstats AS (", b) if ",\nstats AS (" in sql else sql.index(",stats", b)
+    return sql[:a] + sql[b:c].replace("all_tokens_ AS (", "all_tokens AS (") + ",\n" + sql[a:b].rstrip(",\n") + sql[c:]
+
+
+def hashed_pairs(kind: str, queries: str, r: int, t: int, v: int, buckets: int) -> str:
+    """Candidates of the pair filter with a bucket limit: the larger of each bound stays where an object's pairs collide."""
+    bucket = f"CAST('0x' || substr(md5(token || ':' || cell), 1, 8) AS BIGINT) % {buckets} AS bucket"
+    return parts(kind, queries, (v,)) + token_hits(t) + grid_hits(r, v) + f""",
+ob AS (SELECT object_id, {bucket}, max(bound_t) AS bound_t, max(bound_r) AS bound_r FROM tp JOIN cp{v} USING (object_id) GROUP BY ALL),
+qb AS (SELECT DISTINCT query_id, {bucket}, w_total, area FROM qp JOIN qcp{v} USING (query_id))
+SELECT DISTINCT query_id, object_id FROM qb JOIN ob USING (bucket) WHERE 10000 * bound_t >= {t} * w_total AND 10000 * bound_r >= {r} * area"""
+
+
+def tree_visits(kind: str, queries: str, r: int, t: int, fanout: int = 32, most: int = 4) -> str:
+    """Nodes visited on each level of the tree: objects ranked along the curve through their centres, ``fanout`` to a parent."""
+    spread = lambda c: [f"(({c} << {s}) | {c}) & {m}" for s, m in ((8, 0x00FF00FF), (4, 0x0F0F0F0F), (2, 0x33333333), (1, 0x55555555))]
+    zx, zy = spread("cx"), spread("cy")
+    steps = "".join(f"z{k + 1} AS (SELECT * REPLACE ({zx[k]} AS cx, {zy[k]} AS cy) FROM z{k}),\n" for k in range(4))
+    sql = parts(kind, queries) + f""",
+z0 AS (SELECT o.*, ((x0 + x1 - 2 * sx) >> 1) >> greatest(0, xb - 15) AS cx, ((y0 + y1 - 2 * sy) >> 1) >> greatest(0, yb - 15) AS cy FROM objects o, space),
+{steps}placed AS (SELECT *, row_number() OVER (ORDER BY cx | (cy << 1), object_id) - 1 AS rank FROM z4),
+tall AS (SELECT greatest(1, CAST(ceil(round(ln(count(*)) / ln({fanout}), 9)) AS INTEGER)) AS h FROM objects),
+lv AS (SELECT unnest(range(0, {most} + 1)) AS level),
+up AS (SELECT level, h, CASE WHEN level = 0 THEN object_id ELSE rank // CAST(pow({fanout}, level) AS BIGINT) END AS node_id, rank // CAST(pow({fanout}, least(level + 1, h)) AS BIGINT) AS parent_id, p.* FROM placed p, tall, lv WHERE level <= h),
+nodes AS (SELECT level, h, node_id, parent_id, min(x0) AS x0, min(y0) AS y0, max(x1) AS x1, max(y1) AS y1 FROM up GROUP BY ALL),
+nw AS (SELECT DISTINCT level, node_id, token FROM up JOIN object_tokens USING (object_id)),
+ok AS (SELECT q.query_id, level, h, node_id, parent_id FROM nodes n JOIN queries q ON q.x0 < n.x1 AND n.x0 < q.x1 AND q.y0 < n.y1 AND n.y0 < q.y1 JOIN query_totals qt ON qt.query_id = q.query_id
+  WHERE 10000 * (least(q.x1, n.x1) - greatest(q.x0, n.x0)) * (least(q.y1, n.y1) - greatest(q.y0, n.y0)) >= {r} * qt.area
+    AND 10000 * coalesce((SELECT sum(w) FROM query_tokens x JOIN nw USING (token) WHERE x.query_id = q.query_id AND nw.level = n.level AND nw.node_id = n.node_id), 0) >= {t} * qt.w_total)"""
+    for k in range(most, -1, -1):
+        above = f" AND (level = h OR EXISTS (SELECT 1 FROM v{k + 1} p WHERE p.query_id = ok.query_id AND p.node_id = ok.parent_id))" if k < most else " AND level = h"
+        sql += f",\nv{k} AS (SELECT query_id, node_id FROM ok WHERE level = {k}{above})"
+    return sql + "\n" + " UNION ALL ".join(f"SELECT {k} AS level, count(*) AS visited FROM v{k} HAVING (SELECT h FROM tall) >= {k}" for k in range(most + 1))

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import time
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -13,6 +16,7 @@ from arealex.operators import quadcells as Q
 from arealex.operators import signatures as S
 from arealex.operators.levels import query_cost
 from arealex.operators.verify import verify
+from arealex.sources.shared import kept
 
 
 def dataset_stats(ix: P.Index) -> DataFrame:
@@ -75,11 +79,22 @@ def index_size(ix: P.Index, levels: list[int], buckets: int | None = 1 << 16, bu
     for v in levels:
         out = out.unionByName(row(f"grid{v}", ix.cells(v), "cell"))
         out = out.unionByName(row(f"pair{v}", S.pair_postings(ix.tokens, ix.cells(v), None), "token", "cell"))
+        if buckets:
+            out = out.unionByName(row(f"hashed{v}", S.pair_postings(ix.tokens, ix.cells(v), buckets), "bucket"))
     if budget:
         out = out.unionByName(row("quad", Q.quad_postings(ix, Q.pick_quad_cells(ix, budget, max_level), max_level), "token", "level", "cell"))
     return out
 
 
+def split_seconds(ix: P.Index, q: DataFrame, candidates: Callable[[], DataFrame]) -> tuple[float, float, int, int]:
+    """Seconds for the filter (its candidates written once) and for the verification of what it left, candidates and answers."""
+    began = time.perf_counter()
+    found = kept(candidates().select("query_id", "object_id"))
+    filtered = time.perf_counter()
+    answers = verify(ix, q, found).count()
+    return filtered - began, time.perf_counter() - filtered, found.count(), answers
+
+
 def nodes_visited(ix: P.Index, q: DataFrame, fanout: int = 32) -> DataFrame:
     """level and visited: tree nodes taken by all queries."""
     from functools import reduce

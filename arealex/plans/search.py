@@ -44,14 +44,22 @@ def _routed(ix: P.Index, q: DataFrame, method: str, **options) -> DataFrame:
     return verify(ix, q, candidates(ix, q, method, **options))
 
 
+def shorter_lists(ix: P.Index, q: DataFrame, level: int) -> str:
+    """The filter, by words or by the grid, whose lists for the batch's prefixes have fewer postings."""
+    words = P.token_prefix(ix, q).agg(F.coalesce(F.sum("n_obj"), F.lit(0))).first()[0]
+    cells = P.cell_prefix(ix, q, level).agg(F.coalesce(F.sum("n_obj"), F.lit(0))).first()[0]
+    return "token_bounded" if words < cells else "grid_bounded"
+
+
 def search(ix: P.Index, queries: DataFrame, method: str = "auto", **options) -> DataFrame:
     """query_id, object_id, inter_area, union_area, inter_w, union_w of all answers.
 
-    A threshold of 0 lets through objects that share nothing, which no list holds: queries with one such threshold go to the filter of the other side, queries with two are held against all objects. ``auto`` takes two_filter at its default level.
+    A threshold of 0 lets through objects that share nothing, which no list holds: queries with one such threshold go to the filter of the other side, queries with two are held against all objects. ``auto`` takes the bounded probe whose lists are shorter in all.
     """
     q = P.known_size(queries)
     if method == "auto":
-        method = "two_filter"
+        method = shorter_lists(ix, q, options.get("level", LEVEL))
+        options = {} if method == "token_bounded" else options
     routes = (
         ((F.col("tau_r_bp") > 0) & (F.col("tau_t_bp") > 0), method, options),
         ((F.col("tau_r_bp") <= 0) & (F.col("tau_t_bp") > 0), "token_bounded", {}),

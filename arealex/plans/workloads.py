@@ -19,6 +19,10 @@ from arealex.sources.shared import kept
 SWEEP, DEFAULT = (1000, 2000, 3000, 4000, 5000), 4000
 
 
+#: Both sweeps: one threshold moves, the other keeps its default.
+SETTINGS = tuple(dict.fromkeys([(r, DEFAULT) for r in SWEEP] + [(DEFAULT, t) for t in SWEEP]))
+
+
 def _row(hits: DataFrame, **labels) -> DataFrame:
     """Postings retrieved and candidates of one setting."""
     counts = hits.agg(F.count("*").alias("retrieved"), F.count_distinct("query_id", "object_id").alias("candidates"))
@@ -29,14 +33,32 @@ def _table(rows: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, rows)
 
 
-def token_or_grid(ix: P.Index, kind: str, level: int, thresholds: list[tuple[int, int]]) -> DataFrame:
-    """Token against grid filter over a sweep of thresholds."""
-    q = query_set(ix, kind, DEFAULT, DEFAULT)
-    rows = []
-    for r, t in thresholds:
-        own = with_thresholds(q, r, t)
-        rows += [_row(P.token_bounded_hits(ix, own), method="token", tau_r_bp=r, tau_t_bp=t), _row(P.grid_bounded_hits(ix, own, level), method="grid", tau_r_bp=r, tau_t_bp=t)]
-    return _table(rows)
+def swept(q: DataFrame, settings: tuple[tuple[int, int], ...]) -> DataFrame:
+    """One batch of all queries under all settings, so a sweep is one probe: a query's number is multiplied and the place of the setting added."""
+    places = F.explode(F.array(*[F.struct(F.lit(k).cast("bigint").alias("k"), F.lit(r).cast("bigint").alias("r"), F.lit(t).cast("bigint").alias("t")) for k, (r, t) in enumerate(settings)]))
+    rows = q.withColumn("s", places).withColumn("query_id", F.col("query_id") * len(settings) + F.col("s.k"))
+    return P.known_size(rows.withColumn("tau_r_bp", F.col("s.r")).withColumn("tau_t_bp", F.col("s.t")).drop("s"))
+
+
+def _labelled(found: DataFrame, settings: tuple[tuple[int, int], ...]) -> DataFrame:
+    """Results of a swept batch with the thresholds of each row's setting."""
+    at = F.pmod("query_id", F.lit(len(settings)))
+    pick = lambda j: F.element_at(F.array(*[F.lit(s[j]) for s in settings]), (at + 1).cast("int"))
+    return found.withColumn("tau_r_bp", pick(0)).withColumn("tau_t_bp", pick(1))
+
+
+def _swept_rows(hits: DataFrame, settings: tuple[tuple[int, int], ...], **labels) -> DataFrame:
+    """Postings retrieved and candidates of each setting; one that retrieves nothing has no row."""
+    both = _labelled(hits.select("query_id", "object_id"), settings).groupBy("tau_r_bp", "tau_t_bp", "query_id", "object_id").agg(F.count("*").alias("n"))
+    sums = both.groupBy("tau_r_bp", "tau_t_bp").agg(F.sum("n").alias("retrieved"), F.count("*").alias("candidates"))
+    return sums.select(*[F.lit(v).alias(k) for k, v in labels.items()], "tau_r_bp", "tau_t_bp", "retrieved", "candidates")
+
+
+def token_or_grid(ix: P.Index, kind: str, levels: list[int], settings: tuple[tuple[int, int], ...] = SETTINGS) -> DataFrame:
+    """Token against grid filter over both sweeps of thresholds; the token filter has level -1."""
+    q = swept(query_set(ix, kind, DEFAULT, DEFAULT), settings)
+    rows = [_swept_rows(P.token_bounded_hits(ix, q), settings, method="token", level=-1)]
+    return _table(rows + [_swept_rows(P.grid_bounded_hits(ix, q, v), settings, method="grid", level=v) for v in levels])
 
 
 def granularity(ix: P.Index, kind: str, levels: list[int]) -> DataFrame:
@@ -45,10 +67,10 @@ def granularity(ix: P.Index, kind: str, levels: list[int]) -> DataFrame:
     return _table([_row(P.grid_bounded_hits(ix, q, v), level=v) for v in levels])
 
 
-def grid_or_pair(ix: P.Index, kind: str, levels: list[int], tau_r_bp: int = DEFAULT, tau_t_bp: int = DEFAULT) -> DataFrame:
-    """Grid against pair filter at the same levels."""
-    q = query_set(ix, kind, tau_r_bp, tau_t_bp)
-    return _table([r for v in levels for r in (_row(P.grid_bounded_hits(ix, q, v), method="grid", level=v), _row(P.pair_hits(ix, q, v), method="pair", level=v))])
+def grid_or_pair(ix: P.Index, kind: str, levels: list[int], settings: tuple[tuple[int, int], ...] = SETTINGS) -> DataFrame:
+    """Grid against pair filter at the same levels, over both sweeps."""
+    q = swept(query_set(ix, kind, DEFAULT, DEFAULT), settings)
+    return _table([r for v in levels for r in (_swept_rows(P.grid_bounded_hits(ix, q, v), settings, method="grid", level=v), _swept_rows(P.pair_hits(ix, q, v), settings, method="pair", level=v))])
 
 
 def pair_or_quad(ix: P.Index, kind: str, levels: list[int], budgets: list[int], max_level: int, modes: tuple[str, ...] = ("children", "children_weighted"), tau_r_bp: int = 4000, tau_t_bp: int = 1000) -> DataFrame:
@@ -66,10 +88,14 @@ def pair_or_quad(ix: P.Index, kind: str, levels: list[int], budgets: list[int],
     return _table(rows)
 
 
-def comparison(ix: P.Index, kind: str, tau_r_bp: int, tau_t_bp: int, methods: tuple[str, ...] = ("word_first", "area_first", "word_tree", "two_filter", "pair", "quad_pair")) -> DataFrame:
-    """Answers of each method: the same number for all."""
-    q = query_set(ix, kind, tau_r_bp, tau_t_bp)
-    return _table([X.search(ix, q, m).agg(F.lit(m).alias("method"), F.count("*").alias("answers"), F.sum("inter_area").alias("inter_area"), F.sum("inter_w").alias("inter_w")) for m in methods])
+COMPARED = ("word_first", "area_first", "word_tree", "two_filter", "pair", "quad_pair")
+
+
+def comparison(ix: P.Index, kind: str, settings: tuple[tuple[int, int], ...] = SETTINGS, methods: tuple[str, ...] = COMPARED) -> DataFrame:
+    """Answers of each method over both sweeps: the same numbers for all."""
+    q = swept(query_set(ix, kind, DEFAULT, DEFAULT), settings)
+    rows = [_labelled(X.search(ix, q, m), settings).groupBy("tau_r_bp", "tau_t_bp").agg(F.count("*").alias("answers"), F.sum("inter_area").alias("inter_area"), F.sum("inter_w").alias("inter_w")).select(F.lit(m).alias("method"), "*") for m in methods]
+    return _table(rows)
 
 
 def sweep_answers(ix: P.Index, kind: str, thresholds: list[tuple[int, int]]) -> DataFrame:
@@ -85,11 +111,12 @@ def part_of(objects: DataFrame, percent: int) -> DataFrame:
     return objects.where(F.pmod(F.col("object_id") * 7919 + 13, F.lit(100)) < percent)
 
 
-def scaling(objects: DataFrame, percents: list[int], kind: str = "large", level: int = X.LEVEL) -> DataFrame:
-    """Pair filter on growing shares of the objects."""
+def scaling(objects: DataFrame, percents: list[int], kind: str = "large", method: str = "pair", level: int = X.LEVEL, budget: int = X.BUDGET, max_level: int = X.QUAD_LEVEL) -> DataFrame:
+    """A filter on growing shares of the objects: pairs on a uniform grid, or on the cells chosen for each token."""
     rows = []
     for p in percents:
-        ix = P.Index(part_of(objects, p))
+        ix = P.Index(kept(part_of(objects, p)))
         q = query_set(ix, kind, DEFAULT, DEFAULT)
-        rows.append(_row(P.pair_hits(ix, q, level), percent=p))
+        hits = P.pair_hits(ix, q, level) if method == "pair" else Q.quad_hits(ix, q, kept(Q.pick_quad_cells(ix, budget, max_level)), max_level)
+        rows.append(_row(hits, percent=p))
     return _table(rows)

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from arealex import oracle as O
+from arealex.functions.cells import finest_level
 from arealex.functions.similarity import SIDES
 from arealex.operators import levels as L
 from arealex.operators import probes as P
@@ -20,6 +21,7 @@ from arealex.plans import workloads as W
 from arealex.sources import objects as R
 from arealex.sources.querysets import query_set, with_thresholds
 from arealex.sources.shared import kept, shared_path
+from arealex.sources.store import build_index, load_index
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -52,6 +54,18 @@ def _on(kind: str, body: Callable[[P.Index], DataFrame]) -> Query:
     return lambda spark, sf_dir: body(_index(spark, sf_dir, kind))
 
 
+def _stored(spark: SparkSession, sf_dir: str):
+    """An index of the users' days, written and opened again, with cells chosen for each token."""
+    path = shared_path(spark, "index")
+    build_index(_index(spark, sf_dir, "activity"), path, 6, shards=4, budget=64, max_level=5)
+    return load_index(spark, path)
+
+
+def _stored_answers(spark: SparkSession, sf_dir: str, method: str) -> DataFrame:
+    ix = _stored(spark, sf_dir)
+    return ix.search(query_set(ix, "large", 1000, 4000), method)
+
+
 # Object sets and statistics.
 for _kind in R.SETS:
     _add(
@@ -110,7 +124,7 @@ for _name, _o in (("prefix_only", {"use_bound": False}), ("bound_only", {"use_pr
     _sql = O.parts("activity", "large", (6,)) + O.grid_hits(4000, 6)
     _sql = _sql.replace("WHERE 10000 * bound_r >= 4000 * area", "") if _name == "prefix_only" else _sql.replace("WHERE 10000 * rest >= 4000 * area", "")
     _add(f"grid_{_name}_candidates", _with("activity", "large", 4000, 4000, lambda ix, q, o=_o: P.grid_bounded(ix, q, 6, **o)), _sql + "\nSELECT DISTINCT query_id, object_id FROM gh6")
-_add("pair_hashed_candidates", _with("activity", "small", 4000, 4000, lambda ix, q: X.candidates(ix, q, "pair", 6, 1024)))
+_add("pair_hashed_candidates", _with("activity", "small", 4000, 4000, lambda ix, q: X.candidates(ix, q, "pair", 6, 1024)), O.hashed_pairs("activity", "small", 4000, 4000, 6, 1024))
 _add("quad_pair_candidates", _with("activity", "small", 4000, 4000, lambda ix, q: X.candidates(ix, q, "quad_pair")))
 _add(
     "size_filter_candidates",
@@ -129,8 +143,14 @@ _add("query_cost_grid", _with("activity", "large", 4000, 4000, lambda ix, q: M.p
 _add("filter_quality_two_filter", _with("activity", "small", 2000, 2000, lambda ix, q: M.filter_quality(ix, q, P.two_filter(ix, q, 6))), O.parts("activity", "small", (6,)) + O.token_hits(2000) + O.grid_hits(2000, 6) + O.answer_parts(2000, 2000) + "\nSELECT (SELECT count(*) FROM (SELECT query_id, object_id FROM th INTERSECT SELECT query_id, object_id FROM gh6)) AS candidates, (SELECT count(*) FROM answers) AS answers, 0::BIGINT AS missed")
 _add("filter_quality_quad", _with("activity", "small", 2000, 2000, lambda ix, q: M.filter_quality(ix, q, X.candidates(ix, q, "quad_pair", budget=32, max_level=4)).select("answers", "missed")), O.parts("activity", "small") + O.answer_parts(2000, 2000) + "\nSELECT count(*) AS answers, 0::BIGINT AS missed FROM answers")
 _add("bound_tightness_l6", _with("activity", "large", 4000, 4000, lambda ix, q: M.bound_tightness(ix, q, 6)), O.parts("activity", "large", (6,)) + "\nSELECT query_id, CAST(sum(b) AS BIGINT) AS bound_sum, CAST(sum(greatest(0, least(q.x1, o.x1) - greatest(q.x0, o.x0)) * greatest(0, least(q.y1, o.y1) - greatest(q.y0, o.y0))) AS BIGINT) AS true_sum FROM (SELECT query_id, object_id, sum(least(a.w, c.w)) AS b FROM qc6 a JOIN oc6 c USING (cell) GROUP BY ALL) JOIN queries q USING (query_id) JOIN objects o USING (object_id) GROUP BY query_id")
-_add("index_size_activity", _on("activity", lambda ix: M.index_size(ix, [4, 6], budget=0)), O.parts("activity", levels=(4, 6)) + "\nSELECT 'token' AS kind, (SELECT count(*) FROM stats) AS elements, (SELECT count(*) FROM object_tokens) AS postings" + "".join(f" UNION ALL SELECT 'grid{v}', count(DISTINCT cell), count(*) FROM oc{v} UNION ALL SELECT 'pair{v}', count(DISTINCT (token, cell)), count(*) FROM oc{v} JOIN object_tokens USING (object_id)" for v in (4, 6)))
-_add("nodes_visited_activity", _with("activity", "large", 4000, 4000, lambda ix, q: M.nodes_visited(ix, q)))
+_add("index_size_activity", _on("activity", lambda ix: M.index_size(ix, [4, 6], buckets=4096, budget=0)), O.parts("activity", levels=(4, 6)) + "\nSELECT 'token' AS kind, (SELECT count(*) FROM stats) AS elements, (SELECT count(*) FROM object_tokens) AS postings" + "".join(f" UNION ALL SELECT 'grid{v}', count(DISTINCT cell), count(*) FROM oc{v} UNION ALL SELECT 'pair{v}', count(DISTINCT (token, cell)), count(*) FROM oc{v} JOIN object_tokens USING (object_id) UNION ALL SELECT 'hashed{v}', count(DISTINCT b), count(*) FROM (SELECT DISTINCT object_id, CAST('0x' || substr(md5(token || ':' || cell), 1, 8) AS BIGINT) % 4096 AS b FROM oc{v} JOIN object_tokens USING (object_id))" for v in (4, 6)))
+_add("index_size_quad_activity", _on("activity", lambda ix: M.index_size(ix, [], buckets=None, budget=64)))
+_add("index_bytes_activity", lambda spark, sf_dir: _stored(spark, sf_dir).sizes())
+for _m in ("two_filter", "grid_bounded", "quad_pair"):
+    _add(f"stored_{_m}_answers_activity", lambda spark, sf_dir, m=_m: _stored_answers(spark, sf_dir, m), O.answers("activity", "large", 1000, 4000))
+_add("nodes_visited_activity", _with("activity", "large", 4000, 4000, lambda ix, q: M.nodes_visited(ix, q)), O.tree_visits("activity", "large", 4000, 4000))
+_add("exact_cell_weight_candidates", _with("activity", "large", 4000, 4000, lambda ix, q: P.grid_overlap(ix, q, 6, "exact")), O.parts("activity", "large") + "\nSELECT query_id, object_id, inter AS shared FROM (SELECT q.query_id, o.object_id, (least(q.x1, o.x1) - greatest(q.x0, o.x0)) * (least(q.y1, o.y1) - greatest(q.y0, o.y0)) AS inter FROM queries q JOIN objects o ON q.x0 < o.x1 AND o.x0 < q.x1 AND q.y0 < o.y1 AND o.y0 < q.y1) JOIN query_totals USING (query_id) WHERE 10000 * inter >= 4000 * area")
+_add("finest_level_activity", _on("activity", lambda ix: ix.objects.sparkSession.range(1).select(F.lit(finest_level(ix.space)).alias("level"))), O.parts("activity") + "\nSELECT CAST(greatest(xb, yb) AS INTEGER) AS level FROM space")
 _add("region_ratios_document", _with("document", "large", 1000, 1000, lambda ix, q: verify(ix, q).select("query_id", "object_id", F.round(F.col("inter_area") / F.col("union_area"), 6).alias("sim_r"), F.round(F.col("inter_w") / F.col("union_w"), 6).alias("sim_t"))), O.parts("document", "large") + O.answer_parts(1000, 1000) + "\nSELECT query_id, object_id, round(inter_area / union_area, 6) AS sim_r, round(inter_w / union_w, 6) AS sim_t FROM answers")
 
 # Levels.
@@ -152,20 +172,21 @@ _add("cell_error_finest", _on("activity", lambda ix: Q.cell_error(ix, Q.token_ce
 _add("quad_selection", _on("activity", lambda ix: Q.pick_quad_cells(ix, 16, 4)))
 
 # Workloads.
-_SWEEP = [(r, 4000) for r in W.SWEEP[::2]] + [(4000, t) for t in W.SWEEP[::4]]
-_add("workload_token_or_grid", _on("activity", lambda ix: W.token_or_grid(ix, "large", 6, _SWEEP)))
-_add("workload_granularity", _on("activity", lambda ix: W.granularity(ix, "large", [4, 5, 6, 7])), O.parts("activity", "large", (4, 5, 6, 7)) + "".join(O.grid_hits(4000, v) for v in (4, 5, 6, 7)) + "\n" + " UNION ALL ".join(O.hits_row(f"{v} AS level", f"gh{v}") for v in (4, 5, 6, 7)))
-_add("workload_grid_or_pair", _on("activity", lambda ix: W.grid_or_pair(ix, "large", [5, 6])), O.parts("activity", "large", (5, 6)) + O.token_hits(4000) + "".join(O.grid_hits(4000, v) for v in (5, 6)) + "\n" + " UNION ALL ".join(O.hits_row(f"'grid' AS method, {v} AS level", f"gh{v}") + " UNION ALL " + O.hits_row(f"'pair' AS method, {v} AS level", f"th JOIN gh{v} USING (query_id, object_id)") for v in (5, 6)))
-_add("workload_pair_or_quad", _on("activity", lambda ix: W.pair_or_quad(ix, "large", [4, 5], [16, 64], 5)))
-_add("workload_comparison_activity", _on("activity", lambda ix: W.comparison(ix, "large", 1000, 4000)), O.parts("activity", "large") + O.answer_parts(1000, 4000) + "\nSELECT method, count(*) AS answers, CAST(sum(inter_area) AS BIGINT) AS inter_area, CAST(sum(inter_w) AS BIGINT) AS inter_w FROM answers, (SELECT unnest(['word_first', 'area_first', 'word_tree', 'two_filter', 'pair', 'quad_pair']) AS method) GROUP BY method")
-_add("workload_comparison_shipment", _on("shipment", lambda ix: W.comparison(ix, "large", 4000, 4000, ("word_first", "area_first", "two_filter", "pair"))), O.parts("shipment", "large") + O.answer_parts(4000, 4000) + "\nSELECT method, count(*) AS answers, CAST(sum(inter_area) AS BIGINT) AS inter_area, CAST(sum(inter_w) AS BIGINT) AS inter_w FROM answers, (SELECT unnest(['word_first', 'area_first', 'two_filter', 'pair']) AS method) GROUP BY method")
+for _kind, _q in (("activity", "large"), ("activity", "small"), ("shipment", "large"), ("shipment", "small")):
+    _add(f"workload_token_or_grid_{_kind}_{_q}", _on(_kind, lambda ix, q=_q: W.token_or_grid(ix, q, [6, 8])), O.token_or_grid(_kind, _q, [6, 8], W.SETTINGS))
+    _add(f"workload_comparison_{_kind}_{_q}", _on(_kind, lambda ix, q=_q: W.comparison(ix, q)), O.comparison(_kind, _q, W.SETTINGS, W.COMPARED))
+for _q in ("large", "small"):
+    _add(f"workload_granularity_{_q}", _on("activity", lambda ix, q=_q: W.granularity(ix, q, list(range(4, 11)))), O.parts("activity", _q, tuple(range(4, 11))) + "".join(O.grid_hits(4000, v) for v in range(4, 11)) + "\n" + " UNION ALL ".join(O.hits_row(f"{v} AS level", f"gh{v}") for v in range(4, 11)))
+    _add(f"workload_grid_or_pair_{_q}", _on("activity", lambda ix, q=_q: W.grid_or_pair(ix, q, [8, 9, 10])), O.grid_or_pair("activity", _q, [8, 9, 10], W.SETTINGS))
+    _add(f"workload_pair_or_quad_{_q}", _on("activity", lambda ix, q=_q: W.pair_or_quad(ix, q, [4, 5], [16, 64], 5)))
 _PAIRS = [(1000, 1000), (1000, 4000), (4000, 1000), (4000, 4000)]
 _add(
     "threshold_cube",
     _on("activity", lambda ix: W.sweep_answers(ix, "large", _PAIRS)),
     O.parts("activity", "large") + "".join(O.answer_parts(r, t).replace("near AS", f"near{k} AS").replace("FROM near n", f"FROM near{k} n").replace("alike", f"alike{k}").replace("shared", f"shared{k}").replace("answers AS", f"answers{k} AS") for k, (r, t) in enumerate(_PAIRS)) + ",\nall_ AS (" + " UNION ALL ".join(f"SELECT {r} AS tau_r_bp, {t} AS tau_t_bp, query_id FROM answers{k}" for k, (r, t) in enumerate(_PAIRS)) + ")\nSELECT coalesce(tau_r_bp, -1) AS tau_r_bp, coalesce(tau_t_bp, -1) AS tau_t_bp, answers, queries FROM (SELECT tau_r_bp, tau_t_bp, count(*) AS answers, count(DISTINCT query_id) AS queries FROM all_ GROUP BY CUBE (tau_r_bp, tau_t_bp))",
 )
-_add("workload_scaling", lambda spark, sf_dir: W.scaling(kept(R.shipment(spark, sf_dir)), [20, 60, 100]))
+_add("workload_scaling_pair", lambda spark, sf_dir: W.scaling(kept(R.shipment(spark, sf_dir)), [20, 40, 60, 80, 100]), O.scaling("shipment", "large", [20, 40, 60, 80, 100], 4000, 4000, X.LEVEL))
+_add("workload_scaling_quad", lambda spark, sf_dir: W.scaling(kept(R.shipment(spark, sf_dir)), [20, 40, 60, 80, 100], method="quad_pair"))
 _add("self_search_document", _on("document", lambda ix: X.self_search(ix, 1000, 4000)), O.parts("document") + """,
 cls AS (SELECT object_id, min(object_id) OVER (PARTITION BY x0, y0, x1, y1, tk) AS class_id FROM objects LEFT JOIN (SELECT object_id, string_agg(token, ' ' ORDER BY token) AS tk FROM object_tokens GROUP BY 1) USING (object_id)),
 rep AS (SELECT o.*, t.area, t.w_total FROM objects o JOIN totals t USING (object_id) WHERE object_id IN (SELECT class_id FROM cls)),

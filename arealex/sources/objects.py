@@ -12,8 +12,6 @@ from arealex.functions.similarity import SIDES
 
 SCHEMA = "object_id bigint, x0 bigint, y0 bigint, x1 bigint, y1 bigint, tokens array<string>"
 COLUMNS = ("object_id", *SIDES, "tokens")
-#: An axis may be this long, so that areas times 10000 stay within BIGINT.
-LONGEST_AXIS = 1 << 24
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -26,7 +24,8 @@ def activity(spark: SparkSession, sf_dir: str) -> DataFrame:
     k = F.get_json_object("props", "$.k").cast("bigint")
     minute = F.floor((F.unix_micros(F.col("ts").cast("timestamp")) - F.unix_micros(F.lit("2024-01-01 00:00:00").cast("timestamp"))) / 60_000_000)
     rows = e.select("user_id", "event_type", minute.cast("bigint").alias("m"), F.round(F.col("value") * 100).cast("bigint").alias("v"), k.alias("k"))
-    rows = rows.withColumn("object_id", F.col("user_id") * 100 + F.floor(F.col("m") / 1440))
+    days = rows.agg(F.max(F.floor(F.col("m") / 1440)), F.max("user_id")).first()
+    rows = rows.withColumn("object_id", F.col("user_id") * _room(100, days[0], days[1]) + F.floor(F.col("m") / 1440))
     words = F.array(F.col("event_type"), F.concat(F.lit("k"), F.floor(F.col("k") / 5).cast("string")), F.concat("event_type", F.lit(":"), F.floor(F.col("k") / 20).cast("string")))
     return _gathered(rows.select("object_id", F.col("m").alias("x0"), F.col("v").alias("y0"), (F.col("m") + 1).alias("x1"), (F.col("v") + 1).alias("y1"), words.alias("words")))
 
@@ -34,6 +33,7 @@ def activity(spark: SparkSession, sf_dir: str) -> DataFrame:
 def shipment(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One object for each order and part: a rectangle around (ship day, price), with words of part, order and customer."""
     line, part, orders, customer = (_table(spark, sf_dir, t) for t in ("lineitem", "part", "orders", "customer"))
+    mult = _room(1_000_000, part.agg(F.max("p_partkey")).first()[0], orders.agg(F.max("o_orderkey")).first()[0])
     day = F.datediff(F.col("l_shipdate").cast("date"), F.lit("1995-01-01").cast("date")).cast("bigint")
     half = F.col("l_quantity").cast("bigint")
     price = F.round("l_extendedprice").cast("bigint")
@@ -44,7 +44,7 @@ def shipment(spark: SparkSession, sf_dir: str) -> DataFrame:
         F.split("p_name", " "),
         F.array(F.col("p_brand"), F.col("p_type"), F.concat(F.lit("size"), F.floor(F.col("p_size") / 10).cast("string")), F.col("c_mktsegment"), F.col("o_orderpriority"), tag("st", "o_orderstatus"), tag("nation", "c_nationkey"), tag("rf", "l_returnflag"), tag("ls", "l_linestatus")),
     )
-    return _gathered(j.select((F.col("l_orderkey") * 1_000_000 + F.col("l_partkey")).alias("object_id"), (day - half).alias("x0"), (price - high).alias("y0"), (day + half).alias("x1"), (price + high).alias("y1"), words.alias("words")))
+    return _gathered(j.select((F.col("l_orderkey") * mult + F.col("l_partkey")).alias("object_id"), (day - half).alias("x0"), (price - high).alias("y0"), (day + half).alias("x1"), (price + high).alias("y1"), words.alias("words")))
 
 
 def document(spark: SparkSession, sf_dir: str, most_words: int = 14) -> DataFrame:
@@ -61,6 +61,16 @@ def document(spark: SparkSession, sf_dir: str, most_words: int = 14) -> DataFram
     return boxes.dropDuplicates(["object_id"]).join(tokens, "object_id", "left").select("object_id", *SIDES, F.coalesce("tokens", F.array().cast("array<string>")).alias("tokens"))
 
 
+def _room(least: int, largest: int | None, first: int | None) -> int:
+    """What the first part of a two-part key is multiplied with, so that no two keys fall together: a power of ten above the largest second part. A key beyond BIGINT is an error."""
+    room = least
+    while room <= (largest or 0):
+        room *= 10
+    if (first or 0) >= (1 << 63) // room:
+        raise ValueError("keys of two parts don't fit into a BIGINT")
+    return room
+
+
 def _gathered(rows: DataFrame) -> DataFrame:
     """Rows with the same object_id as one object: the bounding box, and the union of their words, after one shuffle."""
     low, high = ("x0", "y0"), ("x1", "y1")

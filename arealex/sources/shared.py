@@ -25,11 +25,11 @@ def shared_path(spark: SparkSession, name: str) -> str:
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
-def kept(df: DataFrame) -> DataFrame:
-    """``df`` as a Parquet table in a shared folder: what several parts of a plan read is computed once, and survives lost executors. The files go when the program ends."""
+def kept(df: DataFrame, by: str | None = None) -> DataFrame:
+    """``df`` as a Parquet table in a shared folder: what several parts of a plan read is computed once (parted by a column, if one is given), and survives lost executors. The files go when the program ends."""
     spark = df.sparkSession
     path = shared_path(spark, "kept")
-    df.write.parquet(path)
+    (df.write.partitionBy(by) if by else df.write).parquet(path)
     _written.append((spark, path))
     return spark.read.schema(df.schema).parquet(path)
 

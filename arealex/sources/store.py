@@ -11,9 +11,15 @@ from pyspark.sql import functions as F
 from arealex.functions.cells import Space
 from arealex.functions.similarity import SIDES, UNIT, area, box
 from arealex.operators import probes as P
+from arealex.operators import quadcells as Q
 from arealex.operators import signatures as S
 
-MANIFEST = "kind string, level int, x0 bigint, y0 bigint, x_bits int, y_bits int, n_objects bigint, shards int, min_tau_r_bp bigint, min_tau_t_bp bigint, measure string"
+PARTS = ("objects", "stats", "cell_stats", "token", "cell", "selection", "quad")
+MANIFEST = "kind string, level int, x0 bigint, y0 bigint, x_bits int, y_bits int, n_objects bigint, shards int, min_tau_r_bp bigint, min_tau_t_bp bigint, measure string, budget int, max_level int"
+
+
+#: Files that a shard is written as, at most.
+SALTS = 8
 
 
 def _shard(element: str, shards: int):
@@ -21,7 +27,8 @@ def _shard(element: str, shards: int):
 
 
 def _written(postings: DataFrame, element: str, bound: str, path: str, shards: int, mode: str) -> None:
-    parted = postings.withColumn("shard", _shard(element, shards)).repartition("shard").sortWithinPartitions("shard", element, F.desc(bound))
+    # A shard's rows go to several tasks, so that a list of nearly all objects is written by many; each file is sorted.
+    parted = postings.withColumn("shard", _shard(element, shards)).repartition("shard", F.pmod(F.xxhash64("object_id"), F.lit(SALTS))).sortWithinPartitions("shard", element, F.desc(bound))
     parted.write.mode(mode).partitionBy("shard").parquet(path)
 
 
@@ -33,8 +40,8 @@ def _useful(ix: P.Index, postings: DataFrame, bound: str, total: str, least_bp:
     return postings.join(own.select("object_id", total), "object_id").where(UNIT * F.col(bound) >= least_bp * F.col(total)).drop(total)
 
 
-def build_index(ix: P.Index, path: str, level: int = 6, shards: int = 64, min_tau_r_bp: int = 0, min_tau_t_bp: int = 0) -> None:
-    """Writes objects, stats, token and cell postings, cell counts and the manifest under ``path``."""
+def build_index(ix: P.Index, path: str, level: int = 6, shards: int = 64, min_tau_r_bp: int = 0, min_tau_t_bp: int = 0, budget: int = 0, max_level: int = 6) -> None:
+    """Writes objects, stats, token and cell postings, cell counts and the manifest under ``path``; with a ``budget``, also the cells chosen for each token down to ``max_level`` and the postings on them."""
     spark = ix.objects.sparkSession
     ix.full.write.mode("overwrite").parquet(f"{path}/objects")
     ix.stats.write.mode("overwrite").parquet(f"{path}/stats")
@@ -42,8 +49,13 @@ def build_index(ix: P.Index, path: str, level: int = 6, shards: int = 64, min_ta
     cells.select("cell", "n_obj").distinct().write.mode("overwrite").parquet(f"{path}/cell_stats")
     _written(_useful(ix, ix.tokens, "bound_t", "w_total", min_tau_t_bp), "token", "bound_t", f"{path}/token", shards, "overwrite")
     _written(_useful(ix, cells, "bound_r", "area", min_tau_r_bp), "cell", "bound_r", f"{path}/cell", shards, "overwrite")
+    if budget:
+        Q.pick_quad_cells(ix, budget, max_level).write.mode("overwrite").parquet(f"{path}/selection")
+        chosen = Q.quad_postings(ix, spark.read.schema(Q.SELECTION).parquet(f"{path}/selection"), max_level)
+        chosen = _useful(ix, _useful(ix, chosen, "bound_t", "w_total", min_tau_t_bp), "bound_r", "area", min_tau_r_bp)
+        _written(chosen, "token", "bound_r", f"{path}/quad", shards, "overwrite")
     s = ix.space
-    row = [("token+cell", level, s.x0, s.y0, s.x_bits, s.y_bits, ix.count(), shards, min_tau_r_bp, min_tau_t_bp, ix.measure)]
+    row = [("token+cell", level, s.x0, s.y0, s.x_bits, s.y_bits, ix.count(), shards, min_tau_r_bp, min_tau_t_bp, ix.measure, budget, max_level)]
     spark.createDataFrame(row, MANIFEST).coalesce(1).write.mode("overwrite").parquet(f"{path}/manifest")
 
 
@@ -53,7 +65,7 @@ class StoredIndex(P.Index):
     def __init__(self, spark: SparkSession, path: str):
         self.manifest = spark.read.schema(MANIFEST).parquet(f"{path}/manifest").first()
         m = self.manifest
-        self.path, self.level = path, m.level
+        self.spark, self.path, self.level = spark, path, m.level
         objects = spark.read.parquet(f"{path}/objects")
         super().__init__(objects.select("object_id", *SIDES, "tokens"), m.measure, space=Space(m.x0, m.y0, m.x_bits, m.y_bits), stats=spark.read.parquet(f"{path}/stats"))
         self._made |= {"full": objects, "count": m.n_objects, "tokens": spark.read.parquet(f"{path}/token"), ("cells", m.level): spark.read.parquet(f"{path}/cell"), ("counts", m.level): spark.read.parquet(f"{path}/cell_stats")}
@@ -72,12 +84,45 @@ class StoredIndex(P.Index):
         useful = self.tokens.where(F.col("shard").isin(rows[0] or [-1]) & (F.col("bound_t") >= (rows[1] or 0) // UNIT))
         return useful.select("object_id", "token", "bound_t").join(prefix, "token").where(P._enough_t(self, "bound_t"))
 
-    def search(self, q: DataFrame) -> DataFrame:
-        """Answers by both bounded probes."""
+    def quad_hits(self, q: DataFrame) -> DataFrame:
+        """Probe of the stored postings on chosen cells: shards of the batch's prefix tokens only, and literal least bounds that the scan can use."""
+        if not self.manifest.budget:
+            raise ValueError("the index has no chosen cells")
+        selection = self._once("selection", lambda: self.spark.read.schema(Q.SELECTION).parquet(f"{self.path}/selection"))
+        prefix = Q.quad_prefix(self, self.check(q), selection, self.manifest.max_level).select("query_id", "token", "level", "cell", "w_total", "tau_t_bp", "area", "tau_r_bp")
+        # A prefix has at most the budget's cells for each word of a query, and a small batch is collected as such.
+        if P.is_small(q):
+            prefix = self.spark.createDataFrame(prefix.collect(), prefix.schema)
+        rows = prefix.agg(F.collect_set(_shard("token", self.manifest.shards)), F.min(F.col("tau_t_bp") * F.col("w_total")), F.min(F.col("tau_r_bp") * F.col("area"))).first()
+        lists = self.spark.read.parquet(f"{self.path}/quad")
+        useful = lists.where(F.col("shard").isin(rows[0] or [-1]) & (F.col("bound_t") >= (rows[1] or 0) // UNIT) & (F.col("bound_r") >= (rows[2] or 0) // UNIT))
+        on = useful.select("object_id", "token", "level", "cell", "bound_t", "bound_r").join(prefix, ["token", "level", "cell"])
+        return on.where(P._enough_t(self, "bound_t") & P._enough_r(self, "bound_r"))
+
+    def candidates(self, q: DataFrame, method: str = "auto") -> DataFrame:
+        """Pairs by the stored postings: ``quad_pair`` where the index has chosen cells, else ``two_filter``."""
+        if method == "quad_pair" or method == "auto" and self.manifest.budget:
+            return P.pairs_of(self.quad_hits(q))
+        near = P.pairs_of(P.grid_bounded_hits(self, self.check(q), self.level))
+        if method == "grid_bounded":
+            return near
+        return P.pairs_of(self.token_hits(q).select("query_id", "object_id").join(near, ["query_id", "object_id"], "left_semi"))
+
+    def search(self, q: DataFrame, method: str = "auto") -> DataFrame:
+        """Answers by the stored postings, for thresholds above 0."""
         from arealex.operators.verify import verify
 
-        near = P.grid_bounded_hits(self, q, self.level)
-        return verify(self, q, P.pairs_of(self.token_hits(q)).intersect(P.pairs_of(near)))
+        return verify(self, q, self.candidates(q, method))
+
+    def sizes(self) -> DataFrame:
+        """kind, rows and bytes of the files of each part of the index."""
+        hadoop, out = self.spark.sparkContext._jsc.hadoopConfiguration(), []
+        for part in PARTS:
+            target = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{part}")
+            fs = target.getFileSystem(hadoop)
+            if fs.exists(target):
+                out.append((part, self.spark.read.parquet(f"{self.path}/{part}").count(), fs.getContentSummary(target).getLength()))
+        return self.spark.createDataFrame(out, "kind string, rows bigint, bytes bigint")
 
     def append(self, objects: DataFrame) -> None:
         """Adds objects under the frozen weights, orders and space. Tokens of the version only count; a rectangle outside the space is an error, as its cells would be cut off."""
@@ -88,6 +133,9 @@ class StoredIndex(P.Index):
         new = P.Index(objects, m.measure, space=s, stats=self.stats)
         sig = S.grid_signature(objects, s, self.level).join(self.cell_counts(self.level), "cell", "left").na.fill(0, ["n_obj"])
         cells = S.with_bound(sig, ["object_id"], S.element_order("cell"), "bound_r")
+        if m.budget:
+            selection = self.spark.read.schema(Q.SELECTION).parquet(f"{self.path}/selection")
+            _written(Q.quad_postings(new, selection, m.max_level), "token", "bound_r", f"{self.path}/quad", m.shards, "append")
         _written(new.tokens, "token", "bound_t", f"{self.path}/token", m.shards, "append")
         _written(cells, "cell", "bound_r", f"{self.path}/cell", m.shards, "append")
         fresh = cells.where("n_obj = 0").select("cell", "n_obj").distinct()
