@@ -243,3 +243,46 @@ def test_standing_queries(spark, tmp_path, example):
     standing_matches(stream, P.Index(objects), q, str(tmp_path / "out"), str(tmp_path / "state")).awaitTermination()
     found = spark.read.parquet(str(tmp_path / "out")).collect()
     assert [(r.query_id, r.inter_area) for r in found] == [(1, 1000)]
+
+
+def test_stored_chosen_cells(spark, tmp_path):
+    objects, queries = random_data(8)
+    queries = [(*x[:6], max(x[6], 1000), max(x[7], 1000)) for x in queries]
+    o, q = frames(spark, objects, queries)
+    build_index(P.Index(o), str(tmp_path / "i"), level=3, shards=3, budget=10, max_level=3)
+    ix = load_index(spark, str(tmp_path / "i"))
+    for method in ("auto", "quad_pair", "grid_bounded", "two_filter"):
+        assert {(r.query_id, r.object_id) for r in ix.search(q, method).collect()} == brute(objects, queries)
+    sizes = {r.kind: (r.rows, r.bytes) for r in ix.sizes().collect()}
+    assert set(sizes) == {"objects", "stats", "cell_stats", "token", "cell", "selection", "quad"} and all(b > 0 for _, b in sizes.values())
+    ix.append(spark.createDataFrame([(1000, *objects[0][1:])], R.SCHEMA))
+    again = {(r.query_id, r.object_id) for r in load_index(spark, str(tmp_path / "i")).search(q, "quad_pair").collect()}
+    assert {(a, 1000) for a, b in brute(objects, queries) if b == 0} <= again
+
+
+def test_axis_and_key_limits(spark):
+    rows = [(1, 0, 0, 1 << 26, 1 << 26, ["a"])]
+    with pytest.raises(ValueError):
+        P.Index(spark.createDataFrame(rows, R.SCHEMA))
+    assert R._room(100, 29, 10**6) == 100 and R._room(100, 100, 10**6) == 1000
+    with pytest.raises(ValueError):
+        R._room(1_000_000, 5, 10**13)
+
+
+def test_exact_cells_and_windows(spark):
+    from arealex.streaming.windows import windowed_objects
+
+    objects, queries = random_data(9, n=60)
+    o, q = frames(spark, objects, [(*x[:6], 1000, 1000) for x in queries])
+    ix = P.Index(o)
+    for level in (0, 3, 6):
+        # On any level the exact weights of cells add up to the overlap.
+        sums = {(r.query_id, r.object_id): r.shared for r in P.grid_overlap(ix, q, level, "exact").collect()}
+        boxes, mine = {x[0]: x[1:5] for x in objects}, {x[0]: x[1:5] for x in queries}
+        for (a, b), s in sums.items():
+            u, v = mine[a], boxes[b]
+            assert s == max(0, min(u[2], v[2]) - max(u[0], v[0])) * max(0, min(u[3], v[3]) - max(u[1], v[1]))
+    events = spark.createDataFrame([(k, f"2024-01-0{1 + k // 4} 0{k % 4}:30:00", 7, "view", 1.5 + k, '{"k": 12}') for k in range(8)], "event_id bigint, ts string, user_id bigint, event_type string, value double, props string")
+    assert windowed_objects(events, "1 day").count() == 2
+    assert windowed_objects(events, "1 day", "12 hours").count() == 4
+    assert windowed_objects(events, session_gap="90 minutes").count() == 2
