@@ -165,7 +165,7 @@ def token_bounded(ix: Index, q: DataFrame, use_prefix: bool = True, use_bound: b
 
 
 def grid_bounded_hits(ix: Index, q: DataFrame, level: int, use_prefix: bool = True, use_bound: bool = True) -> DataFrame:
-    p = cell_prefix(ix, q, level, use_prefix).select("query_id", "cell", "area", "tau_r_bp")
+    p = cell_prefix(ix, q, level, use_prefix).select("query_id", "cell", "area", "tau_r_bp", "rest")
     on = ix.cells(level).select("object_id", "cell", "bound_r").join(p, "cell")
     return on.where(_enough_r(ix, "bound_r")) if use_bound else on
 
@@ -187,15 +187,15 @@ def pair_hits(ix: Index, q: DataFrame, level: int, buckets: int | None = None) -
 
     Without a bucket limit only tokens and cells of some query's prefix take part in the cross product of an object, which changes nothing in the result.
     """
-    t = token_prefix(ix, q).select("query_id", "token", "w_total", "tau_t_bp")
-    c = cell_prefix(ix, q, level).select("query_id", "cell", "area", "tau_r_bp")
+    t = token_prefix(ix, q).select("query_id", "token", "w_total", "tau_t_bp", F.col("rest").alias("rest_t"))
+    c = cell_prefix(ix, q, level).select("query_id", "cell", "area", "tau_r_bp", F.col("rest").alias("rest_r"))
     own = t.join(c, "query_id")
     if buckets is None:
         tokens = ix.tokens.join(t.select("token").distinct(), "token", "left_semi")
         cells = ix.cells(level).join(c.select("cell").distinct(), "cell", "left_semi")
         on = S.pair_postings(tokens, cells, None).join(own, ["token", "cell"])
     else:
-        own = own.withColumn("bucket", S.pair_bucket(F.col("token"), F.col("cell"), buckets)).drop("token", "cell").distinct()
+        own = own.withColumn("bucket", S.pair_bucket(F.col("token"), F.col("cell"), buckets)).drop("token", "cell", "rest_t", "rest_r").distinct()
         on = S.pair_postings(ix.tokens, ix.cells(level), buckets).join(own, "bucket")
     return on.where(_enough_t(ix, "bound_t") & _enough_r(ix, "bound_r"))
 
