@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
@@ -49,57 +48,32 @@ def _labelled(found: DataFrame, settings: tuple[tuple[int, int], ...]) -> DataFr
     return found.withColumn("tau_r_bp", pick(0)).withColumn("tau_t_bp", pick(1))
 
 
-def _nested_rows(hits: DataFrame, holds: Callable[[int], Column], swept: dict[int, list[tuple[int, int]]], **labels) -> DataFrame:
-    """Postings retrieved and candidates of each setting of a sweep from one probe at its least threshold: a posting that is retrieved at a threshold is at all lower ones, so a pair is a candidate up to the highest threshold of its postings. ``holds`` says whether a hit is retrieved at a threshold, ``swept`` has the settings that a threshold answers. A setting that retrieves nothing has no row."""
-    steps = sorted(swept)
-    reach = reduce(lambda a, b: a + b, [holds(v).cast("int") for v in steps])
-    upto = lambda k: F.sum((F.col("reach") > k).cast("bigint"))
-    pairs = hits.select("query_id", "object_id", reach.alias("reach")).groupBy("query_id", "object_id").agg(F.max("reach").alias("top"), *[upto(k).alias(f"n{k}") for k in range(len(steps))])
-    sums = pairs.agg(*[F.sum(f"n{k}").alias(f"n{k}") for k in range(len(steps))], *[F.sum((F.col("top") > k).cast("bigint")).alias(f"c{k}") for k in range(len(steps))])
-    rows = [F.struct(*[F.lit(v).alias(n) for n, v in (*labels.items(), ("tau_r_bp", r), ("tau_t_bp", t))], F.col(f"n{k}").alias("retrieved"), F.col(f"c{k}").alias("candidates")) for k, v in enumerate(steps) for r, t in swept[v]]
-    return sums.select(F.inline(F.array(*rows))).where("retrieved > 0")
-
-
-def _by(settings: tuple[tuple[int, int], ...], side: int) -> dict[int, list[tuple[int, int]]]:
-    out: dict[int, list[tuple[int, int]]] = {}
-    for s in settings:
-        out.setdefault(s[side], []).append(s)
-    return out
+def _token_counts(ix: P.Index, q: DataFrame, steps: list[int]) -> DataFrame:
+    """Pairs with the postings t0, t1, ... that the token filter retrieves at each threshold, by one probe at the least: what is retrieved at a threshold is at all lower ones."""
+    hits = P.token_bounded_hits(ix, with_thresholds(q, DEFAULT, min(steps)))
+    holds = lambda v: shared_enough(F.least("rest", "bound_t"), F.col("w_total"), F.lit(v), ix.measure)
+    return hits.groupBy("query_id", "object_id").agg(*[F.sum(holds(v).cast("bigint")).alias(f"t{k}") for k, v in enumerate(steps)])
 
 
-def _token_rows(ix: P.Index, q: DataFrame, settings: tuple[tuple[int, int], ...], **labels) -> DataFrame:
-    """The token filter, which sees the threshold of words only."""
-    by = _by(settings, 1)
-    hits = P.token_bounded_hits(ix, with_thresholds(q, DEFAULT, min(by)))
-    return _nested_rows(hits, lambda t: shared_enough(F.least("rest", "bound_t"), F.col("w_total"), F.lit(t), ix.measure), by, **labels)
+def _grid_counts(ix: P.Index, q: DataFrame, level: int, steps: list[int]) -> DataFrame:
+    """The same of the grid filter: g0, g1, ..."""
+    hits = P.grid_bounded_hits(ix, with_thresholds(q, min(steps), DEFAULT), level)
+    holds = lambda v: shared_enough(F.least("rest", "bound_r"), F.col("area"), F.lit(v), ix.region_measure)
+    return hits.groupBy("query_id", "object_id").agg(*[F.sum(holds(v).cast("bigint")).alias(f"g{k}") for k, v in enumerate(steps)])
 
 
-def _grid_rows(ix: P.Index, q: DataFrame, level: int, settings: tuple[tuple[int, int], ...], **labels) -> DataFrame:
-    """The grid filter, which sees the threshold of areas only."""
-    by = _by(settings, 0)
-    hits = P.grid_bounded_hits(ix, with_thresholds(q, min(by), DEFAULT), level)
-    return _nested_rows(hits, lambda r: shared_enough(F.least("rest", "bound_r"), F.col("area"), F.lit(r), ix.region_measure), by, level=level, **labels)
-
-
-def _pair_rows(ix: P.Index, q: DataFrame, level: int, settings: tuple[tuple[int, int], ...], **labels) -> DataFrame:
-    """The pair filter: one probe for all settings that share a threshold, at the least of the other side's."""
-    still, rows = settings, []
-    both = lambda r, t: shared_enough(F.least("rest_t", "bound_t"), F.col("w_total"), F.lit(t), ix.measure) & shared_enough(F.least("rest_r", "bound_r"), F.col("area"), F.lit(r), ix.region_measure)
-    while still:
-        # The fixed threshold that most of the remaining settings share.
-        side, v, of = max(((s, v, of) for s in (0, 1) for v, of in _by(still, s).items()), key=lambda x: len(x[2]))
-        by = _by(tuple(of), 1 - side)
-        low = (v, min(by)) if side == 0 else (min(by), v)
-        holds = (lambda t, v=v: both(v, t)) if side == 0 else (lambda r, v=v: both(r, v))
-        rows.append(_nested_rows(P.pair_hits(ix, with_thresholds(q, *low), level), holds, by, level=level, **labels))
-        still = tuple(s for s in still if s not in of)
-    return _table(rows)
+def _setting_rows(pairs: DataFrame, retrieved: dict[tuple[int, int], Column], **labels) -> DataFrame:
+    """Postings retrieved and candidates of each setting, from a pair's postings under it; a setting that retrieves nothing has no row."""
+    sums = pairs.agg(*[f(c).alias(f"{n}{k}") for k, c in enumerate(retrieved.values()) for n, f in (("r", F.sum), ("c", lambda c: F.sum((c > 0).cast("bigint"))))])
+    rows = [F.struct(*[F.lit(v).alias(n) for n, v in (*labels.items(), ("tau_r_bp", r), ("tau_t_bp", t))], F.col(f"r{k}").alias("retrieved"), F.col(f"c{k}").alias("candidates")) for k, (r, t) in enumerate(retrieved)]
+    return sums.select(F.inline(F.array(*rows))).where("retrieved > 0")
 
 
 def token_or_grid(ix: P.Index, kind: str, levels: list[int], settings: tuple[tuple[int, int], ...] = SETTINGS) -> DataFrame:
     """Token against grid filter over both sweeps of thresholds; the token filter has level -1."""
-    q = query_set(ix, kind, DEFAULT, DEFAULT)
-    return _table([_token_rows(ix, q, settings, method="token", level=-1), *[_grid_rows(ix, q, v, settings, method="grid") for v in levels]])
+    q, rs, ts = query_set(ix, kind, DEFAULT, DEFAULT), sorted({r for r, _ in settings}), sorted({t for _, t in settings})
+    rows = [_setting_rows(_token_counts(ix, q, ts), {s: F.col(f"t{ts.index(s[1])}") for s in settings}, method="token", level=-1)]
+    return _table(rows + [_setting_rows(_grid_counts(ix, q, v, rs), {s: F.col(f"g{rs.index(s[0])}") for s in settings}, method="grid", level=v) for v in levels])
 
 
 def granularity(ix: P.Index, kind: str, levels: list[int]) -> DataFrame:
@@ -109,9 +83,14 @@ def granularity(ix: P.Index, kind: str, levels: list[int]) -> DataFrame:
 
 
 def grid_or_pair(ix: P.Index, kind: str, levels: list[int], settings: tuple[tuple[int, int], ...] = SETTINGS) -> DataFrame:
-    """Grid against pair filter at the same levels, over both sweeps."""
-    q = query_set(ix, kind, DEFAULT, DEFAULT)
-    return _table([r for v in levels for r in (_grid_rows(ix, q, v, settings, method="grid"), _pair_rows(ix, q, v, settings, method="pair"))])
+    """Grid against pair filter at the same levels, over both sweeps. Without a bucket limit the pair probe retrieves every token posting with every cell posting of a pair, so their counts are multiplied and the pairs of postings not made."""
+    q, rs, ts = query_set(ix, kind, DEFAULT, DEFAULT), sorted({r for r, _ in settings}), sorted({t for _, t in settings})
+    tokens, rows = kept(_token_counts(ix, q, ts)), []
+    for v in levels:
+        cells = kept(_grid_counts(ix, q, v, rs))
+        rows.append(_setting_rows(cells, {s: F.col(f"g{rs.index(s[0])}") for s in settings}, method="grid", level=v))
+        rows.append(_setting_rows(tokens.join(cells, ["query_id", "object_id"]), {s: F.col(f"t{ts.index(s[1])}") * F.col(f"g{rs.index(s[0])}") for s in settings}, method="pair", level=v))
+    return _table(rows)
 
 
 def pair_or_quad(ix: P.Index, kind: str, levels: list[int], budgets: list[int], max_level: int, modes: tuple[str, ...] = ("children", "children_weighted"), tau_r_bp: int = 4000, tau_t_bp: int = 1000) -> DataFrame:
