@@ -286,3 +286,26 @@ def test_exact_cells_and_windows(spark):
     assert windowed_objects(events, "1 day").count() == 2
     assert windowed_objects(events, "1 day", "12 hours").count() == 4
     assert windowed_objects(events, session_gap="90 minutes").count() == 2
+
+
+def test_exploded_rows_are_not_broadcast(spark, example):
+    """Cells of objects are far more rows than the objects by whose size the planner guesses."""
+    ix = P.Index(example[0])
+    for level in (6, 8):
+        plan = ix.cells(level)._jdf.queryExecution().sparkPlan().toString()
+        assert ("BroadcastHashJoin" in plan) == (level <= S.BROADCAST_LEVEL) and "BuildLeft" not in plan
+
+
+def test_grid_probe_of_some_objects_keeps_all_hits(spark):
+    """Objects out of reach are left out before bounds are made; the hits are those of all objects."""
+    rng = random.Random(3)
+    rows = [(k, x, y, x + rng.randint(1, 300), y + rng.randint(1, 300), ["a", f"t{k % 5}"]) for k in range(300) for x, y in [(rng.randrange(4000), rng.randrange(4000))]]
+    ix = P.Index(spark.createDataFrame(rows, R.SCHEMA))
+    q = spark.createDataFrame([(k, x, y, x + 200, y + 250, ["a", "t1"], 2000, 1000) for k, (x, y) in enumerate([(100, 100), (2000, 3000), (3500, 400)])], QUERY)
+    for level in (3, 6):
+        some = P.near(ix, q, level)
+        assert some.objects.count() < 150
+        p = P.cell_prefix(ix, q, level).drop("w", "n_obj")
+        want = ix.cells(level).join(p, "cell").where(P._enough_r(ix, "bound_r"))
+        pairs = lambda df: sorted((r.query_id, r.object_id, r.cell) for r in df.collect())
+        assert pairs(P.grid_bounded_hits(P.Index(ix.objects), q, level)) == pairs(want) != []
