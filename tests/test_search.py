@@ -331,3 +331,12 @@ def test_shipments_with_long_part_keys_follow_their_sql(spark, tmp_path):
     for name in ("objects_shipment", "dataset_stats_shipment", "token_stats_shipment", "area_distribution_shipment", "grid_signature_shipment_l6"):
         assert sorted(map(tuple, own.QUERIES[name](spark, d).collect())) == sorted(con.execute(own.ORACLE_SQL[name]).fetchall()), name
     assert R.shipment(spark, d).count() == 3 and R.shipment(spark, d, apart=True).count() == 4
+
+
+def test_counts_of_cells_without_a_row_for_each(spark):
+    rng = random.Random(5)
+    rows = [(k, x, y, x + rng.randint(0, 900), y + rng.randint(0, 900), ["a"]) for k in range(200) for x, y in [(rng.randrange(4000), rng.randrange(4000))]]
+    ix = P.Index(spark.createDataFrame(rows, R.SCHEMA))
+    for level in (0, 5):
+        want = {tuple(r) for r in S.cell_stats(S.grid_signature(ix.objects, ix.space, level)).collect()}
+        assert {tuple(r) for r in S.cell_counts(ix.objects, ix.space, level).collect()} == want
