@@ -340,3 +340,15 @@ def test_counts_of_cells_without_a_row_for_each(spark):
     for level in (0, 5):
         want = {tuple(r) for r in S.cell_stats(S.grid_signature(ix.objects, ix.space, level)).collect()}
         assert {tuple(r) for r in S.cell_counts(ix.objects, ix.space, level).collect()} == want
+
+
+def test_worked_example_query_reads_a_table(spark):
+    import duckdb
+
+    from arealex import queries as own
+
+    d = "/root/testdata/sf0.001"
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{d}/events.parquet'")
+    assert any("events.parquet" in f for f in R.first_users(spark, d).inputFiles())
+    assert sorted(map(tuple, own.QUERIES["worked_example"](spark, d).collect())) == sorted(con.execute(own.ORACLE_SQL["worked_example"]).fetchall()) != []
