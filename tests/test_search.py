@@ -8,12 +8,14 @@ from pyspark.sql import functions as F
 
 from arealex.functions.cells import Space, bounding_space, cells_of
 from arealex.operators import baselines as B
+from arealex.operators import counting as C
 from arealex.operators import levels as L
 from arealex.operators import probes as P
 from arealex.operators import quadcells as Q
 from arealex.operators import signatures as S
 from arealex.operators.verify import exact_scan, verify
 from arealex.plans import search as X
+from arealex.plans import workloads as W
 from arealex.sources import objects as R
 from arealex.sources.querysets import with_thresholds
 from arealex.sources.store import build_index, describe_index, load_index
@@ -352,3 +354,37 @@ def test_worked_example_query_reads_a_table(spark):
     con.execute(f"CREATE VIEW events AS SELECT * FROM '{d}/events.parquet'")
     assert any("events.parquet" in f for f in R.first_users(spark, d).inputFiles())
     assert sorted(map(tuple, own.QUERIES["worked_example"](spark, d).collect())) == sorted(con.execute(own.ORACLE_SQL["worked_example"]).fetchall()) != []
+
+
+@pytest.mark.parametrize("measure", ["jaccard", "cosine"])
+def test_postings_counted_in_tasks_are_those_of_the_probes(spark, measure, monkeypatch):
+    rng = random.Random(5)
+
+    def row(k):
+        x, y, w, h = rng.randrange(500), rng.randrange(500), rng.choice([0, 1, 9, 60, 400]), rng.choice([1, 7, 80, 500])
+        return (k, x, y, x + w, y + h, [f"w{t}" for t in rng.sample(range(9), rng.randrange(6))])
+
+    ix = P.Index(spark.createDataFrame([row(k) for k in range(150)], R.SCHEMA), measure, measure)
+    # Queries reach over the space, lie outside of it, have no words, unknown ones or no area.
+    own = [row(k)[:6] for k in range(12)] + [(12, -50, -50, 700, 300, ["w1", "new"]), (13, 5000, 5000, 5100, 5100, ["w1"]), (14, 3, 3, 3, 9, [])]
+    q = P.known_size(spark.createDataFrame([(*r, 4000, 4000) for r in own], QUERY))
+    settings = ((1000, 4000), (4000, 1000))
+    monkeypatch.setattr(C, "ROWS", 40)
+    assert C.fits(ix, q, [6])
+    got = {(r.method, r.level, r.tau_r_bp, r.tau_t_bp): (r.retrieved, r.candidates) for r in C.retrieved(ix, q, ("token", "grid", "pair"), [6], settings).collect()}
+    assert len(got) == 6
+    for r, t in settings:
+        own = with_thresholds(q, r, t)
+        hits = {("token", -1): P.token_bounded_hits(ix, own), ("grid", 6): P.grid_bounded_hits(ix, own, 6), ("pair", 6): P.pair_hits(ix, own, 6)}
+        for key, h in hits.items():
+            assert got[*key, r, t] == tuple(W._row(h).first()), (key, r, t)
+    assert got["grid", 6, 1000, 4000][0] > 1000
+
+
+def test_filter_workloads_make_no_row_for_a_posting(spark):
+    """What a sweep retrieves is counted where the objects are read: no join of postings, whose number is that of the pairs."""
+    ix = P.Index(R.activity(spark, "/root/testdata/sf0.001"))
+    settings = ((1000, 4000), (4000, 1000))
+    for found in (W.token_or_grid(ix, "large", [4], settings), W.grid_or_pair(ix, "small", [4], settings), W.granularity(ix, "large", [4])):
+        plan = found._jdf.queryExecution().executedPlan().toString()
+        assert "MapInArrow" in plan and "Join" not in plan and "Generate" not in plan
