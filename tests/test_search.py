@@ -388,3 +388,17 @@ def test_filter_workloads_make_no_row_for_a_posting(spark):
     for found in (W.token_or_grid(ix, "large", [4], settings), W.grid_or_pair(ix, "small", [4], settings), W.granularity(ix, "large", [4])):
         plan = found._jdf.queryExecution().executedPlan().toString()
         assert "MapInArrow" in plan and "Join" not in plan and "Generate" not in plan
+
+
+def test_comparison_asks_a_sweep_once(spark, monkeypatch):
+    """Each query is asked at the least thresholds of both sweeps, and every setting has the answers of its own thresholds."""
+    ix = P.Index(R.activity(spark, "/root/testdata/sf0.001"))
+    settings, asked, search = ((1000, 4000), (3000, 4000), (4000, 1000), (4000, 4000)), [], X.search
+    monkeypatch.setattr(X, "search", lambda ix, q, m: asked.append({(r.tau_r_bp, r.tau_t_bp) for r in q.collect()}) or search(ix, q, m))
+    found = {(r.tau_r_bp, r.tau_t_bp): (r.answers, r.inter_area, r.inter_w) for r in W.comparison(ix, "large", settings, ("exact_scan",)).collect()}
+    assert asked == [{(1000, 4000), (4000, 1000)}]
+    q = W.query_set(ix, "large", 4000, 4000)
+    for r, t in settings:
+        own = exact_scan(ix, P.known_size(with_thresholds(q, r, t))).agg(F.count("*"), F.sum("inter_area"), F.sum("inter_w")).first()
+        assert found[r, t] == tuple(own)
+    assert found[1000, 4000][0] > found[4000, 4000][0]
