@@ -402,3 +402,10 @@ def test_comparison_asks_a_sweep_once(spark, monkeypatch):
         own = exact_scan(ix, P.known_size(with_thresholds(q, r, t))).agg(F.count("*"), F.sum("inter_area"), F.sum("inter_w")).first()
         assert found[r, t] == tuple(own)
     assert found[1000, 4000][0] > found[4000, 4000][0]
+
+
+def test_counts_of_an_empty_table_are_zero(spark, tmp_path):
+    spark.createDataFrame([], R.SCHEMA).write.parquet(f"{tmp_path}/none")
+    ix = P.Index(spark.read.schema(R.SCHEMA).parquet(f"{tmp_path}/none"))
+    q = P.known_size(spark.createDataFrame([(1, 0, 0, 9, 9, ["a"], 4000, 4000)], QUERY))
+    assert [tuple(r) for r in C.retrieved(ix, q, ("grid",), [3], ((4000, 4000),)).collect()] == [("grid", 3, 4000, 4000, 0, 0)]
