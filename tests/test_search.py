@@ -2,6 +2,7 @@
 
 import math
 import random
+from collections import Counter
 
 import pytest
 from pyspark.sql import functions as F
@@ -409,3 +410,34 @@ def test_counts_of_an_empty_table_are_zero(spark, tmp_path):
     ix = P.Index(spark.read.schema(R.SCHEMA).parquet(f"{tmp_path}/none"))
     q = P.known_size(spark.createDataFrame([(1, 0, 0, 9, 9, ["a"], 4000, 4000)], QUERY))
     assert [tuple(r) for r in C.retrieved(ix, q, ("grid",), [3], ((4000, 4000),)).collect()] == [("grid", 3, 4000, 4000, 0, 0)]
+
+
+@pytest.mark.parametrize("measure", ["jaccard", "dice"])
+def test_chosen_cells_counted_in_tasks_are_those_of_the_probe(spark, measure, monkeypatch):
+    """Sums by token and cell, and what pairs of a token and its own cells retrieve, without a row for an object's token and cell."""
+    rng = random.Random(8)
+
+    def row(k):
+        x, y, w, h = rng.randrange(500), rng.randrange(500), rng.choice([0, 1, 9, 60, 400]), rng.choice([1, 7, 80, 500])
+        return (k, x, y, x + w, y + h, [f"w{t}" for t in rng.sample(range(9), rng.randrange(6))])
+
+    ix = P.Index(spark.createDataFrame([row(k) for k in range(150)] + [(900, 0, 0, 9, 9, None)], R.SCHEMA), measure, measure)
+    q = P.known_size(spark.createDataFrame([(*r, 2000, 2000) for r in [row(k)[:6] for k in range(12)] + [(12, -50, -50, 700, 300, ["w1", "new"]), (13, 5000, 5000, 5100, 5100, ["w1"]), (14, 3, 3, 3, 9, [])]], QUERY))
+    monkeypatch.setattr(C, "ROWS", 40)
+    for held, names in ((60, 4), (2_000_000, 100_000)):
+        monkeypatch.setattr(C, "HELD", held)
+        monkeypatch.setattr(C, "VOCABULARY", names)
+        cells = Q.token_cells(ix, 4)
+        want = Counter()
+        for v in range(5):
+            for r in cells_of(ix.objects, ix.space, v, "object_id", "tokens").collect():
+                for t in r.tokens or []:
+                    want[t, v, r.cell, "n"] += 1
+                    want[t, v, r.cell, "w"] += r.w
+        found = cells.collect()
+        assert {(r.token, r.level, r.cell, c): x for r in found for c, x in (("n", r.n_obj), ("w", r.covered))} == want
+        assert all(n not in cells._jdf.queryExecution().executedPlan().toString() for n in ("Generate", "Join"))
+    selection = W.kept(Q.pick_quad_cells(ix, 12, 4))
+    got = C.quad_retrieved(ix, q, selection, (2000, 2000))
+    assert tuple(got.first()) == tuple(W._row(Q.quad_hits(ix, q, selection, 4)).first())
+    assert got.first().retrieved > 100 and "Join" not in got._jdf.queryExecution().executedPlan().toString()
