@@ -1,5 +1,6 @@
 """Each operator against a brute-force version, and the defined results of odd inputs."""
 
+import json
 import hashlib
 import os
 import random
@@ -752,6 +753,25 @@ def test_extraction_learns_from_all_pages_of_a_host(spark):
         assert got == {k: f"T {k}\n\ntext of page {k} and more" for k in range(300)}
 
 
+def test_extraction_of_a_page_does_not_hang_on_how_many_others_there_are(spark):
+    """A constant text of two pages is template beside three other pages and beside many, whose odd elements would make a wrapper of thousands of units."""
+    word = lambda n: "q" + "".join(chr(97 + int(d)) for d in str(n))
+
+    def page(k, notice):
+        odd = "".join(f"<div class={word(1000 * k + j)}>Part {word(7 * k + j)} of page {k} says {j}</div>" for j in range(30))
+        return f"<html><body><div class=qmain>{odd}</div>{notice and '<div class=zline>Printed in the north</div>'}<div class=qend>Page number {k}</div></body></html>"
+
+    def texts(n):
+        rows = [(k, "http://one.example/", page(k, k in (1, 2))) for k in range(n)]
+        found = extraction.extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)).where("page_id < 5").collect()
+        return {r.page_id: r.text for r in found}
+
+    few, many = texts(5), texts(130)
+    assert few == many and all("Printed" not in t and t.count("says") == 30 for t in few.values())
+    w = extraction.wrappers(spark.createDataFrame([(k, "http://one.example/", page(k, False)) for k in range(130)], "page_id long, url string, html string")).first()
+    assert len(json.loads(json.loads(w.wrappers)["html>body"])[1]) < 10
+
+
 def test_extraction_of_copies_and_single_pages(spark):
     page = "<html><body><div>One text</div><p>that all copies have</p></body></html>"
     got = _extracted(spark, [(k, "http://c.example.org", page) for k in range(5)] + [(9, "http://one.example.org", page), (10, None, page)])
