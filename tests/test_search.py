@@ -11,6 +11,7 @@ from arealex.functions.cells import Space, bounding_space, cells_of
 from arealex.operators import baselines as B
 from arealex.operators import counting as C
 from arealex.operators import levels as L
+from arealex.operators import linking as K
 from arealex.operators import probes as P
 from arealex.operators import quadcells as Q
 from arealex.operators import signatures as S
@@ -237,6 +238,26 @@ def test_self_search_and_orders(spark):
     assert set(S.ORDERS) == {"rare", "frequent", "random", "code"}
 
 
+@pytest.mark.parametrize("measure,block", [("jaccard", 2048), ("jaccard", 7), ("dice", 7)])
+def test_links_counted_in_tasks_are_those_of_the_pairs(spark, measure, block, monkeypatch):
+    """Each link counts once, however many tokens and cells two objects share, in long lists and short ones; no pair leaves a task."""
+    rng = random.Random(3)
+    rows = []
+    for k in range(240):
+        x, y, w, h = rng.randrange(400), rng.randrange(400), rng.choice([0, 3, 60, 250]), rng.choice([1, 40, 300])
+        rows.append((k, x, y, x + w, y + h, [f"w{t}" for t in rng.sample(range(12), rng.randrange(7))]))
+    rows += [(k + 500, *r) for k, *r in rows[::9]] + [(900, 0, 0, 9, 9, None)]
+    ix = P.Index(spark.createDataFrame(rows, R.SCHEMA), measure, measure)
+    monkeypatch.setattr(K, "BLOCK", block)
+    monkeypatch.setattr(K, "PAIRS", 50)
+    got = {r.object_id: (r.class_id, r.n_links) for r in X.self_search(ix, 1000, 2000, 4).collect()}
+    links, owner = X.class_links(ix, 1000, 2000, 4)
+    n = Counter(x for r in links.collect() for x in (r.a, r.b))
+    assert got == {r.object_id: (r.class_id, n[r.class_id]) for r in owner.collect()} and sum(n.values()) > 300 and len(got) == len(rows)
+    plan = X.self_search(ix, 1000, 2000, 4)._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "other" not in plan
+
+
 def test_standing_queries(spark, tmp_path, example):
     from arealex.streaming.windows import standing_matches
 
