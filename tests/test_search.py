@@ -258,6 +258,23 @@ def test_links_counted_in_tasks_are_those_of_the_pairs(spark, measure, block, mo
     assert "MapInArrow" in plan and "other" not in plan
 
 
+def test_words_of_a_document_stay_in_its_row(spark, tmp_path):
+    """As the SQL has them, also for rows that share an id, without text or without words; texts with an id of their own make no row for a word."""
+    import duckdb
+
+    from arealex import queries as own
+
+    texts = ["B a b, c\u00c9 a d b", "one one TWO two x y z " + " ".join(f"q{chr(97 + k)}" for k in range(20)), "  ?! 12", None, "x"]
+    rows = [(k, t, f"src{k}", k) for k, t in enumerate(texts)] + [(7, "a b b", "src7", 1), (7, "c c c b", "src7", 1)]
+    spark.createDataFrame(rows, "doc_id bigint, text string, source string, n bigint").write.parquet(f"{tmp_path}/documents.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    got = {r.object_id: r.tokens for r in own.QUERIES["objects_document"](spark, str(tmp_path)).collect()}
+    assert got == {k: t for k, *_, t in con.execute(own.ORACLE_SQL["objects_document"]).fetchall() if k != 7} | {7: "a b c"}
+    plan = R.document(spark, str(tmp_path))._jdf.queryExecution().optimizedPlan().toString()
+    assert "MapInArrow" in plan and plan.count("Generate") == 1
+
+
 def test_standing_queries(spark, tmp_path, example):
     from arealex.streaming.windows import standing_matches
 
