@@ -829,3 +829,41 @@ def test_tree_matching_by_brute_force(monkeypatch):
         size, pairs = extraction.aligned(a.kids, b.kids, {})
         assert pairs == sorted(pairs) and len({j for _, j in pairs}) == len(pairs) and all(a.kids[i].sig == b.kids[j].sig for i, j in pairs)
         monkeypatch.setattr(extraction, "CELLS", 40_000)
+
+
+def test_long_sibling_lists_are_matched_whole():
+    """250 by 250 units, of which some occur once out of order and others lie far apart: as large a matching as the full table's, and the same pairs."""
+    rng = random.Random(9)
+
+    def listed(order):
+        out = []
+        for k in order:
+            out.append(extraction.Unit(f"s{k % 4}", None, 1, [extraction.Unit(f"k{j}", None, 1, []) for j in range(k % 7)]))
+            if k % 50 == 0:
+                out.append(extraction.Unit("once", None, 1, [extraction.Unit(f"o{k}", None, 1, [])]))
+        for u in out:
+            for v in u.kids:
+                extraction._shaped(v)
+            extraction._shaped(u)
+        return out
+
+    def whole(x, y):
+        best = [[0] * (len(y) + 1) for _ in range(len(x) + 1)]
+        for i, u in enumerate(x):
+            for j, v in enumerate(y):
+                best[i + 1][j + 1] = max(best[i][j + 1], best[i + 1][j], best[i][j] + extraction.matched(u, v, {}))
+        return best[-1][-1]
+
+    for back in (False, True):
+        x, y = list(range(250)), list(range(250))
+        rng.shuffle(x)
+        rng.shuffle(y)
+        if back:
+            x, y = x[:5] + sorted(x[5:]), sorted(y[:120]) + y[120:]
+        x, y = listed(x), listed(y)
+        size, pairs = extraction.aligned(x, y, {})
+        assert size == whole(x, y) == sum(extraction.matched(x[i], y[j], {}) for i, j in pairs)
+        assert extraction._rows(x, y, {}, True) == extraction._table(x, y, {}, True)
+    # Units far beyond the place of their like are paired, too.
+    x, y = listed([1] * 200 + [2, 2, 1]), listed([3] * 400 + [2, 2, 3])
+    assert [p for p in extraction.aligned(x, y, {})[1] if p[0] in (200, 201)] == [(200, 400), (201, 401)]
