@@ -479,3 +479,38 @@ def test_chosen_cells_counted_in_tasks_are_those_of_the_probe(spark, measure, mo
     got = C.quad_retrieved(ix, q, selection, (2000, 2000))
     assert tuple(got.first()) == tuple(W._row(Q.quad_hits(ix, q, selection, 4)).first())
     assert got.first().retrieved > 100 and "Join" not in got._jdf.queryExecution().executedPlan().toString()
+
+
+@pytest.mark.parametrize("measure", ["jaccard", "dice"])
+def test_words_first_makes_no_row_for_a_shared_token(spark, measure, monkeypatch):
+    """A small batch's word sums are made inside tasks, in groups of any size, and the answers are those of a scan, also for duplicate and unknown words."""
+    objects, queries = random_data(6)
+    queries = [(*x[:6], max(x[6], 1), max(x[7], 1)) for x in queries]
+    queries += [(100 + x[0], *x[1:6], 1, 1) for x in queries] + [(300, 0, 0, 9, 9, [], 1, 1), (301, 0, 0, 9, 9, ["unseen"], 1, 1)]
+    o, q = frames(spark, objects + [(900, 0, 0, 9, 9, None), (901, 0, 0, 9, 9, [])], queries)
+    want = sorted(map(tuple, exact_scan(P.Index(o, measure, measure), q).collect()))
+    monkeypatch.setattr(P, "token_overlap", None)
+    assert len(want) > 20
+    for rows in (4096, 7):
+        monkeypatch.setattr(C, "ROWS", rows)
+        assert sorted(map(tuple, X.search(P.Index(o, measure, measure), q, "word_first").collect())) == want
+
+
+def test_shipments_of_bits_are_those_of_strings(spark, tmp_path, monkeypatch):
+    """Repeated part and order keys, parts without a name, missing words, part keys on both sides of a million and below 0."""
+    import datetime
+
+    rng = random.Random(3)
+    for case, keys in (("short", [1, 2, 3, 4]), ("long", [1, 2, 1_000_001, 1_000_003, 999_999]), ("below", [-5, 1, 999_995])):
+        d = f"{tmp_path}/{case}"
+        lines = [(rng.randrange(1, 6), rng.choice([*keys, 77]), rng.choice([None, 5.0, 9.0]), rng.uniform(10, 2000), 0.05, 0.02, datetime.date(1996, 1, rng.randrange(1, 28)), rng.choice(["R", "N", None]), "F") for _ in range(60)]
+        spark.createDataFrame(lines, "l_orderkey bigint, l_partkey bigint, l_quantity double, l_extendedprice double, l_discount double, l_tax double, l_shipdate date, l_returnflag string, l_linestatus string").write.parquet(f"{d}/lineitem.parquet")
+        parts = [(p, rng.choice([None, f"red  w{p % 5}", "blue"]), rng.choice(["b1", None]), "t1", rng.choice([12, None])) for p in [*keys, *keys]]
+        spark.createDataFrame(parts, "p_partkey bigint, p_name string, p_brand string, p_type string, p_size int").write.parquet(f"{d}/part.parquet")
+        spark.createDataFrame([(o, rng.randrange(1, 4), rng.choice(["HIGH", None]), rng.choice("OF")) for o in (1, 2, 2, 3, 4)], "o_orderkey bigint, o_custkey bigint, o_orderpriority string, o_orderstatus string").write.parquet(f"{d}/orders.parquet")
+        spark.createDataFrame([(1, "BUILDING", 3), (2, None, None), (2, "AUTO", 7)], "c_custkey bigint, c_mktsegment string, c_nationkey int").write.parquet(f"{d}/customer.parquet")
+        rows = lambda: sorted((r.object_id, str((*r[1:5], sorted(r.tokens)))) for r in R.shipment(spark, d).collect())
+        found = rows()
+        monkeypatch.setattr(R, "BIT_WORDS", 0)
+        assert found == rows() and len(found) > 5
+        monkeypatch.setattr(R, "BIT_WORDS", 504)
