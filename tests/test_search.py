@@ -514,3 +514,24 @@ def test_shipments_of_bits_are_those_of_strings(spark, tmp_path, monkeypatch):
         monkeypatch.setattr(R, "BIT_WORDS", 0)
         assert found == rows() and len(found) > 5
         monkeypatch.setattr(R, "BIT_WORDS", 504)
+
+
+def test_candidates_found_inside_tasks_are_those_of_the_joins(spark, monkeypatch):
+    """Each query at its own thresholds: two-sided filter, pairs, chosen cells and areas; with areas tested inside tasks the answers stay. No posting has a row of its own."""
+    objects, queries = random_data(8)
+    queries = [(*x[:6], max(x[6], 1), max(x[7], 1)) for x in queries]
+    o, q = frames(spark, objects + [(900, 0, 0, 9, 9, None)], queries)
+    ix = P.Index(o)
+    selection = Q.pick_quad_cells(ix, 8, 3)
+    found = lambda: [P.two_filter(ix, q, 3), P.pair(ix, q, 3), Q.quad_pair(ix, q, selection, 3), B.near_areas(ix, q, level=3)]
+    mine = found()
+    for f in mine:
+        plan = f._jdf.queryExecution().executedPlan().toString()
+        assert "MapInArrow" in plan and "Join" not in plan
+    mine = [sorted(map(tuple, f.collect())) for f in mine]
+    want = sorted(map(tuple, exact_scan(P.Index(o), q).collect()))
+    for method in ("two_filter", "pair", "quad_pair", "area_first", "word_tree"):
+        assert sorted(map(tuple, X.search(ix, q, method).collect())) == want and len(want) > 10
+    monkeypatch.setattr(C, "fits", lambda *a: False)
+    monkeypatch.setattr(C, "sums_fit", lambda *a: False)
+    assert [sorted(map(tuple, f.collect())) for f in found()] == mine and all(map(len, mine))
